@@ -9,6 +9,24 @@ from pyspark.sql import DataFrame, SparkSession
 from relmine.llm.common import table
 
 
+def _vocabulary(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op1_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from relmine.llm.bpe import round_trip
+
+    return round_trip(table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
+
+
+def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from relmine.llm.tokencount import token_counts
+
+    return token_counts(table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"), limit=4096)
+
+
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from relmine.llm.simhash import near_duplicates
 
@@ -16,6 +34,8 @@ def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_bpe_round_trip": op1_bpe_round_trip,
+    "op2_token_counts": op2_token_counts,
     "op8_simhash_near_dedup": op8_simhash_near_dedup,
 }
 
