@@ -49,10 +49,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 _OP10_SQL = r"""
 with dw as (
   select doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
-         '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), x -> x <> '') as w from documents),
+         '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') as w from documents),
 bw as (
   select item_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
-         '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), x -> x <> '') as w from benchmark),
+         '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') as w from benchmark),
 bwin as (
   select distinct item_id, least(13, len(w)) as n, array_to_string(w[i:i + 12], ' ') as win
   from (select item_id, w, unnest(range(1, greatest(1, len(w) - 12) + 1)) as i from bw where len(w) > 0)),
@@ -69,4 +69,4 @@ select dw.doc_id, cast(len(w) as bigint) as n_words, cast(coalesce(n_hit, 0) as
 from dw left join hit using (doc_id) left join its using (doc_id)
 """
 
-ORACLE_SQL: dict[str, str] = {"op10_benchmark_decontamination": _OP10_SQL.replace("\\\\", "\\")}
+ORACLE_SQL: dict[str, str] = {"op10_benchmark_decontamination": _OP10_SQL}
