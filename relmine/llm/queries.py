@@ -27,6 +27,12 @@ def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"), limit=4096)
 
 
+def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from relmine.llm.substrings import deduplicated
+
+    return deduplicated(table(spark, sf_dir, "documents"), window=50)
+
+
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from relmine.llm.simhash import near_duplicates
 
@@ -42,6 +48,7 @@ def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFram
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bpe_round_trip": op1_bpe_round_trip,
     "op2_token_counts": op2_token_counts,
+    "op7_substring_dedup": op7_substring_dedup,
     "op8_simhash_near_dedup": op8_simhash_near_dedup,
     "op10_benchmark_decontamination": op10_benchmark_decontamination,
 }
@@ -69,4 +76,19 @@ select dw.doc_id, cast(len(w) as bigint) as n_words, cast(coalesce(n_hit, 0) as
 from dw left join hit using (doc_id) left join its using (doc_id)
 """
 
-ORACLE_SQL: dict[str, str] = {"op10_benchmark_decontamination": _OP10_SQL}
+_OP7_SQL = r"""
+with dw as (
+  select doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') as w from documents),
+win as (
+  select doc_id, i, md5(array_to_string(w[i:i + 49], ' ')) as h
+  from (select doc_id, w, unnest(range(1, len(w) - 48)) as i from dw where len(w) >= 50)),
+least_doc as (select h, min(doc_id) as d from win group by h),
+gone as (select distinct doc_id, unnest(range(i, i + 50)) as p from win join least_doc using (h) where d < doc_id),
+per_doc as (select doc_id, list(p) as ps from gone group by doc_id),
+kept as (
+  select dw.doc_id, w, list_filter(list_transform(range(1, len(w) + 1), lambda i: case when list_contains(coalesce(ps, []), i) then null else w[i] end), lambda x: x is not null) as k
+  from dw left join per_doc using (doc_id))
+select doc_id, cast(len(w) as bigint) as n_words, cast(len(w) - len(k) as bigint) as n_removed, sha256(coalesce(array_to_string(k, ' '), '')) as kept_sha256 from kept
+"""
+
+ORACLE_SQL: dict[str, str] = {"op7_substring_dedup": _OP7_SQL, "op10_benchmark_decontamination": _OP10_SQL}
