@@ -184,6 +184,8 @@ class Tree:
 
 #: The labelled table: small pages; a block is main text where it begins with "M ".
 _S = "M The committee met on Tuesday and agreed that the plan should go ahead, with two members against it and one absent from the vote."
+_L = ("We and our partners keep and read details on a device, such as cookies, and process them for the purposes that are described in the policy, which you should read before you go on, "
+      "and which may change from time to time without any further word from us.")
 LABELLED = (
     f"<body><nav><ul><li><a href=/>Home</a></li><li><a href=/n>News</a></li></ul></nav><article><h1>M Title of it</h1><p>{_S}</p><p>M Short.</p><p>{_S}</p><p>M Also short.</p></article><footer>All rights reserved by the owner of this site.</footer></body>",
     f"<body><div class=header>Daily News</div><div class=menu><a href=1>One</a> <a href=2>Two</a></div><div class=content><h2>M A heading</h2><p>{_S}</p><p>M Yes.</p><ul><li>M first point of it</li><li>M second point</li></ul></div><div class=sidebar><h3>Most read</h3><p>A teaser of some other story that is long enough to look like text, and ends here.</p></div><div id=comments><p>I do not agree with this at all, it was quite different when I was there in May.</p><p>Nice one!</p></div></body>",
@@ -194,6 +196,8 @@ LABELLED = (
     f"<body><div class=post><h1>M Post title</h1><p>{_S}</p><p>M So.</p><pre>M some code here</pre></div><div class=promo><p>Subscribe today and get the first month for nothing, then pay each month.</p></div><div class=widget><ul><li><a href=1>January</a></li><li><a href=2>February</a></li></ul></div></body>",
     f"<body><div>Menu</div><div>Search</div><article><h1>M Storms</h1><p>M No.</p><p>M Why?</p><p>{_S}</p><p>M Rain.</p><p>M <a href=w>M Wind</a></p><p>M Indeed.</p></article><div>Imprint</div><div>Top</div></body>",
     f"<body><div>Login</div><div>Page 3 of 7</div><main><h2>M Prices</h2><p>M 12</p><p>M Up.</p><p>{_S}</p><p>M Down</p></main><div>Contact</div><div>Version 2</div></body>",
+    f"<body><div class=consent><p>{_L}</p><p>{_L}</p></div><h1>M Harbour to close</h1><p>{_S}</p><p>{_S}</p><p>{_S}</p><div id=comments><p>{_L}</p><p>{_L}</p></div><footer><p>{_L}</p></footer></body>",
+    f"<body><aside><p>{_L}</p></aside><article><p>{_S}</p><p>{_L.replace('We', 'M We', 1)}</p><div class=comments><p>{_L}</p><p>Quite.</p><p>{_L}</p></div></article><form><p>{_L}</p></form><div class=disclaimer>{_L}</div></body>",
     f"<body><ul><li><a href=1>Sports</a></li><li><a href=2>Weather</a></li></ul><h1>M A headline</h1><p>{_S}</p><p>{_S}</p><p>M He left.</p><p>{_S}</p><p><a href=1>Privacy</a> <a href=2>Terms</a></p></body>",
 )
 
