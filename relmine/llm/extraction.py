@@ -152,7 +152,7 @@ def features(found: list[Block]) -> np.ndarray:
 class Tree:
     """A decision tree by Gini impurity."""
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 6, least: int = 2):
+    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 6, least: int = 1):
         self.value = float(y.mean()) if len(y) else 0.0
         self.cut = None
         if depth and 0 < self.value < 1 and len(y) >= 2 * least:
