@@ -310,8 +310,9 @@ def decode(encoded: DataFrame, path: str, keep: list[str] | None = None) -> Data
     return _rows(encoded, keep or ["doc_id"], "ids", path, "text string", lambda bpe, ids: [("".join(bpe.decode(x or b"")),) for x in ids])
 
 
-def round_trip(docs: DataFrame, path: str, keep: list[str] | None = None) -> DataFrame:
-    """The ``keep`` columns with n_tokens and the digests of the ids and of the text decoded from them."""
+def round_trip(docs: DataFrame, path: str, keep: list[str] | None = None, with_ids: bool = False) -> DataFrame:
+    """The ``keep`` columns with n_tokens and the digests of the ids and of the text decoded from them,
+    and with ``with_ids`` the ids."""
     def digests(bpe, ids):
         text = hashlib.sha256()
         for part in bpe.decode(ids):
@@ -319,6 +320,8 @@ def round_trip(docs: DataFrame, path: str, keep: list[str] | None = None) -> Dat
         return len(ids) // 4, hashlib.sha256(ids).hexdigest(), text.hexdigest()
 
     def made(bpe, texts):
-        return [digests(bpe, x) for block in blocks(texts) for x in bpe.encode_block(block)]
+        return [(*digests(bpe, x), x)[:width] for block in blocks(texts) for x in bpe.encode_block(block)]
 
-    return _rows(docs, keep or ["doc_id"], "text", path, "n_tokens long, ids_sha256 string, decoded_sha256 string", made)
+    fields = "n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids binary" * with_ids
+    width = 3 + with_ids
+    return _rows(docs, keep or ["doc_id"], "text", path, fields, made)

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from relmine.llm.common import table
 
 
-def _vocabulary(name: str) -> str:
+def vocabulary(name: str) -> str:
     import public_tokenizers
 
     return public_tokenizers.path(name)
@@ -18,13 +18,19 @@ def _vocabulary(name: str) -> str:
 def op1_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     from relmine.llm.bpe import round_trip
 
-    return round_trip(table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
+    return round_trip(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from relmine.llm.tokencount import token_counts
 
-    return token_counts(table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"), limit=4096)
+    return token_counts(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), limit=4096)
+
+
+def op3_kneser_ney_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from relmine.llm.quality import quality
+
+    return quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).drop("tid")
 
 
 def op4_block_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,6 +40,12 @@ def op4_block_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nearest(vectors, vectors.where("vec_id % 50 = 0"), k=5)
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from relmine.llm.toxicity import toxicity
+
+    return toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     from relmine.llm.extraction import extract
 
@@ -52,6 +64,12 @@ def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), shingle=4, bits=4)
 
 
+def op9_language_fusion(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from relmine.llm.language import identify
+
+    return identify(table(spark, sf_dir, "pages"), table(spark, sf_dir, "documents"))
+
+
 def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from relmine.llm.decontaminate import contamination
 
@@ -61,10 +79,13 @@ def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFram
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bpe_round_trip": op1_bpe_round_trip,
     "op2_token_counts": op2_token_counts,
+    "op3_kneser_ney_quality": op3_kneser_ney_quality,
     "op4_block_nearest": op4_block_nearest,
+    "op5_toxicity": op5_toxicity,
     "op6_html_extraction": op6_html_extraction,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_simhash_near_dedup": op8_simhash_near_dedup,
+    "op9_language_fusion": op9_language_fusion,
     "op10_benchmark_decontamination": op10_benchmark_decontamination,
 }
 

@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relmine.llm.common import components, saved
+from relmine.llm.common import components, saved, text_key
 
 #: Generator polynomial of the (23, 12) Golay code, segment widths, hash seed.
 GOLAY_POLY = 0b101011100011
@@ -116,13 +116,13 @@ _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuv
 
 
 def fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
-    """(doc_id, fp): one row per row of ``docs``, the fingerprint as a signed long."""
+    """(doc_id, tid, fp): one row per row of ``docs``, the fingerprint as a signed long; tid tells apart texts under one id."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = np.array([fingerprint(t, shingle) for t in b.column(1).to_pylist()], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp)], names=["doc_id", "fp"])
+            fp = np.array([fingerprint(t, shingle) for t in b.column(2).to_pylist()], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fp)], names=["doc_id", "tid", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tid"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, tid long, fp long")
 
 
 def _merge(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
@@ -240,13 +240,31 @@ def fuzzy_links(prints: DataFrame, bits: int = 4, hot: int = 8192) -> DataFrame:
     return edges.unionByName(pairs.groupBy("key", "lo", "hi").applyInPandas(block_pair, "u long, v long"))
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 4, bits: int = 4) -> DataFrame:
-    """(doc_id, fingerprint, component_id): one row per row of ``docs``."""
+def grouped(docs: DataFrame, shingle: int = 4, bits: int = 4) -> tuple[DataFrame, DataFrame]:
+    """The fingerprints of ``docs``, and (fp, root) for each different fingerprint."""
     prints = saved(fingerprints(docs, shingle), "prints")
     groups = components(fuzzy_links(prints, bits))
+    own = prints.select("fp").distinct()
+    return prints, own.join(groups, F.col("fp") == F.col("node"), "left").select("fp", F.coalesce("root", "fp").alias("root"))
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 4, bits: int = 4) -> DataFrame:
+    """(doc_id, fingerprint, component_id): one row per row of ``docs``."""
+    prints, rooted = grouped(docs, shingle, bits)
     # the smallest doc_id of each fingerprint first, then of each component: copies never meet unsummed
-    least = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    rooted = least.join(groups, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("root", "fp"))
-    heads = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = rooted.select("fp", "root").join(heads, "root").select("fp", "component_id")
+    least = prints.groupBy("fp").agg(F.min("doc_id").alias("least")).join(rooted, "fp")
+    heads = least.groupBy("root").agg(F.min("least").alias("component_id"))
+    named = least.select("fp", "root").join(heads, "root").select("fp", "component_id")
     return prints.join(named, "fp", "left").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def representatives(docs: DataFrame, shingle: int = 4, bits: int = 4) -> DataFrame:
+    """The rows of ``docs`` that stay when each component keeps the row with its smallest doc_id, nulls last."""
+    prints, rooted = grouped(docs, shingle, bits)
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tid")
+    least = prints.groupBy("fp").agg(F.min(order).alias("least"), F.count("*").alias("n")).join(rooted, "fp")
+    heads = saved(least.groupBy("root").agg(F.min("least").alias("head")).select(F.col("head.doc_id").alias("own_id"), F.col("head.tid").alias("own_tid")), "heads")
+    kept = docs.withColumn("tid", text_key()).join(heads, F.col("doc_id").eqNullSafe(F.col("own_id")) & (F.col("tid") == F.col("own_tid")), "left_semi")
+    # the head itself may stand in the table more than once, as the same id with the same text
+    again = prints.groupBy("doc_id", "tid").agg(F.count("*").alias("n")).where("n > 1").limit(1).count()
+    return (kept.dropDuplicates(["doc_id", "tid"]) if again else kept).drop("tid")
