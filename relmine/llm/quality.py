@@ -8,9 +8,10 @@ So the model's tables are bounded by the alphabet, not by the corpus, while all
 counts cover all trusted text: each task counts its n-grams, counts meet sharded
 by n-gram, and continuation counts, context totals and discounts are grouped
 joins of those counts. The tables are broadcast, at most ``ALPHABET ** 3``
-numbers, and give each document's perplexity. A language's threshold is a
-quantile of its trusted documents' perplexities with a margin; languages with few trusted
-documents use the quantile over all.
+numbers, and give each document's perplexity. One trusted document in ``folds`` is
+not trained on: a language's threshold is a quantile of the perplexities of
+those, with a margin. Languages with few of them use the quantile over all, and
+where all are few, that of all trusted documents.
 
 Defined cases: null and empty texts have no words, the perplexity of an average
 text, and are kept; short texts are drawn to the average by ``prior`` words;
@@ -213,19 +214,21 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
 
 
-def quality(docs: DataFrame, labels: DataFrame, quantile: float = 0.99, margin: float = 1.1, prior: float = 20.0, share: float = 1e-3, enough: int = 50) -> DataFrame:
+def quality(docs: DataFrame, labels: DataFrame, quantile: float = 0.99, margin: float = 1.05, prior: float = 20.0, share: float = 1e-3, enough: int = 50, folds: int = 5) -> DataFrame:
     """(doc_id, tid, lang, n_words, perplexity, threshold, accepted), a row for each row of ``docs``."""
     vocabulary = frequent_words(docs, share, ALPHABET - len(FORMS))
     texts = saved(coded(docs, vocabulary), "codes")
-    trusted = trusted_ids(labels)
-    model = train(texts.join(trusted, "doc_id", "left_semi"))
+    trusted = trusted_ids(labels).withColumn("fold", F.pmod(F.xxhash64("doc_id"), F.lit(folds)))
+    model = train(texts.join(trusted.where("fold > 0"), "doc_id", "left_semi"))
     if model is None:
         return texts.select("doc_id", "tid", "lang", F.length("codes").cast("long").alias("n_words"), F.lit(None).cast("double").alias("perplexity"), F.lit(None).cast("double").alias("threshold"), F.lit(True).alias("accepted"))
     scored = saved(perplexities(texts, model, prior), "perplexities")
-    good = scored.join(trusted, "doc_id", "left_semi")
-    cut = F.percentile_approx("perplexity", quantile, 10_000)
-    every = good.agg((cut * margin).alias("pooled"))
-    by_lang = good.groupBy("lang").agg(F.count("*").alias("n"), (cut * margin).alias("own")).where(F.col("n") >= enough).select(F.col("lang").alias("of"), "own")
+    good = scored.join(trusted, "doc_id").select("lang", "perplexity", "fold")
+    cut = F.percentile_approx("perplexity", quantile, 10_000) * margin
+    unseen = F.col("fold") == 0
+    few = F.count_if(unseen) < enough
+    every = good.agg(F.when(few, cut).otherwise(F.percentile_approx(F.when(unseen, F.col("perplexity")), quantile, 10_000) * margin).alias("pooled"))
+    by_lang = good.where(unseen).groupBy("lang").agg(F.count("*").alias("n"), cut.alias("own")).where(F.col("n") >= enough).select(F.col("lang").alias("of"), "own")
     joined = scored.join(by_lang, F.col("lang").eqNullSafe(F.col("of")), "left").join(F.broadcast(every), F.lit(True), "left")
     threshold = F.coalesce("own", "pooled")
     return joined.select("doc_id", "tid", "lang", "n_words", "perplexity", threshold.alias("threshold"), F.coalesce(F.col("perplexity") <= threshold, F.lit(True)).alias("accepted"))
