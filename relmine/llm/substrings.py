@@ -173,6 +173,7 @@ def repeated_spans(docs: DataFrame, window: int = 50, gram: int = 8, hot: int =
     warm = _by_window(words.where(F.col("n") > hot).select("g", "digest", "owner", "words"), window)
     parts = cold.unionByName(warm).groupBy("g", "digest").agg(F.collect_set(F.struct("a", "b")).alias("parts"))
     known = distinct.select("g", "digest", "last", F.col("owner").alias("first")).join(parts, ["g", "digest"], "left").where("last > first or parts is not null")
+    known = saved(known, "known")  # so that the join of a passage's many copies can be split
     hit = own.join(known, ["g", "digest"])
     whole = F.array(F.struct(F.col("lo").alias("a"), (F.col("hi") + window).alias("b")))
     moved = F.transform(F.coalesce("parts", F.array().cast("array<struct<a:int,b:int>>")), lambda p: F.struct((p.a + F.col("lo")).alias("a"), (p.b + F.col("lo")).alias("b")))
