@@ -13,8 +13,9 @@ from collections.abc import Sequence
 from functools import reduce
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 from relmine.functions.statistics import chi2_tail
 from relmine.model import Config, Relation
@@ -54,7 +55,7 @@ def chi2(df: DataFrame, rels: Sequence[Relation], cfg: Config, left_out: dict[st
     hits = reduce(DataFrame.unionByName, parts)
     by = hits.join(all_, ["col", "value"])
     # every left-out column shows all of a rule's violations
-    each = by.withColumn("total", F.sum("k").over(_window())).withColumn("p", F.col("total") / n)
+    each = by.withColumn("total", F.sum("k").over(Window.partitionBy("cand_id", "col"))).withColumn("p", F.col("total") / n)
     spread = F.col("n") * F.col("p") * (1 - F.col("p"))
     gap = F.abs(F.col("k") - F.col("n") * F.col("p"))
     if cfg.yates:
@@ -64,13 +65,7 @@ def chi2(df: DataFrame, rels: Sequence[Relation], cfg: Config, left_out: dict[st
     return stat.join(F.broadcast(sizes), "col").select("cand_id", "col", F.when((F.col("values") > 1) & (F.col("p") < 1), value).alias("chi2"), (F.col("values") - 1).alias("df"), "violations", F.lit(n).cast("bigint").alias("n_rows"))
 
 
-def _window():
-    from pyspark.sql import Window
-
-    return Window.partitionBy("cand_id", "col")
-
-
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def tail(x: pd.Series, df: pd.Series) -> pd.Series:
     return pd.Series([chi2_tail(a, b) if a == a and a is not None else 1.0 for a, b in zip(x, df)])
 
