@@ -13,7 +13,7 @@ from relmine.bench import carriers
 from relmine.functions.measures import MEASURES, explanation, measures, pair_counts, reliable_information
 from relmine.functions.expressions import opt
 from relmine.model import Config, Relation
-from relmine.operators.satisfy import satisfied
+from relmine.operators.satisfy import exact_columns, holds, satisfied
 from relmine.plans.framework import reliability, verify
 
 
@@ -67,28 +67,31 @@ def framework_scores(df: DataFrame, items: Sequence[tuple[Relation, bool]], cfg:
     labels = spark.createDataFrame([(r.cand_id, y) for r, y in items], "cand_id string, label boolean")
     if cfg.setting == "dirty":
         got = reliability(verify(df, [r for r, _ in items], cfg))
-    else:  # positives hold on all rows; each negative has a table of its own
-        parts = [reliability(verify(df, [r for r, y in items if y], cfg))]
-        for r, y in items:
-            if not y:
-                view = clean_view(df, r, y, cfg).select(*r.columns).cache()
-                parts.append(reliability(verify(view, [r], cfg)) if view.limit(2).count() == 2 else spark.createDataFrame([(r.cand_id, 0.0)], "cand_id string, reliability double"))
-        got = reduce(DataFrame.unionByName, parts)
+    else:
+        # positives hold on all rows; each negative is tested on the rows that satisfy it, a table of its own without rules to prune it
+        alone = cfg.but(setting="dirty", tau=0.0, use_independence=False, use_minimality=False)
+        got = reliability(verify(df, [r for r, y in items if y], cfg)).unionByName(reliability(verify(df, [r for r, y in items if not y], alone)))
     return got.join(labels, "cand_id").select("cand_id", F.col("reliability").alias("score"), "label")
 
 
 def baseline_scores(df: DataFrame, items: Sequence[tuple[Relation, bool]], cfg: Config, rfi: bool = False) -> DataFrame:
     """(method, cand_id, score, label) of all measures on the same views."""
     labels = df.sparkSession.createDataFrame([(r.cand_id, y) for r, y in items], "cand_id string, label boolean")
-    counts = [pair_counts(df if cfg.setting == "dirty" else clean_view(df, r, y, cfg), [(r.cand_id, r.inputs, r.output)]) for r, y in items]
-    joint = reduce(DataFrame.unionByName, counts)
+    named = [(r.cand_id, r.inputs, r.output) for r, _ in items]
+    if cfg.setting == "dirty":
+        joint = pair_counts(df, named)
+    elif items[0][0].kind == "FD":
+        joint = reduce(DataFrame.unionByName, [pair_counts(clean_view(df, r, y, cfg), [n]) for (r, y), n in zip(items, named)])
+    else:
+        joint = pair_counts(df, named, [None if y else holds(r, exact=exact_columns(df, r), cfg=cfg) for r, y in items])
+    joint = joint.cache()
     wide = measures(joint)
     long = wide.select(F.col("cand").alias("cand_id"), F.inline(F.array(*(F.struct(F.lit(m).alias("method"), F.col(m).cast("double").alias("score")) for m in MEASURES))))
     if rfi:
         more = reliable_information(joint)
         long = long.unionByName(more.select(F.col("cand").alias("cand_id"), F.inline(F.array(*(F.struct(F.lit(m).alias("method"), F.col(m).alias("score")) for m in ("rfi", "rfi_norm"))))))
     for r, y in items:
-        if r.expr is not None:
+        if r.expr is not None and r.kind == "AR":
             long = long.unionByName(explanation(df if cfg.setting == "dirty" else clean_view(df, r, y, cfg), r).select("cand_id", F.lit("explain").alias("method"), "score"))
     return long.join(F.broadcast(labels), "cand_id").select("method", "cand_id", F.coalesce("score", F.lit(0.0)).alias("score"), "label")
 

@@ -205,7 +205,7 @@ def _(spark, d):
     return satisfy.satisfaction(carriers.ar_lineitem(spark, d), rels).select("rule", "hits", "n_rows")
 
 
-@query("gen_affine", f"with {AR} select 'qty' as x, 'ship_c' as y, round(regr_slope(ship_c, qty), {DIGITS}) as slope, round(regr_intercept(ship_c, qty), {DIGITS}) as intercept from ar")
+@query("gen_affine", f"with {AR} select 'qty' as x, 'ship_c' as y, round(regr_slope(ship_c, qty), {DIGITS}) as slope, round(regr_intercept(ship_c, qty), {DIGITS}) + 0.0 as intercept from ar")
 def _(spark, d):
     got = generate.affine(carriers.ar_lineitem(spark, d).select("qty", "ship_c"), Config()).where("x = 'qty'")
     return rounded(got.select("x", "y", "slope", "intercept"), "slope", "intercept")

@@ -18,12 +18,13 @@ from pyspark.sql import functions as F
 MEASURES = ("chi", "mi", "fi", "smi", "rho", "g1", "g1s", "g1sp", "g2", "g3", "g3n", "pdep", "mu", "tau")
 
 
-def pair_counts(df: DataFrame, pairs: Sequence[tuple[str, Sequence[str], str]]) -> DataFrame:
-    """(cand, x, y, n) of (name, inputs, output) triples in one pass; several inputs are one struct as text, so no
-    delimiter inside a cell can make two keys equal."""
+def pair_counts(df: DataFrame, pairs: Sequence[tuple[str, Sequence[str], str]], only: Sequence[Column | None] | None = None) -> DataFrame:
+    """(cand, x, y, n) of (name, inputs, output) triples in one pass; several inputs are one array as text, so no
+    delimiter inside a cell can make two keys equal. ``only`` has the rows that count for each triple."""
     key = lambda cols: F.to_json(F.array(*(F.coalesce(F.col(c).cast("string"), F.lit("\x00null")) for c in cols)))
-    rows = F.array(*(F.struct(F.lit(name).alias("cand"), key(xs).alias("x"), F.coalesce(F.col(y).cast("string"), F.lit("\x00null")).alias("y")) for name, xs, y in pairs))
-    return df.select(F.inline(rows)).groupBy("cand", "x", "y").agg(F.count("*").alias("n"))
+    keep = lambda i: F.lit(True) if only is None or only[i] is None else F.coalesce(only[i], F.lit(False))
+    rows = F.array(*(F.struct(F.lit(name).alias("cand"), key(xs).alias("x"), F.coalesce(F.col(y).cast("string"), F.lit("\x00null")).alias("y"), keep(i).alias("k")) for i, (name, xs, y) in enumerate(pairs)))
+    return df.select(F.inline(rows)).where("k").groupBy("cand", "x", "y").agg(F.count("*").alias("n"))
 
 
 def _xlog(n: Column) -> Column:

@@ -22,7 +22,7 @@ from relmine.operators.satisfy import dependency_map, exact_columns, holds, sati
 OUTCOME = "cand_id string, trial bigint, mask bigint, survived int"
 
 
-def trial_bank(df: DataFrame, columns: Sequence[str], n: int, seed: int = 42, rows: int | None = None) -> DataFrame:
+def trial_bank(df: DataFrame, columns: Sequence[str], n: int, seed: int = 42) -> DataFrame:
     """(trial, a, b): about ``n`` pairs of different rows.
 
     The rows with the smallest hashes of all cells are drawn, a top-k per task
@@ -30,13 +30,12 @@ def trial_bank(df: DataFrame, columns: Sequence[str], n: int, seed: int = 42, ro
     than 2n rows is drawn again with other hashes. Where many rows are equal in
     all cells, their hashes also take in where the row was read.
     """
-    rows = df.count() if rows is None else rows
+    text = F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in sorted(df.columns)))
+    rows, different = df.agg(F.count("*"), F.approx_count_distinct(F.xxhash64(text), 0.02)).first()
     if rows < 2:
         return df.select(F.lit(0).cast("bigint").alias("trial"), F.struct(*columns).alias("a"), F.struct(*columns).alias("b")).limit(0)
     cols, rounds, half = sorted(set(columns)), max(1, -(-2 * n // rows)), min(rows, 2 * n) // 2
-    text = F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in sorted(df.columns)))
-    alike = rows > 1.1 * df.select(F.approx_count_distinct(F.xxhash64(text), 0.02)).first()[0]
-    tie = F.monotonically_increasing_id().cast("string") if alike else F.lit("")
+    tie = F.monotonically_increasing_id().cast("string") if rows > 1.1 * different else F.lit("")
     many = df.select(*cols, text.alias("_t"), tie.alias("_i")).withColumn("_n", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))) if rounds > 1 else F.lit(0))
     keyed = many.withColumn("_k", F.md5(F.concat_ws("|", "_t", "_i", "_n", F.lit(str(seed)))))
     drawn = keyed if rounds > 1 else keyed.orderBy("_k", *cols).limit(2 * half)
