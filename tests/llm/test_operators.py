@@ -1,0 +1,264 @@
+"""Each operator against brute force or a library, and its defined cases."""
+
+import hashlib
+import random
+import re
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from relmine.llm import bpe, common, decontaminate, extraction, language, neighbours, quality, simhash, substrings, tokencount, toxicity
+
+P = pytest.importorskip("public_tokenizers")
+DOC = "doc_id long, text string, lang string, source string, n_chars long, n_hit string, tid string"
+
+
+def docs(spark, texts, ids=None):
+    """Documents with nulls and with extra columns of clashing names."""
+    ids = ids if ids is not None else list(range(len(texts)))
+    return spark.createDataFrame([(i, t, "en", None, None, "x", "y") for i, t in zip(ids, texts)], DOC)
+
+
+ODD = [None, "", " ", "a", "word " * 3, "x" * 3000, "same text here " * 20, "same text here " * 20, "\n\t\x00", "日本語 ünï"]
+ODD_IDS = [0, 1, 2, 3, 4, 5, 6, 6, None, 9]
+
+
+def test_bpe_like_the_library(spark):
+    from tokenizers import Tokenizer
+
+    lib, own = Tokenizer.from_file(P.path("byte_bpe_50k.json")), bpe.ByteBpe(P.path("byte_bpe_50k.json"))
+    rng = random.Random(1)
+    parts = ["a", "th", " ", "  ", "\n", "é", "日本", "😀", "ÃÂ", "'s", "12", "<|endoftext|>", "!!!", "\x85", "　", "the", "===", "\x1c"]
+    texts = ["".join(rng.choices(parts, k=rng.randint(0, 40))) for _ in range(400)] + ["", "ab" * 2000, "=" * 2000, "thing" * 800, "ÃÂ" * 700]
+    for t, e in zip(texts, lib.encode_batch(texts, add_special_tokens=False)):
+        ids = own.encode(t)
+        assert np.frombuffer(ids, "<u4").tolist() == e.ids
+        assert "".join(own.decode(ids)) == lib.decode(e.ids, skip_special_tokens=False)
+    df = docs(spark, ODD, ODD_IDS)
+    got = bpe.decode(bpe.encode(df, P.path("byte_bpe_50k.json")), P.path("byte_bpe_50k.json")).collect()
+    assert sorted(r["text"] for r in got) == sorted(t or "" for t in ODD)
+
+
+def test_stream_keeps_a_bounded_buffer():
+    own = bpe.ByteBpe(P.path("byte_bpe_50k.json"))
+    data = "".join(random.Random(2).choices("abcdefg", k=20_000)).encode()
+    pieces = list(own.stream(data[i:i + 500] for i in range(0, len(data), 500)))
+    assert [i for p in pieces for i in p] == own.merge(data)
+    assert sum(len(p) > 0 for p in pieces) > 10
+
+
+def test_token_counts_like_the_library(spark):
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model"))
+    own, tiny = tokencount.PieceCounter(P.path("piece_bpe_32k.model")), tokencount.PieceCounter(P.path("piece_bpe_32k.model"), chunk=200, overlap=8)
+    rng = random.Random(3)
+    texts = ["".join(rng.choices(["a", "the", " ", "  ", "\n", "é", "日本", "▁", "<s>", ".", "ing", " Ñ"], k=rng.randint(0, 400))) for _ in range(200)] + ["", " ", "ab" * 900, "日" * 700, "x " * 700]
+    for t in texts:
+        n = len(sp.encode(t))
+        assert own.count(t) == n and tiny.count(t) == n
+    got = tokencount.token_counts(docs(spark, ODD, ODD_IDS), P.path("piece_bpe_32k.model"), limit=100)
+    assert sorted((r["n_bytes"], r["n_tokens"]) for r in got.collect()) == sorted((len((t or "").encode()), len(sp.encode(t or ""))) for t in ODD)
+
+
+def test_golay_keys_meet_at_two_bits():
+    rng = np.random.default_rng(0)
+    w = rng.integers(0, 1 << 23, 500).astype(np.uint32)
+    flips = (np.uint32(1) << rng.integers(0, 23, (2, 500)).astype(np.uint32))
+    for a, b in zip(simhash.segment_keys(w, 23), simhash.segment_keys(w ^ flips[0] ^ flips[1], 23)):
+        assert set(a[a >= 0]) & set(b[b >= 0])
+
+
+@pytest.mark.parametrize("hot", [8192, 8])
+def test_simhash_components(spark, hot):
+    rng = random.Random(4)
+    base = rng.getrandbits(64)
+    prints = {rng.getrandbits(64) for _ in range(200)} | {base ^ (1 << rng.randrange(64)) ^ (1 << rng.randrange(64)) for _ in range(60)}
+    f = np.array(sorted(prints), np.uint64)
+    df = spark.createDataFrame([(int(x),) for x in f.view(np.int64)], "fp long")
+    got = {r["node"]: r["root"] for r in common.components(simhash.fuzzy_links(df, hot=hot)).collect()}
+    x, y = np.nonzero(np.bitwise_count(f[:, None] ^ f[None, :]) <= 4)
+    parent = np.arange(len(f))
+    order = np.argsort(f.view(np.int64))
+    rank = np.empty(len(f), int)
+    rank[order] = np.arange(len(f))
+    simhash._merge(parent, rank[x], rank[y])
+    ids = f.view(np.int64)[order]
+    assert all(got.get(int(ids[i]), int(ids[i])) == int(ids[parent[i]]) for i in range(len(f)))
+
+
+def test_simhash_odd_rows(spark):
+    got = simhash.near_duplicates(docs(spark, ODD, ODD_IDS)).collect()
+    assert len(got) == len(ODD)
+    zero = [r for r in got if r["fingerprint"] == "0" * 16]
+    assert {r["component_id"] for r in zero} == {0} and len(zero) == 3
+    kept = simhash.representatives(docs(spark, ODD, ODD_IDS))
+    assert sorted(r["doc_id"] for r in kept.where("doc_id is not null").collect()) == [0, 3, 4, 5, 6, 9]
+    assert simhash.near_duplicates(docs(spark, [])).count() == 0
+
+
+def _removed(rows, window):
+    seen, out = {}, {}
+    for i, w in sorted(rows):
+        gone = set()
+        for k in range(len(w) - window + 1):
+            if seen.get(tuple(w[k:k + window]), i) < i:
+                gone.update(range(k, k + window))
+        for k in range(len(w) - window + 1):
+            seen.setdefault(tuple(w[k:k + window]), i)
+        out[i] = [x for k, x in enumerate(w) if k not in gone]
+    return out
+
+
+@pytest.mark.parametrize("hot", [4096, 1])
+def test_substrings_by_brute_force(spark, hot, monkeypatch):
+    monkeypatch.setattr(substrings.repeated_spans, "__defaults__", (10, 3, hot, 200))
+    rng = random.Random(5)
+    shared = [[rng.choice("abcdef") + str(rng.randrange(30)) for _ in range(n)] for n in (9, 10, 14, 40)]
+    rows = []
+    for i in range(40):
+        own = lambda n: [f"w{rng.randrange(10**6)}" for _ in range(n)]
+        rows.append((i, own(rng.randrange(8)) + rng.choice(shared) + own(rng.randrange(8)) + rng.choice(shared)))
+    df = docs(spark, [" ".join(w) for _, w in rows], [i for i, _ in rows])
+    want = _removed(rows, 10)
+    got = {r["doc_id"]: r for r in substrings.deduplicated(df, window=10, gram=3).collect()}
+    for i, w in rows:
+        assert got[i]["n_words"] == len(w) and got[i]["n_removed"] == len(w) - len(want[i])
+        assert got[i]["kept_sha256"] == hashlib.sha256(" ".join(want[i]).encode()).hexdigest()
+
+
+def test_substrings_odd_rows(spark):
+    got = substrings.deduplicated(docs(spark, ODD, ODD_IDS), with_text=True, keep=["lang"]).collect()
+    assert len(got) == len(ODD) and all(r["n_removed"] == 0 for r in got)
+    assert substrings.deduplicated(docs(spark, [])).count() == 0
+
+
+def test_decontamination_by_hand(spark):
+    item = "one two three four five six seven eight nine ten eleven twelve thirteen fourteen"
+    bench = spark.createDataFrame([(7, item), (8, "Short item"), (9, None), (10, ""), (7, item)], "item_id long, text string")
+    texts = [f"x {item.upper()} y", "a short, ITEM here", "one two three", None, "", "short item " * 40, " ".join(["pad"] * 300) + " short item"]
+    got = {r["doc_id"]: r for r in decontaminate.contamination(docs(spark, texts), bench).collect()}
+    assert (got[0]["n_words"], got[0]["n_hit"], got[0]["n_items"], got[0]["contaminated"]) == (16, 14, 1, True)
+    assert (got[1]["n_hit"], got[1]["items_sha256"]) == (2, hashlib.sha256(b"8").hexdigest())
+    assert [got[i]["n_hit"] for i in (2, 3, 4, 5, 6)] == [0, 0, 0, 80, 2] and not got[6]["contaminated"] and not got[4]["contaminated"]
+    assert decontaminate.contamination(docs(spark, ODD, ODD_IDS), bench.limit(0)).where("n_hit > 0 or contaminated").count() == 0
+    assert decontaminate.contamination(docs(spark, []), bench).count() == 0
+
+
+def test_decontamination_is_native(spark):
+    bench = spark.createDataFrame([(1, "some words of an item")], "item_id long, text string")
+    plan = decontaminate.contamination(docs(spark, ["some words"]), bench)._jdf.queryExecution().executedPlan().toString()
+    assert not re.search("Python|Pandas|Arrow", plan)
+
+
+def test_neighbours_by_brute_force(spark):
+    rng = np.random.default_rng(6)
+    v = rng.normal(size=(300, 16)).astype(np.float32)
+    v[40:60] = v[40]
+    v[7] = 0
+    rows = [(i, [float(x) for x in r]) for i, r in enumerate(v)] + [(900, None), (901, [1.0, None]), (902, [float("nan")] * 16), (None, [1.0] * 16)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = neighbours.nearest(df, df.where("vec_id % 50 = 0"), k=5, query_block=3, block=70).collect()
+    by = {}
+    for r in got:
+        by.setdefault(r["query_id"], []).append(r)
+    assert set(by) == {0, 50, 100, 150, 200, 250}
+    ids = np.array([i for i in range(300) if i != 7])
+    for q, rs in by.items():
+        s = neighbours.cosine(np.repeat(v[q:q + 1].astype(float), len(ids), 0), v[ids].astype(float))
+        s[ids == q] = -9
+        best = np.lexsort((ids, -s))[:5]
+        assert [r["vec_id"] for r in sorted(rs, key=lambda r: r["rank"])] == ids[best].tolist()
+    assert neighbours.nearest(df.limit(0), df.limit(0)).count() == 0
+
+
+def test_quantisation_bound_holds():
+    rng = np.random.default_rng(7)
+    a = rng.normal(size=(50, 24))
+    codes, scale, err, norm = neighbours.quantised(a)
+    unit = a / np.linalg.norm(a, axis=1, keepdims=True)
+    near = (codes * scale[:, None]) @ (codes * scale[:, None]).T
+    assert (np.abs(unit @ unit.T - near) <= err[None, :] + err[:, None] * norm[None, :] + 1e-12).all()
+
+
+def test_levenshtein_automaton_by_enumeration():
+    def distance(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a):
+            now = [i + 1]
+            for j, y in enumerate(b):
+                now.append(min(now[j] + 1, row[j + 1] + 1, row[j] + (x != y)))
+            row = now
+        return row[-1]
+
+    rng = random.Random(8)
+    for _ in range(60):
+        terms = {"".join(rng.choices("abc", k=rng.randint(3, 15))) for _ in range(6)}
+        trie = toxicity.Trie(terms)
+        for _ in range(60):
+            w = list(rng.choice(sorted(terms)))
+            for _ in range(rng.randint(0, 3)):
+                i = rng.randrange(len(w) + 1)
+                w[i:i + rng.randrange(2)] = rng.choice(["", "a", "b"])
+            w = "".join(w)
+            want = toxicity.EXACT if w in terms else toxicity.NEAR if len(w) >= 4 and any(distance(w, t) <= toxicity.edits(len(t)) for t in terms) else toxicity.NONE
+            assert trie.kind(w) == want
+
+
+def test_context_separates_quotation():
+    scan = toxicity.Scanner(toxicity.Trie({"scoundrel"}))
+    assert scan("you scoundrel")[0][2:] == (False, True)
+    assert scan('he said "scoundrel" and left')[0][2] is True
+    assert scan("you scoundrle")[0][1] == toxicity.NEAR if toxicity.edits(9) > 1 else scan("you scoundre")[0][1] == toxicity.NEAR
+
+
+def test_toxicity_held_out(spark):
+    sf = "/root/testdata/sf0.01"
+    d, labels = common.table(spark, sf, "documents"), common.table(spark, sf, "labels")
+    got = toxicity.toxicity(d, labels).join(labels, "doc_id").where("held_out").collect()
+    assert sum(r["predicted"] == r["toxic"] for r in got) >= 0.9 * len(got)
+    none = toxicity.toxicity(docs(spark, ODD, ODD_IDS), labels.limit(0)).collect()
+    assert len(none) == len(ODD) and all(0 <= r["score"] <= 1 for r in none)
+
+
+def test_extraction_cases(spark):
+    page = ("<html><head><title>T</title><script>var a='</p>';</script></head><body class=sidebar><nav><a href=1>Menu</a></nav><div class='cookie'>We use cookies, accept all of them.</div>"
+            "<article><h1>A &amp; B</h1><p>First   text\n here.<p>One.<br>Two</p><ul><li>Point</li></ul><div id=comments><p>I disagree with it all, as ever.</p></div></article>"
+            "<aside>Related things to read</aside><form><p>Sign up now</p></form><footer>All rights</footer></body>")
+    assert extraction.main_text(page) == "A & B\nFirst text here.\nOne. Two\nPoint"
+    rows = [(1, "u", page), (2, None, None), (3, "u", ""), (None, "u", "<p"), (5, "u", "<!-- <p>x"), (1, "u", page), (6, "u", "plain words only, without any markup at all")]
+    got = extraction.extract(spark.createDataFrame(rows, "page_id long, url string, html string"))
+    assert got.count() == len(rows) and got.where("n_chars <> length(text)").count() == 0
+    assert extraction.tree().predict(extraction.features(extraction.blocks(page))).shape
+
+
+def test_quality_orders_junk(spark):
+    sf = "/root/testdata/sf0.01"
+    d, labels = common.table(spark, sf, "documents"), common.table(spark, sf, "labels")
+    got = quality.quality(d, labels)
+    assert got.count() == d.count()
+    both = got.join(labels, "doc_id").groupBy("quality").agg(F.avg(F.col("accepted").cast("int")).alias("a"))
+    share = {r["quality"]: r["a"] for r in both.collect()}
+    assert share[1] > 0.97 and share[0] < 0.2
+    odd = quality.quality(docs(spark, ODD, ODD_IDS), labels.limit(0)).collect()
+    assert len(odd) == len(ODD) and all(r["accepted"] for r in odd)
+
+
+def test_kneser_ney_sums_to_one(spark):
+    rng = np.random.default_rng(9)
+    rows = [(bytes(rng.integers(16, 40, 60, dtype=np.uint8)),) for _ in range(30)]
+    m = quality.train(spark.createDataFrame(rows, "codes binary"))
+    p = np.exp(m.table.astype(float)).reshape(quality.ALPHABET, quality.ALPHABET, -1).sum(axis=2)
+    assert np.allclose(p, 1, atol=1e-3)
+
+
+def test_language_fusion(spark):
+    sf = "/root/testdata/sf0.001"
+    d = common.table(spark, sf, "documents")
+    pages = common.table(spark, sf, "pages")
+    got = language.identify(pages, d).collect()
+    assert sum(r["lang"] == r["url"].split("/")[3] for r in got) >= 0.95 * len(got) and len(got) == pages.count()
+    odd = spark.createDataFrame([(1, None, None), (2, "not a url", ""), (None, "http://a.fr/x", "<html lang=fr><p>le la les"), (1, None, None)], "page_id long, url string, html string")
+    assert language.identify(odd, d).count() == 4
+    assert language.identify(odd, docs(spark, [])).where("lang = 'und'").count() == 4
