@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from relmine.functions.statistics import hash_int
@@ -50,7 +50,7 @@ def wide(spark: SparkSession, sf_dir: str) -> DataFrame:
     supplier = t("supplier").join(t("nation"), F.col("s_nationkey") == F.col("n_nationkey")).join(t("region"), F.col("n_regionkey") == F.col("r_regionkey"))
     return (t("lineitem").join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(t("part"), F.col("l_partkey") == F.col("p_partkey"))
             .join(supplier, F.col("l_suppkey") == F.col("s_suppkey")).join(t("customer"), F.col("o_custkey") == F.col("c_custkey"))
-            .select("l_orderkey", "l_partkey", "s_suppkey", "o_custkey", "n_name", "r_name", "p_brand", "p_type", "o_orderstatus", "c_mktsegment", "c_nationkey", "l_returnflag", "l_linestatus"))
+            .select("l_orderkey", "l_partkey", "s_suppkey", "o_custkey", "n_name", "r_name", "p_brand", "p_type", "o_orderstatus", "c_mktsegment", "c_nationkey", "l_returnflag", "l_linestatus", "l_linenumber"))
 
 
 def noisy(df: DataFrame, rate: float, columns: Sequence[str], keys: Sequence[str], seed: int = 42) -> DataFrame:
@@ -64,6 +64,25 @@ def noisy(df: DataFrame, rate: float, columns: Sequence[str], keys: Sequence[str
     return df.withColumns({c: F.when(pick & (which == i), F.col(c) + amount).otherwise(F.col(c)) for i, c in enumerate(columns)})
 
 
+def mixed_up(df: DataFrame, rate: float, columns: Sequence[str], keys: Sequence[str], seed: int = 42, most: int = 256) -> DataFrame:
+    """``rate`` of the rows, picked by a hash of their keys, get one cell of ``columns`` replaced by another value of its column.
+
+    Each column offers the ``most`` values with the smallest hashes, so what is gathered does not grow with the rows.
+    """
+    cells = df.select(F.inline(F.array(*(F.struct(F.lit(i).alias("i"), F.col(c).cast("string").alias("v")) for i, c in enumerate(columns))))).where("v is not null").distinct()
+    nth = F.row_number().over(Window.partitionBy("i").orderBy(hash_int(F.col("v"), F.lit(f"val{seed}")), "v"))
+    offered: dict[int, list[str]] = {}
+    for r in cells.withColumn("nth", nth).where(F.col("nth") <= most).orderBy("i", "nth").collect():
+        offered.setdefault(r["i"], []).append(r["v"])
+    of_row = lambda tag: hash_int(*(F.col(k) for k in keys), F.lit(f"{tag}{seed}"))
+    pick, which, kinds, new = of_row("pick") % 1000 < int(rate * 1000), of_row("col") % len(columns), dict(df.dtypes), {}
+    for i, c in enumerate(columns):
+        if len(values := offered.get(i, [])) > 1:
+            at = lambda by: F.array(*map(F.lit, values))[((of_row("val") + by) % len(values)).cast("int")].cast(kinds[c])  # noqa: E731, B023
+            new[c] = F.when(pick & (which == i), F.when(at(0).eqNullSafe(F.col(c)), at(1)).otherwise(at(0))).otherwise(F.col(c))
+    return df.withColumns(new) if new else df
+
+
 def sized(df: DataFrame, rows: int, order: Sequence[str]) -> DataFrame:
     """``rows`` rows by hash order; a smaller table is repeated until it has them."""
     n = df.count()

@@ -34,13 +34,19 @@ AR_NEGATIVE = (
 AR_REDUNDANT = {"clean": ar("+", ("-", "ext_c", "disc_c"), "zero_c", "net_c"), "dirty": ar("+", ("-", "ext_c", "disc_c"), "e_flag", "net_c")}
 AR_INCOMPLETE = ar("+", "net_c", "tax_c", "due_c")
 FD_POSITIVE = tuple(Relation("FD", (x,), y) for x, y in (("n_name", "r_name"), ("s_suppkey", "n_name"), ("l_partkey", "p_brand"), ("l_partkey", "p_type"), ("o_custkey", "c_mktsegment"), ("o_custkey", "c_nationkey")))
-FD_NEGATIVE = tuple(Relation("FD", (x,), y) for x, y in (("c_nationkey", "c_mktsegment"), ("l_returnflag", "l_linestatus"), ("p_brand", "o_orderstatus"), ("n_name", "l_linestatus"), ("c_mktsegment", "o_orderstatus"), ("p_type", "l_returnflag")))
+FD_NEGATIVE = tuple(Relation("FD", (x,), y) for x, y in (("c_nationkey", "c_mktsegment"), ("l_returnflag", "l_linestatus"), ("p_brand", "o_orderstatus"), ("n_name", "l_linestatus"), ("c_mktsegment", "o_orderstatus"), ("p_type", "l_returnflag"),
+                                                                    ("p_brand", "rare"), ("c_mktsegment", "rare")))
 ST_POSITIVE = (
     Relation("ST", ("p_name",), "w1", ("token", "p_name", opt(" "), opt(1))), Relation("ST", ("p_name",), "w2", ("token", "p_name", opt(" "), opt(2))),
-    Relation("ST", ("w1", "w2"), "p_name", ("concat", "w1", ("lit", " "), "w2")))
+    Relation("ST", ("w1", "w2"), "p_name", ("concat", "w1", ("lit", " "), "w2")), Relation("ST", ("p_brand",), "brand_no", ("token", "p_brand", opt("#"), opt(2))))
 ST_NEGATIVE = (
-    Relation("ST", ("p_brand",), "other", ("slice", "p_brand", opt(1), opt(6))), Relation("ST", ("p_type",), "flag", ("slice", "p_type", opt(1), opt(1))),
-    Relation("ST", ("p_name",), "flag", ("slice", "p_name", opt(1), opt(1))))
+    Relation("ST", ("p_brand",), "other", ("slice", "p_brand", opt(1), opt(7))), Relation("ST", ("p_brand",), "flag", ("slice", "p_brand", opt(1), opt(1))),
+    Relation("ST", ("p_name",), "same", ("slice", "p_name", opt(1), opt(1))))
+#: The columns whose cells the dirty setting changes, by kind.
+NOISED = {
+    "AR": ("net_c", "tax_c", "gross_c", "ext_c", "list_c", "total_c", "due_c"), "FD": ("n_name", "r_name", "s_suppkey", "l_partkey", "p_brand", "p_type", "o_custkey", "c_mktsegment", "c_nationkey", "rare"),
+    "ST": ("p_name", "w1", "w2", "p_brand", "brand_no", "other", "flag")}
+NOISE_KEYS = {"AR": ("l_orderkey", "l_linenumber", "l_partkey"), "FD": ("l_orderkey", "l_linenumber", "l_partkey", "s_suppkey"), "ST": ("p_partkey",)}
 
 
 def pool(kind: str, setting: str = "clean") -> list[tuple[Relation, bool]]:
@@ -54,10 +60,11 @@ def carrier(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
     if kind == "AR":
         return carriers.ar_lineitem(spark, sf_dir)
     if kind == "FD":
-        return carriers.wide(spark, sf_dir)
-    # a foreign text column put beside the rows by their number, and a near-constant one
-    part = carriers.st_part(spark, sf_dir)
-    return part.withColumn("other", F.concat(F.lit("Brand"), F.pmod(F.xxhash64("p_partkey"), F.lit(2)))).withColumn("flag", F.when(F.col("p_partkey") % 40 == 0, "x").otherwise(F.substring("p_type", 1, 1)))
+        return carriers.wide(spark, sf_dir).withColumn("rare", F.when(F.col("l_orderkey") % 25 == 0, "y").otherwise("n"))
+    # a foreign text of few values put beside the rows by their number, one that is nearly constant, and a constant one
+    number = F.pmod(F.xxhash64("p_partkey"), F.lit(2)) + 1
+    return carriers.st_part(spark, sf_dir).withColumns({
+        "brand_no": F.split_part("p_brand", F.lit("#"), F.lit(2)), "other": F.concat(F.lit("Brand#"), number), "flag": F.when(F.col("p_partkey") % 40 == 0, "x").otherwise("B"), "same": F.lit("s")})
 
 
 def clean_view(df: DataFrame, rel: Relation, label: bool, cfg: Config) -> DataFrame:
@@ -106,8 +113,9 @@ def quality(spark: SparkSession, sf_dir: str, kind: str, setting: str, n_max: in
     cfg = Config(setting=setting, n_max=n_max)
     df = carrier(spark, sf_dir, kind)
     items = pool(kind, setting)
-    if setting == "dirty" and kind == "AR":
-        df = carriers.noisy(df, 0.1, ("net_c", "tax_c", "gross_c", "ext_c", "list_c", "total_c", "due_c"), ("l_orderkey", "l_linenumber", "l_partkey"))
+    if setting == "dirty":
+        change = carriers.noisy if kind == "AR" else carriers.mixed_up
+        df = change(df, 0.1, NOISED[kind], NOISE_KEYS[kind])
     used = sorted({c for r, _ in items for c in r.columns})
     keys = [c for c in ("l_orderkey", "l_linenumber", "l_partkey", "p_partkey") if c in df.columns and c not in used]
     df = df.select(*used, *keys).cache()

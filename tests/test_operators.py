@@ -180,3 +180,26 @@ def test_pool_round_trip_and_corpus(spark, tmp_path):
 def test_scans_read_only_what_rules_need(spark, small):
     plan = carriers.ar_lineitem(spark, small).select("net_c")._jdf.queryExecution().executedPlan().toString()
     assert "l_shipdate" not in plan and "BatchEvalPython" not in plan
+
+
+def test_mixed_up_changes_one_cell_of_some_rows(spark):
+    from relmine.bench.carriers import mixed_up
+
+    df = spark.createDataFrame([(i, f"t{i % 7}", i % 5, None, "only") for i in range(400)], "k long, a string, b int, c string, d string")
+    after = {r["k"]: r for r in mixed_up(df, 0.1, ("a", "b", "c", "d"), ("k",)).collect()}
+    changed = [sum(after[r["k"]][c] != r[c] for c in df.columns) for r in df.collect()]
+    assert set(changed) == {0, 1} and 5 <= sum(changed) <= 60
+    assert {r["a"] for r in after.values()} <= {f"t{i}" for i in range(7)} and {r["c"] for r in after.values()} == {None}
+    assert mixed_up(df.limit(0), 0.1, ("a", "b"), ("k",)).count() == 0
+
+
+def test_pools_hold_as_labelled(spark):
+    """Positives hold on every row of the carrier; negatives do not."""
+    from relmine.bench import pools
+    from relmine.operators.satisfy import satisfaction
+
+    items = pools.pool("ST")
+    got = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(pools.carrier(spark, "/root/testdata/sf0.001", "ST"), [r for r, _ in items]).collect()}
+    for rel, label in items:
+        hits, rows = got[rel.cand_id]
+        assert (hits == rows) == label and hits > 0, rel.text
