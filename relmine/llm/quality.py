@@ -1,9 +1,7 @@
 """Quality by perplexity under an interpolated modified Kneser-Ney model of trusted text.
 
 Words become classes of a bounded alphabet: the most frequent words of the
-corpus keep a class of their own (every word above ``share`` of all words is
-found, since it has that share in some block of texts), others fall into classes
-of form, and a word that repeats the one or two before it has a class for that.
+corpus, by exact counts, keep a class of their own, others fall into classes of form, and a word that repeats the one or two before it has a class for that.
 So the model's tables are bounded by the alphabet, not by the corpus, while all
 counts cover all trusted text: each task counts its n-grams, counts meet sharded
 by n-gram, and continuation counts, context totals and discounts are grouped
@@ -58,26 +56,23 @@ def form(word: str) -> str:
     return "mixed" if odd == 0 else "symbol" if odd == 1 else "symbols"
 
 
-def frequent_words(docs: DataFrame, share: float, most: int) -> list[str]:
-    """At most ``most`` words, most frequent first, among those above ``share`` of all words."""
+def frequent_words(docs: DataFrame, most: int) -> list[str]:
+    """The ``most`` most frequent words of the corpus among those of plain letters, by their exact counts."""
     def run(batches):
         for b in batches:
-            n, total = Counter(), 0
+            n = Counter()
             for t in b.column(0).to_pylist():
-                words = (t or "").lower().split()
-                n.update(words)
-                total += len(words)
+                n.update((t or "").lower().split())
             own = Counter()
             for w, c in n.items():
-                if c >= 2:
-                    own[w.rstrip(ENDS)] += c
-            own = [(w, c) for w, c in own.items() if w and c >= share * total]
+                own[w.rstrip(ENDS)] += c
+            own = [(w, c) for w, c in own.items() if w and form(w) in ("short", "middle", "long", "longest")]
             if own:
                 w, c = zip(*own)
                 yield pa.RecordBatch.from_arrays([pa.array(w), pa.array(c, pa.int64())], names=["word", "n"])
 
     found = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    return [r["word"] for r in found.orderBy(F.desc("n"), "word").limit(most).collect() if form(r["word"]) in ("short", "middle", "long", "longest")]
+    return [r["word"] for r in found.orderBy(F.desc("n"), "word").limit(most).collect()]
 
 
 class Classes:
@@ -214,9 +209,9 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
 
 
-def quality(docs: DataFrame, labels: DataFrame, quantile: float = 0.99, margin: float = 1.05, prior: float = 20.0, share: float = 1e-3, enough: int = 50, folds: int = 5) -> DataFrame:
+def quality(docs: DataFrame, labels: DataFrame, quantile: float = 0.99, margin: float = 1.05, prior: float = 20.0, enough: int = 50, folds: int = 5) -> DataFrame:
     """(doc_id, tid, lang, n_words, perplexity, threshold, accepted), a row for each row of ``docs``."""
-    vocabulary = frequent_words(docs, share, ALPHABET - len(FORMS))
+    vocabulary = frequent_words(docs, ALPHABET - len(FORMS))
     texts = saved(coded(docs, vocabulary), "codes")
     trusted = trusted_ids(labels).withColumn("fold", F.pmod(F.xxhash64("doc_id"), F.lit(folds)))
     model = train(texts.join(trusted.where("fold > 0"), "doc_id", "left_semi"))

@@ -1,0 +1,17 @@
+from relmine.llm import quality
+
+
+def test_frequent_words_do_not_depend_on_the_batches(spark):
+    """A word that each batch holds once is counted, and words of other forms take no place."""
+    texts = [f"common filler{chr(97 + i % 26)}{chr(97 + i // 26)} 12 34 56 12 34 56" for i in range(300)]
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    size = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    got = []
+    try:
+        for rows in ("1", "7", "10000"):
+            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
+            got.append(quality.frequent_words(docs, most=5))
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+    assert got[0] == got[1] == got[2]
+    assert got[0] == ["common", "filleraa", "fillerab", "fillerac", "fillerad"]
