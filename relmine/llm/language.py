@@ -45,11 +45,12 @@ def buckets(text: str) -> np.ndarray:
     return (((c[:-2] * np.uint64(31) + c[1:-1]) * np.uint64(1009) + c[2:]) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(48)).astype(np.int64) if len(c) > 2 else np.zeros(0, np.int64)
 
 
-def fit(docs: DataFrame, max_train: int = 4_000, max_langs: int = 32, smooth: float = 0.5) -> tuple[list[str], np.ndarray]:
-    """Languages and their log probabilities of the buckets, from at most ``max_train`` documents."""
+def fit(docs: DataFrame, max_train: int = 4_000, smooth: float = 0.5) -> tuple[list[str], np.ndarray]:
+    """Languages and their log probabilities of the buckets, from all documents of a language or, where
+    it has more than ``max_train``, about so many by hash."""
     known = docs.where("lang is not null and lang <> '' and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.lower(F.col("lang")).alias("lang"), F.col("text").cast("string").alias("text"))
-    sample = F.broadcast(known.select("doc_id", "lang").distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "lang").limit(max_train))
-    rows = known.join(sample, ["doc_id", "lang"])
+    sizes = F.broadcast(known.groupBy("lang").agg(F.count("*").alias("of")))
+    rows = known.join(sizes, "lang").where((F.col("of") <= max_train) | (F.pmod(F.xxhash64("doc_id"), "of") < max_train))
 
     def run(batches):
         for b in batches:
@@ -62,7 +63,7 @@ def fit(docs: DataFrame, max_train: int = 4_000, max_langs: int = 32, smooth: fl
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at), pa.array(n[at])], names=["lang", "bucket", "n"])
 
     counts = rows.select("lang", "text").mapInArrow(run, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
-    langs = sorted(counts.groupby("lang").n.sum().sort_values(ascending=False).index[:max_langs]) or ["und"]
+    langs = sorted(counts.lang.unique()) or ["und"]
     table = np.full((len(langs), BUCKETS), smooth)
     for i, lang in enumerate(langs):
         own = counts[counts.lang == lang]
