@@ -494,7 +494,7 @@ def _pair_counts(spark, d) -> DataFrame:
 for _name in MEASURES:
     query(f"measure_{_name}", _sql_measure(_name))(lambda spark, d, name=_name: rounded(measures(_pair_counts(spark, d)).select("cand", F.col(name).cast("double").alias(name)), name))
 for _name in ("rfi", "rfi_norm"):
-    query(f"measure_{_name}")(lambda spark, d, name=_name: reliable_information(_pair_counts(spark, d).where("cand not like 'l_partkey%'")).select("cand", name))
+    query(f"measure_{_name}")(lambda spark, d, name=_name: reliable_information(_pair_counts(spark, d)).select("cand", name))
 
 
 @query("measure_explanation")
@@ -596,7 +596,7 @@ def _(spark, d):
 
 def _quality(kind: str, setting: str):
     def run(spark, d):
-        return rounded(metrics.pr_auc(pools.quality(spark, d, kind, setting)), "pr_auc")
+        return rounded(metrics.pr_auc(pools.quality(spark, d, kind, setting, rfi=True)), "pr_auc")
 
     return run
 
@@ -609,7 +609,7 @@ for _kind in ("AR", "ST", "FD"):
 @query("arity_split")
 def _(spark, d):
     """PR-AUC of the framework and of the measures for rules of three and of four columns."""
-    s = pools.quality(spark, d, "AR", "clean")
+    s = pools.quality(spark, d, "AR", "clean", rfi=True)
     three = [r.cand_id for r, _ in pools.pool("AR") if r.arity == 2]
     s = s.withColumn("method", F.concat_ws("/", "method", F.when(F.col("cand_id").isin(three), "3").otherwise("4")))
     return rounded(metrics.pr_auc(s), "pr_auc")

@@ -75,21 +75,22 @@ def measures(counts: DataFrame) -> DataFrame:
         F.when(constant, one).otherwise((pdep - base) / (1 - base)).alias("tau"))
 
 
-def expected_information(xs: np.ndarray, ys: np.ndarray) -> float:
-    """Expected mutual information of two groupings under permutation, in bits.
+def expected_information(xs: np.ndarray, ys: np.ndarray, cx: np.ndarray | None = None, cy: np.ndarray | None = None) -> float:
+    """Expected mutual information of two groupings under permutation, in bits; ``cx`` and ``cy`` say how many groups
+    have each size, one if not given.
 
     Groups of one size share their hypergeometric sum, so the work grows with
     different sizes, at most the square root of twice the rows on each side.
     """
-    n = int(xs.sum())
+    cx, cy = (np.ones(len(v), np.int64) if c is None else c for v, c in ((xs, cx), (ys, cy)))
+    n = int((xs * cx).sum())
     lg = np.vectorize(math.lgamma, otypes=[float])
     fact = np.concatenate([[0.0], np.cumsum(np.log(np.arange(1, n + 1)))]) if n <= 5_000_000 else None
     f = (lambda k: fact[k]) if fact is not None else (lambda k: lg(np.asarray(k, float) + 1))
     total = 0.0
-    ux, cx = np.unique(xs, return_counts=True)
-    uy, cy = np.unique(ys, return_counts=True)
-    for a, ka in zip(ux.astype(int), cx):
-        for b, kb in zip(uy.astype(int), cy):
+    (ux, ix), (uy, iy) = (np.unique(v, return_inverse=True) for v in (xs, ys))
+    for a, ka in zip(ux.astype(int), np.bincount(ix, cx)):
+        for b, kb in zip(uy.astype(int), np.bincount(iy, cy)):
             k = np.arange(max(1, a + b - n), min(a, b) + 1)
             if not len(k):
                 continue
@@ -109,10 +110,10 @@ def reliable_information(counts: DataFrame) -> DataFrame:
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         x, y = (pdf[pdf.side == s] for s in "xy")
-        xs, ys = np.repeat(x.k.to_numpy(), x.c.to_numpy()), np.repeat(y.k.to_numpy(), y.c.to_numpy())
-        n = ys.sum()
-        hy = math.log2(n) - float((ys * np.log2(ys)).sum()) / n
-        return pd.DataFrame({"cand": [pdf.cand.iloc[0]], "chance": [expected_information(xs, ys) / hy if hy > 0 else 1.0]})
+        xs, cx, ys, cy = x.k.to_numpy(), x.c.to_numpy(), y.k.to_numpy(), y.c.to_numpy()
+        n = (ys * cy).sum()
+        hy = math.log2(n) - float((cy * ys * np.log2(ys)).sum()) / n
+        return pd.DataFrame({"cand": [pdf.cand.iloc[0]], "chance": [expected_information(xs, ys, cx, cy) / hy if hy > 0 else 1.0]})
 
     chance = sizes.groupBy("cand").applyInPandas(run, "cand string, chance double")
     e = F.col("chance")
