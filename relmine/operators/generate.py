@@ -46,6 +46,21 @@ def profile(df: DataFrame, columns: Sequence[str] | None = None) -> DataFrame:
     return one.select(F.inline(rows))
 
 
+def null_patterns(df: DataFrame, columns: Sequence[str]) -> list[list[str]]:
+    """The columns, those together that are null in the same rows.
+
+    A rule that holds on all rows has one pattern in all its columns, for a row
+    with a part of them null violates it. Probes of an output's rules are rows
+    where its pattern has values.
+    """
+    key = F.xxhash64(*(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in columns)).cast("decimal(20,0)")
+    one = df.agg(*(f for i, c in enumerate(columns) for f in (F.count_if(F.col(c).isNull()).alias(f"n{i}"), F.sum(F.when(F.col(c).isNull(), key)).alias(f"k{i}")))).first()
+    by: dict[tuple, list[str]] = {}
+    for i, c in enumerate(columns):
+        by.setdefault((one[f"n{i}"], one[f"k{i}"]), []).append(c)
+    return list(by.values())
+
+
 def probe_rows(df: DataFrame, columns: Sequence[str], groups: int, size: int, seed: int = 7) -> DataFrame:
     """(grp, row, columns...): ``groups`` times ``size`` rows with the smallest hashes, without repeats."""
     key = F.md5(F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in sorted(columns)), F.lit(str(seed))))
@@ -80,12 +95,24 @@ def signatures(values: DataFrame, keys: Sequence[str]) -> DataFrame:
 
 def arithmetic(df: DataFrame, level: int, cfg: Config, pruners: Sequence[Relation] = (), groups: int = 8, size: int = 3) -> list[Relation]:
     """Rules with ``level`` inputs (2, 3 or 4) that hold on at least tau of the rows."""
-    columns = numeric_columns(df, cfg)
+    columns, found = numeric_columns(df, cfg), []
     if len(columns) <= level:
         return []
+    for outputs in null_patterns(df, columns):
+        inputs = outputs if cfg.tau >= 1 else columns
+        if len(inputs) > level:
+            found += _arithmetic(df.where(F.col(outputs[0]).isNotNull()), level, cfg, inputs, outputs, groups, size)
+    return checked(df, found, cfg, pruners)
+
+
+def _arithmetic(df: DataFrame, level: int, cfg: Config, columns: Sequence[str], outputs: Sequence[str], groups: int, size: int) -> list[Relation]:
+    """Candidates with one of ``outputs``; a clean one agrees on every group that there is."""
     size = size if cfg.tau >= 1 else 2
-    values = cells(probe_rows(df, columns, groups, size), columns)
-    need = groups if cfg.tau >= 1 else 1
+    drawn = cells(probe_rows(df, columns, groups, size), columns).collect()
+    if not drawn:
+        return []
+    values = df.sparkSession.createDataFrame(drawn, "grp int, row int, col string, v double")
+    need = len({r["grp"] for r in drawn}) if cfg.tau >= 1 else 1
     flat = signatures(values, ["col"])
     pairs = signatures(pair_values(values), ["l", "op", "r"])
     if level == 2:
@@ -103,7 +130,7 @@ def arithmetic(df: DataFrame, level: int, cfg: Config, pruners: Sequence[Relatio
                 used = leaves(whole)
                 if y not in used and len(set(used)) == level == len(used):
                     found.append(Relation("AR", tuple(leaves(canonical(whole))), y, canonical(whole)))
-    return checked(df, found, cfg, pruners)
+    return [r for r in found if r.output in outputs]
 
 
 def _triples(values: DataFrame) -> DataFrame:
@@ -147,8 +174,14 @@ def extractions(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (), ro
     """String rules with one input: tokens by delimiter, letter case, and a literal before a (padded) value."""
     texts = text_columns(df, cfg)
     sources = texts + [c for c, t in df.dtypes if t in ("int", "bigint") and c not in cfg.exclude]
-    if not texts:
-        return []
+    found = []
+    for outputs in null_patterns(df, sources) if texts else ():
+        inputs = outputs if cfg.tau >= 1 else sources
+        found += _extractions(df.where(F.col(outputs[0]).isNotNull()), cfg, [c for c in inputs if c in texts], inputs, rows)
+    return checked(df, found, cfg, pruners)
+
+
+def _extractions(df: DataFrame, cfg: Config, texts: Sequence[str], sources: Sequence[str], rows: int) -> list[Relation]:
     probes = probe_rows(df, list(dict.fromkeys(sources)), 1, rows)
     cell = lambda names: probes.select("row", F.inline(F.array(*(F.struct(F.lit(c).alias("col"), F.col(c).cast("string").alias("v")) for c in names))))
     own, out = cell(sources), cell(sources).select("row", F.col("col").alias("y"), F.col("v").alias("w"))
@@ -174,14 +207,22 @@ def extractions(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (), ro
     for op, made in (("lower", F.lower("v")), ("upper", F.upper("v")), ("trim", F.trim("v"))):
         same = pairs.where((made == F.col("w")) & F.col("col").isin(texts)).groupBy("col", "y").agg(F.count("*").alias("n")).where(F.col("n") >= least)
         found += [Relation("ST", (r["col"],), r["y"], (op, r["col"])) for r in same.collect()]
-    return checked(df, found, cfg, pruners)
+    return found
 
 
 def concatenations(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (), rows: int = 24) -> list[Relation]:
     """String rules with two inputs: the output begins with one, ends with the other, with one separator between."""
-    texts = text_columns(df, cfg)
+    texts, found = text_columns(df, cfg), []
     if len(texts) < 3:
         return []
+    for outputs in null_patterns(df, texts):
+        inputs = outputs if cfg.tau >= 1 else texts
+        if len(inputs) > 2:
+            found += _concatenations(df.where(F.col(outputs[0]).isNotNull()), cfg, inputs, rows)
+    return checked(df, found, cfg, pruners)
+
+
+def _concatenations(df: DataFrame, cfg: Config, texts: Sequence[str], rows: int) -> list[Relation]:
     probes = probe_rows(df, texts, 1, rows)
     total = probes.count()
     cell = probes.select("row", F.inline(F.array(*(F.struct(F.lit(c).alias("col"), F.col(c).alias("v")) for c in texts))))
@@ -194,7 +235,7 @@ def concatenations(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (),
     for r in sep.where(F.col("n") >= least).collect():
         parts = (r["c1"], ("lit", r["sep"]), r["c2"]) if r["sep"] else (r["c1"], r["c2"])
         found.append(Relation("ST", (r["c1"], r["c2"]), r["c0"], ("concat", *parts)))
-    return checked(df, found, cfg, pruners)
+    return found
 
 
 def dependency_ratios(df: DataFrame, columns: Sequence[str]) -> DataFrame:
