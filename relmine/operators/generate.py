@@ -126,7 +126,10 @@ def _arithmetic(df: DataFrame, level: int, cfg: Config, columns: Sequence[str],
         found = []
         for r in met.collect():
             tree = _tree(r["e"])
-            for whole, y in _completed(tree, r["l2"], r["op2"], r["r2"]):
+            solved = _completed(tree, r["l2"], r["op2"], r["r2"])
+            if level == 4:
+                solved = solved + [_undone(r["e"], (r["op2"], r["l2"], r["r2"]))]
+            for whole, y in solved:
                 used = leaves(whole)
                 if y not in used and len(set(used)) == level == len(used):
                     found.append(Relation("AR", tuple(leaves(canonical(whole))), y, canonical(whole)))
@@ -138,7 +141,7 @@ def _triples(values: DataFrame) -> DataFrame:
     one = values.select("grp", "row", F.col("col").alias("c"), F.col("v").alias("y"))
     both = two.join(one, ["grp", "row"]).where("c <> p.l and c <> p.r")
     ops = F.array(*(F.struct(F.lit(o).alias("op"), v.alias("v")) for o, v in (
-        ("+", F.col("x") + F.col("y")), ("-", F.col("x") - F.col("y")), ("~", F.col("y") - F.col("x")), ("*", F.col("x") * F.col("y")), ("/", F.try_divide("x", "y")))))
+        ("+", F.col("x") + F.col("y")), ("-", F.col("x") - F.col("y")), ("~", F.col("y") - F.col("x")), ("*", F.col("x") * F.col("y")), ("/", F.try_divide("x", "y")), ("\\", F.try_divide("y", "x")))))
     e = both.select("grp", "row", "p", "c", F.inline(ops)).select("grp", "row", F.struct("p", "op", "c").alias("e"), "v")
     return signatures(e, ["e"]).select("grp", "sig", "e")
 
@@ -146,10 +149,17 @@ def _triples(values: DataFrame) -> DataFrame:
 def _tree(e):
     if "p" in e.__fields__:
         inner = (e["p"]["op"], e["p"]["l"], e["p"]["r"])
-        return ("-", e["c"], inner) if e["op"] == "~" else (e["op"], inner, e["c"])
+        return ({"~": "-", "\\": "/"}[e["op"]], e["c"], inner) if e["op"] in "~\\" else (e["op"], inner, e["c"])
     return (e["op"], e["l"], e["r"])
 
 
+def _undone(e, pair):
+    """The rule with two pairs that says that ``e``, a pair with a third column, equals ``pair``, solved for the column."""
+    inner = (e["p"]["op"], e["p"]["l"], e["p"]["r"])
+    return {"+": ("-", pair, inner), "-": ("-", inner, pair), "~": ("+", pair, inner),
+            "*": ("/", pair, inner), "/": ("/", inner, pair), "\\": ("*", pair, inner)}[e["op"]], e["c"]
+
+
 def _completed(tree, left: str, op: str, right: str):
     """Rules that say ``tree`` equals ``left op right``, solved for either column."""
     if op == "-":
