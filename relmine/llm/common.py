@@ -2,32 +2,80 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Shuffle files of a write are of no use once it is done, for what it wrote is read from then on.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_paths: dict[int, str] = {}
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; a temporary one only where none is set (tests)."""
+    """The folder that all executors share: the session's checkpoint folder.
+
+    A local master may do without; on a cluster there is no safe place to guess, so an unset one is an error.
+    """
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if where is None:
-        where = tempfile.mkdtemp(prefix="relmine-")
-        spark.sparkContext.setCheckpointDir(where)
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="relmine-"))
         where = spark.sparkContext.getCheckpointDir()
     return where
 
 
+def scratch_dir(spark: SparkSession) -> str:
+    """This application's part of the shared folder; it goes when the driver ends, or with ``clean``."""
+    path = f"{shared_dir(spark)}/relmine-{spark.sparkContext.applicationId}"
+    if id(spark.sparkContext) not in _paths:
+        _paths[id(spark.sparkContext)] = path
+        atexit.register(clean, spark)
+    return path
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def clean(spark: SparkSession) -> None:
+    """Delete all intermediates of this application; results that were not written or collected are lost."""
+    with contextlib.suppress(Exception):  # a session that has ended has no file system left to ask
+        if path := _paths.pop(id(spark.sparkContext), None):
+            _delete(spark, path)
+
+
 def saved(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back, which cuts its lineage."""
-    path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    spark = df.sparkSession
+    path = f"{scratch_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(_CLEANUP)
+        else:
+            spark.conf.set(_CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._saved_at = path
+    return out
+
+
+def dropped(df: DataFrame) -> None:
+    """Delete what ``saved`` wrote for ``df``, once nothing reads it any more."""
+    if path := getattr(df, "_saved_at", None):
+        _delete(df.sparkSession, path)
 
 
 def text_key():
@@ -40,24 +88,29 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 
     Alternates a star step over larger and over smaller neighbours until the
     edge set is a forest of depth one. Minima are combined before the shuffle
-    and the joins back may be split by AQE, so a hub does not meet in one task.
-    Nodes without edges are not returned.
+    and written, so that both sides of each join are plain shuffles that AQE may
+    split: a hub does not meet in one task. Nodes without edges are not returned.
     """
     big, small = F.greatest("u", "v"), F.least("u", "v")
     e = saved(edges.select(big.alias("u"), small.alias("v")).where("u <> v").distinct(), "edges")
     before = None
     for _ in range(max_rounds):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        near = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
-        large = (both.join(near, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-                 .where("u <> v").distinct())
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
+        near = saved(both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m")), "near")
+        large = saved(both.join(near, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+                      .where("u <> v").distinct(), "large")
+        low = saved(large.groupBy("u").agg(F.min("v").alias("m")), "low")
         joined = large.join(low, "u")
         star = joined.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(
             low.select("u", F.col("m").alias("v")))
-        e = saved(star.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
+        after = saved(star.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
+        for done in (e, near, large, low):
+            dropped(done)
+        e = after
         now = e.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == before:
-            return e.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            out = e.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            out._saved_at = e._saved_at
+            return out
         before = now
     raise RuntimeError("components did not converge")

@@ -1,229 +1,340 @@
 """Quality by perplexity under an interpolated modified Kneser-Ney model of trusted text.
 
-Words become classes of a bounded alphabet: the most frequent words of the
-corpus, by exact counts, keep a class of their own, others fall into classes of form, and a word that repeats the one or two before it has a class for that.
-So the model's tables are bounded by the alphabet, not by the corpus, while all
-counts cover all trusted text: each task counts its n-grams, counts meet sharded
-by n-gram, and continuation counts, context totals and discounts are grouped
-joins of those counts. The tables are broadcast, at most ``ALPHABET ** 3``
-numbers, and give each document's perplexity. One trusted document in ``folds`` is
-not trained on: a language's threshold is a quantile of the perplexities of
-those, with a margin. Languages with few of them use the quantile over all, and
-where all are few, that of all trusted documents.
-
-Defined cases: null and empty texts have no words, the perplexity of an average
-text, and are kept; short texts are drawn to the average by ``prior`` words;
-documents without label take no part in training; without any trusted text all
-documents are kept; null lang is a language of its own; repeated rows get equal
-results; extra columns are ignored.
+Model. Words are the runs between white space, as they are; a word that repeats
+the one before it is another word than where it stands first, for repetition is
+what junk has and prose has not. n-grams of words are counted per language over all
+trusted text: tasks count their own, counts meet by n-gram, and continuation
+counts, discounts and context totals are grouped joins of those counts. The
+tables grow with the trusted text; none is gathered or broadcast.
+
+Scoring. In backing-off form an interpolated model's log-probability of a text is
+a sum over its n-grams: log p(w | u v) is the sum of the back-off weights of the
+contexts and of what each seen n-gram has above backing off, so an n-gram that the
+model lacks adds nothing. A document's score is then a join of its n-grams with
+the model, summed by document. Both sides travel as sorted lists of hashes,
+packed by shard of the hash; a shard holds its part of the model and streams the
+documents' lists. The hash has ``2 ** slack`` places for each n-gram of the corpus
+at least, so a wrong match has a chance of 2 ** -slack.
+
+Thresholds. One trusted document in ``folds`` is not trained on; a language's
+threshold is a quantile of the perplexities of those, with a margin. A language
+with fewer than ``enough`` of them has no threshold, and its documents stay.
+
+Defined cases: null and empty texts have no words and hold the end mark only;
+short texts are drawn to their language's average by ``prior`` tokens; documents
+without label take no part in training; a language without trusted text has no
+perplexity, and its documents stay; null lang is a language of its own; repeated
+rows get equal results; very long texts are one document like others, cut over
+several blocks; extra columns are ignored.
 """
 
 from __future__ import annotations
 
-import math
-from collections import Counter
-from dataclasses import dataclass
+from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relmine.llm.common import saved, text_key
-
-#: Size of the class alphabet, classes of form, marks that may end a word.
-ALPHABET = 128
-FORMS = ("start", "again", "again2", "short", "middle", "long", "longest", "first", "caps", "number", "mixed", "mark", "symbol", "symbols", "address", "other")
-ENDS = ".,;:!?\"')»”"
-
-
-def form(word: str) -> str:
-    body = word.strip(ENDS + "(\"'«“¿¡")
-    if not body:
-        return "mark"
-    if body.isalpha():
-        if len(body) > 1 and body.isupper():
-            return "caps"
-        if body[0].isupper():
-            return "first"
-        n = len(body)
-        return "short" if n <= 3 else "middle" if n <= 6 else "long" if n <= 10 else "longest"
-    if body.replace(".", "").replace(",", "").isdigit():
-        return "number"
-    if "@" in body or "://" in body or body.startswith("www."):
-        return "address"
-    odd = sum(not (c.isalnum() or c in "-'’.,_/") for c in body)
-    return "mixed" if odd == 0 else "symbol" if odd == 1 else "symbols"
-
-
-def frequent_words(docs: DataFrame, most: int) -> list[str]:
-    """The ``most`` most frequent words of the corpus among those of plain letters, by their exact counts."""
-    def run(batches):
-        for b in batches:
-            n = Counter()
-            for t in b.column(0).to_pylist():
-                n.update((t or "").lower().split())
-            own = Counter()
-            for w, c in n.items():
-                own[w.rstrip(ENDS)] += c
-            own = [(w, c) for w, c in own.items() if w and form(w) in ("short", "middle", "long", "longest")]
-            if own:
-                w, c = zip(*own)
-                yield pa.RecordBatch.from_arrays([pa.array(w), pa.array(c, pa.int64())], names=["word", "n"])
-
-    found = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    return [r["word"] for r in found.orderBy(F.desc("n"), "word").limit(most).collect()]
-
-
-class Classes:
-    """Codes of a text's words; memoised in a table of bounded size."""
-
-    def __init__(self, vocabulary: list[str], limit: int = 500_000):
-        self.own = {w: len(FORMS) + i for i, w in enumerate(vocabulary)}
-        self.code = {f: i for i, f in enumerate(FORMS)}
-        self.limit, self.known = limit, {}
-
-    def _class(self, word: str) -> int:
-        kind = form(word)
-        own = self.own.get(word.rstrip(ENDS).lower()) if kind in ("short", "middle", "long", "longest", "first") else None
-        return self.code[kind] if own is None else own
-
-    def __call__(self, text: str | None) -> np.ndarray:
+from relmine.llm.common import dropped, saved, text_key
+
+#: Marks before a text and after it; what sets a repeated word apart.
+BEFORE, AFTER, AGAIN = np.uint64(1), np.uint64(2), np.uint64(0xA0761D6478BD642F)
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+
+
+class WordHashes(dict):
+    """Hashes of words, memoised in a table of bounded size."""
+
+    def __init__(self, limit: int = 1_000_000):
+        super().__init__()
+        self.limit = limit
+
+    def __missing__(self, word: str) -> int:
+        if len(self) > self.limit:
+            self.clear()
+        h = self[word] = xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass")) | 8  # apart from the marks
+        return h
+
+    def tokens(self, text: str | None) -> np.ndarray:
         words = (text or "").split()
-        new = set(words).difference(self.known)
-        if len(self.known) > self.limit:
-            self.known.clear()
-            new = set(words)
-        self.known.update((w, self._class(w)) for w in new)
-        codes = np.array(list(map(self.known.__getitem__, words)), np.uint8)
-        if len(words) > 1:
-            codes[1:][[a == b for a, b in zip(words, words[1:])]] = self.code["again"]
-        if len(words) > 2:
-            twice = np.array([a == b for a, b in zip(words, words[2:])])
-            codes[2:][twice & (codes[2:] != self.code["again"])] = self.code["again2"]
-        return codes
-
-
-def coded(docs: DataFrame, vocabulary: list[str]) -> DataFrame:
-    """(doc_id, tid, lang, codes): a byte for each word."""
-    def run(batches):
-        classes = Classes(vocabulary)
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array([classes(t).tobytes() for t in b.column(3).to_pylist()], pa.binary())], names=["doc_id", "tid", "lang", "codes"])
+        h = np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
+        h[1:][h[1:] == h[:-1]] ^= AGAIN
+        return h
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tid"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, tid long, lang string, codes binary")
 
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+    return x ^ (x >> np.uint64(29))
 
-def _grams(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    padded = np.concatenate([[0, 0], codes]).astype(np.int64)
-    return padded[:-2], padded[1:-1], padded[2:]
 
+def gram_keys(salt: np.ndarray, words: list[np.ndarray]) -> np.ndarray:
+    """64-bit hashes of n-grams given word by word; the salt is the language."""
+    key = salt
+    for w in words:
+        key = _mixed(key * _ODD + w)
+    return key
 
-def trigram_counts(texts: DataFrame) -> DataFrame:
-    """(u, v, w, n) over all rows of ``codes``."""
-    def run(batches):
-        for b in batches:
-            parts = [_grams(np.frombuffer(c, np.uint8)) for c in b.column(0).to_pylist()]
-            if not parts:
-                continue
-            u, v, w = (np.concatenate(x) for x in zip(*parts))
-            key, n = np.unique((u * ALPHABET + v) * ALPHABET + w, return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (key // ALPHABET**2, key // ALPHABET % ALPHABET, key % ALPHABET, n.astype(np.int64))], names=["u", "v", "w", "n"])
-
-    return texts.select("codes").mapInArrow(run, "u long, v long, w long, n long").groupBy("u", "v", "w").agg(F.sum("n").alias("n"))
-
-
-def _discounts(counts: DataFrame) -> tuple[float, float, float]:
-    """Modified Kneser-Ney discounts of one order, from how many n-grams were seen once to four times."""
-    r = counts.agg(*(F.count_if(F.col("n") == k).alias(f"n{k}") for k in (1, 2, 3, 4))).first()
-    n1, n2, n3, n4 = (r[f"n{k}"] for k in (1, 2, 3, 4))
-    if not n1 or not n2:
-        return 0.5, 0.5, 0.5
-    y = n1 / (n1 + 2 * n2)
-    clip = lambda d, top: min(max(d, 0.05), top)
-    return clip(1 - 2 * y * n2 / n1, 0.95), clip(2 - 3 * y * n3 / n2, 1.9), clip(3 - 4 * y * (n4 / n3 if n3 else 0), 2.8)
-
-
-def _order(counts: DataFrame, context: list[str]) -> DataFrame:
-    """Each n-gram's discounted share (``part``) and its context's weight for the lower order (``rest``)."""
-    d1, d2, d3 = _discounts(counts)
-    taken = F.when(F.col("n") == 1, d1).when(F.col("n") == 2, d2).otherwise(d3)
-    totals = counts.groupBy(*context).agg(F.sum("n").alias("all"), F.sum(taken).alias("off")) if context else counts.agg(F.sum("n").alias("all"), F.sum(taken).alias("off"))
-    joined = counts.join(totals, context) if context else counts.join(F.broadcast(totals), F.lit(True))
-    return joined.select(*context, "w", ((F.col("n") - taken) / F.col("all")).alias("part"), (F.col("off") / F.col("all")).alias("rest"))
-
-
-@dataclass
-class Model:
-    """log P(w | u, v) as a table of the bounded alphabet, and the trusted text's mean."""
-    table: np.ndarray
-    mean: float
-
-    def total(self, codes: np.ndarray) -> float:
-        u, v, w = _grams(codes)
-        return float(self.table[(u * ALPHABET + v) * ALPHABET + w].sum(dtype=np.float64)) if len(w) else 0.0
-
-
-def train(texts: DataFrame) -> Model | None:
-    """Model of the rows of ``codes``; None without any word."""
-    three = saved(trigram_counts(texts), "trigrams")
-    size = three.agg(F.sum("n")).first()[0]
-    if not size:
-        return None
-    two = saved(three.groupBy("v", "w").agg(F.count("*").alias("n")), "bigrams")  # in how many contexts
-    one = two.groupBy("w").agg(F.count("*").alias("n"))
-    t3, t2, t1 = (_order(c, k).toPandas() for c, k in ((three, ["u", "v"]), (two, ["v"]), (one, [])))
-    n = ALPHABET
-    p1 = np.full(n, (t1["rest"].iloc[0] if len(t1) else 1.0) / n)
-    p1[t1["w"]] += t1["part"]
-    rest2, p2 = np.ones(n), np.zeros((n, n))
-    rest2[t2["v"]] = t2["rest"]
-    p2[t2["v"], t2["w"]] = t2["part"]
-    p2 += rest2[:, None] * p1[None, :]
-    rest3 = np.ones((n, n), np.float32)
-    rest3[t3["u"], t3["v"]] = t3["rest"]
-    p3 = rest3[:, :, None] * p2.astype(np.float32)[None, :, :]
-    p3[t3["u"], t3["v"], t3["w"]] += t3["part"].to_numpy(np.float32)
-    table = np.log(p3).ravel()
-    all_ = three.toPandas()
-    mean = float((table[(all_["u"] * n + all_["v"]) * n + all_["w"]] * all_["n"]).sum() / size)
-    return Model(table, mean)
-
-
-def perplexities(texts: DataFrame, model: Model, prior: float) -> DataFrame:
-    """(doc_id, tid, lang, n_words, perplexity)."""
-    shared = texts.sparkSession.sparkContext.broadcast(model)
 
-    def run(batches):
-        m = shared.value
-        for b in batches:
-            codes = [np.frombuffer(c, np.uint8) for c in b.column(3).to_pylist()]
-            ppl = [math.exp(-(m.total(c) + prior * m.mean) / (len(c) + prior)) for c in codes]
-            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array([len(c) for c in codes], pa.int64()), pa.array(ppl, pa.float64())], names=["doc_id", "tid", "lang", "n_words", "perplexity"])
+class Block:
+    """The token sequences of several texts end to end."""
+
+    def __init__(self, texts: list[np.ndarray], langs: list[int], order: int):
+        head, tail = np.full(order - 1, BEFORE), np.array([AFTER])
+        self.order, sizes = order, np.array([len(t) + order for t in texts], np.int64)
+        self.tokens = np.concatenate([x for t in texts for x in (head, t, tail)])
+        self.doc = np.repeat(np.arange(len(texts)), sizes)
+        self.place = np.arange(len(self.tokens)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        self.lang = np.array(langs, np.int64)[self.doc]
+
+    def grams(self, k: int) -> tuple[np.ndarray, list[np.ndarray]]:
+        """Where the n-grams of k words start that predict a token or are the context of one, and their words."""
+        n = len(self.tokens) - k + 1
+        first = self.order - 1 if k == self.order else self.order - 2
+        start = np.flatnonzero((self.doc[:n] == self.doc[k - 1:]) & (self.place[k - 1:] >= first)) if n > 0 else np.zeros(0, np.int64)
+        return start, [self.tokens[start + i] for i in range(k)]
 
-    return texts.select("doc_id", "tid", "lang", "codes").mapInArrow(run, "doc_id long, tid long, lang string, n_words long, perplexity double")
+
+def blocks(batches: Iterator[pa.RecordBatch], order: int, size: int) -> Iterator[tuple[np.ndarray, Block]]:
+    """(key of each text, its block) of rows (key, l, text); a text of more than ``size`` words is a block alone."""
+    known, held, words = WordHashes(), ([], [], []), 0
+    for b in batches:
+        for key, lang, text in zip(*(c.to_pylist() for c in b.columns)):
+            t = known.tokens(text)
+            if words and words + len(t) > size:
+                yield np.array(held[0], np.int64), Block(held[2], held[1], order)
+                held, words = ([], [], []), 0
+            for part, x in zip(held, (key, lang, t)):
+                part.append(x)
+            words += len(t) + order
+    if held[0]:
+        yield np.array(held[0], np.int64), Block(held[2], held[1], order)
+
+
+def words_of(k: int) -> list[str]:
+    return [f"w{i}" for i in range(1, k + 1)]
+
+
+def gram_counts(texts: DataFrame, order: int, size: int = 1_000_000) -> DataFrame:
+    """(l, w1, ..., n): the n-grams of ``order`` words of rows (key, l, text), each language's own."""
+    names = words_of(order)
+
+    def run(batches):
+        for _, block in blocks(batches, order, size):
+            start, words = block.grams(order)
+            lang = block.lang[start]
+            _, at, n = np.unique(gram_keys(lang.view(np.uint64), words), return_index=True, return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(lang[at]), *(pa.array(w[at].view(np.int64)) for w in words), pa.array(n.astype(np.int64))], names=["l", *names, "n"])
+
+    found = texts.select("key", "l", "text").mapInArrow(run, ", ".join(f"{c} long" for c in ["l", *names, "n"]))
+    return found.groupBy("l", *names).agg(F.sum("n").alias("n"))
+
+
+def _discounts(counts: DataFrame) -> DataFrame:
+    """(l, d1, d2, d3): modified Kneser-Ney discounts of one order, from how many n-grams were seen once to four times."""
+    some = counts.groupBy("l").agg(*(F.count_if(F.col("n") == k).cast("double").alias(f"n{k}") for k in (1, 2, 3, 4)))
+    y = F.col("n1") / (F.col("n1") + 2 * F.col("n2"))
+    kept = lambda d, top: F.when((F.col("n1") > 0) & (F.col("n2") > 0), F.least(F.greatest(F.coalesce(d, F.lit(3.0)), F.lit(0.05)), F.lit(top))).otherwise(F.lit(0.5))
+    return some.select("l", kept(1 - 2 * y * F.try_divide("n2", "n1"), 0.95).alias("d1"), kept(2 - 3 * y * F.try_divide("n3", "n2"), 1.9).alias("d2"),
+                       kept(3 - 4 * y * F.try_divide("n4", "n3"), 2.8).alias("d3"))
+
+
+def _taken() -> F.Column:
+    return F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
+
+
+def model_entries(counts: DataFrame, order: int) -> tuple[dict[int, DataFrame], DataFrame]:
+    """Entries (l, w1, ..., wk, value) by length k, to be summed where an n-gram has two, and (l, unknown), the
+    log-probability of a word that was never seen."""
+    tables = {order: counts}
+    for k in range(order - 1, 0, -1):  # how many different words stand before
+        tables[k] = saved(tables[k + 1].groupBy("l", *(F.col(f"w{i + 1}").alias(f"w{i}") for i in range(1, k + 1))).agg(F.count("*").alias("n")), f"grams{k}")
+    entries: dict[int, list[DataFrame]] = {k: [] for k in range(1, order + 1)}
+    sums = [F.sum("n").alias("all"), *(F.count_if(c).alias(f"a{i}") for i, c in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") > 2)))]
+    off = F.col("d1") * F.col("a1") + F.col("d2") * F.col("a2") + F.col("d3") * F.col("a3")
+    langs = tables[1].groupBy("l").agg(*sums, F.count("*").alias("types")).join(saved(_discounts(tables[1]), "discounts"), "l")
+    langs = saved(langs.withColumn("unknown", F.log(off / F.col("all") / (F.col("types") + 1))), "languages")
+    lower = tables[1].join(langs, "l").select("l", "w1", ((F.col("n") - _taken()) / F.col("all") + F.exp("unknown")).alias("p"), "unknown")
+    lower = saved(lower, "unigrams")
+    entries[1].append(lower.select("l", "w1", (F.log("p") - F.col("unknown")).alias("value")))
+    for k in range(2, order + 1):
+        context, suffix = words_of(k - 1), [f"w{i}" for i in range(2, k + 1)]
+        weights = tables[k].groupBy("l", *context).agg(*sums).join(saved(_discounts(tables[k]), "discounts"), "l")
+        weights = saved(weights.withColumn("rest", off / F.col("all")).select("l", *context, "all", "rest", "d1", "d2", "d3"), "weights")
+        entries[k - 1].append(weights.select("l", *context, F.log("rest").alias("value")))
+        below = lower.select("l", *(F.col(f"w{i}").alias(f"w{i + 1}") for i in range(1, k)), F.col("p").alias("low"))
+        full = tables[k].join(weights, ["l", *context]).join(below, ["l", *suffix])
+        full = full.withColumn("p", (F.col("n") - _taken()) / F.col("all") + F.col("rest") * F.col("low"))
+        full = full.select("l", *words_of(k), "p", (F.log("p") - F.log("rest") - F.log("low")).alias("value"))
+        lower = saved(full, f"scores{k}") if k < order else full
+        entries[k].append(lower.select("l", *words_of(k), "value"))
+    return {k: reduce(DataFrame.unionByName, e) for k, e in entries.items()}, langs.select("l", "unknown")
+
+
+def _squeezed(values: np.ndarray) -> bytes:
+    """Whole numbers byte by byte of their places, so that the upper ones, mostly alike, cost little."""
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(values.view(np.uint8).reshape(len(values), values.itemsize).T).tobytes())
+
+
+def _spread(packed: bytes, kind: type) -> np.ndarray:
+    flat = np.frombuffer(zstandard.ZstdDecompressor().decompress(packed), np.uint8)
+    return np.ascontiguousarray(flat.reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel() if len(flat) else np.zeros(0, kind)
+
+
+#: keys: differences of the sorted hashes. Of a model: values. Of documents: how many documents each hash has, which,
+#: how often each, what documents these are, and in a block's first list how many tokens they have.
+_PACKED = "shard int, kind int, keys binary, a binary, b binary, c binary, ids binary, tokens binary"
+
+
+def _rows(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = [pa.int32(), pa.int32()] + [pa.binary()] * 6
+    names = [f.split()[0] for f in _PACKED.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=names)
+
+
+def _cuts(keys: np.ndarray, shards: int, bits: int) -> np.ndarray:
+    """Where the shards of sorted hashes begin, and the end."""
+    return np.searchsorted(keys, np.array([-(-(s << bits) // shards) for s in range(shards)], np.uint64)).tolist() + [len(keys)]
+
+
+def packed_model(entries: dict[int, DataFrame], shards: int, bits: int, size: int = 2_000_000) -> DataFrame:
+    """The model's entries by shard."""
+    parts = []
+    for k, frame in entries.items():
+        def run(batches, k=k):
+            held, rows = [], 0
+
+            def flush():
+                key, value = (np.concatenate(x) for x in zip(*held))
+                order = np.argsort(key)
+                key, value = key[order], value[order]
+                cuts = _cuts(key, shards, bits)
+                out = [(s, 0, _squeezed(np.diff(key[i:j], prepend=np.uint64(0))), _squeezed(value[i:j]), None, None, None, None) for s, (i, j) in enumerate(zip(cuts, cuts[1:])) if i < j]
+                return _rows(out)
+
+            for b in batches:
+                if len(b):
+                    lang, *words = (c.to_numpy(zero_copy_only=False).view(np.uint64) for c in b.columns[:-1])
+                    held.append((gram_keys(lang, words) >> np.uint64(64 - bits), b.column(k + 1).to_numpy(zero_copy_only=False).astype(np.float32)))
+                    rows += len(b)
+                if rows >= size:
+                    yield flush()
+                    held, rows = [], 0
+            if held:
+                yield flush()
+
+        parts.append(frame.select("l", *words_of(k), "value").mapInArrow(run, _PACKED))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def packed_documents(texts: DataFrame, order: int, shards: int, bits: int, size: int = 1_000_000) -> DataFrame:
+    """The n-grams of the rows (key, l, text) by shard."""
+    def run(batches):
+        for ids, block in blocks(batches, order, size):
+            keys, docs = [], []
+            for k in range(1, order + 1):
+                start, words = block.grams(k)
+                keys.append(gram_keys(block.lang[start].view(np.uint64), words) >> np.uint64(64 - bits))
+                docs.append(block.doc[start])
+            key, doc = np.concatenate(keys), np.concatenate(docs).astype(np.uint32)
+            at = np.lexsort((doc, key))
+            key, doc = key[at], doc[at]
+            pair = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])]))
+            many = np.diff(np.append(pair, len(key))).astype(np.uint32)
+            key, doc = key[pair], doc[pair]
+            first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+            each = np.diff(np.append(first, len(key))).astype(np.uint32)
+            tokens = np.bincount(block.doc, minlength=len(ids)).astype(np.uint32) - np.uint32(order - 1)
+            cuts, out = _cuts(key[first], shards, bits), []
+            of = np.append(first, len(key))
+            for s, (i, j) in enumerate(zip(cuts, cuts[1:])):
+                if i < j or s == 0:
+                    x, y = of[i], of[j]
+                    out.append((s, 1, _squeezed(np.diff(key[first[i:j]], prepend=np.uint64(0))), _squeezed(each[i:j]), _squeezed(doc[x:y]), _squeezed(many[x:y]),
+                                ids.tobytes(), _squeezed(tokens) if s == 0 else None))
+            yield _rows(out)
+
+    return texts.select("key", "l", "text").mapInArrow(run, _PACKED)
+
+
+def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(key, part, tokens) of each document and shard; a shard's model comes before its documents."""
+    shard, held, keys, values = None, [], np.zeros(0, np.uint64), np.zeros(0)
+    for b in batches:
+        for r in b.to_pylist():
+            if r["shard"] != shard:
+                shard, held, keys, values = r["shard"], [], np.zeros(0, np.uint64), np.zeros(0)
+            own = np.cumsum(_spread(r["keys"], np.uint64), dtype=np.uint64)
+            if r["kind"] == 0:
+                held.append((own, _spread(r["a"], np.float32)))
+                continue
+            if held:  # entries of one n-gram, as such and as a context, are summed
+                k, v = (np.concatenate(x) for x in zip(*held))
+                keys, at = np.unique(k, return_inverse=True)
+                values, held = np.bincount(at, v, len(keys)), []
+            value = np.zeros(len(own))
+            if len(keys):
+                at = np.minimum(np.searchsorted(keys, own), len(keys) - 1)
+                value = np.where(keys[at] == own, values[at], 0.0)
+            ids, each, doc, many = np.frombuffer(r["ids"], np.int64), _spread(r["a"], np.uint32), _spread(r["b"], np.uint32), _spread(r["c"], np.uint32)
+            part = np.bincount(doc, np.repeat(value, each) * many, len(ids))
+            tokens = np.zeros(len(ids), np.int64) if r["tokens"] is None else _spread(r["tokens"], np.uint32).astype(np.int64)
+            some = np.flatnonzero((part != 0) | (tokens != 0))
+            yield pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(part[some], pa.float64()), pa.array(tokens[some])], names=["key", "part", "tokens"])
+
+
+def identified(docs: DataFrame) -> DataFrame:
+    """(doc_id, tid, lang, l, key, text): l is the language, key the row's hash."""
+    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tid"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
+    l = F.xxhash64(F.coalesce("lang", F.lit("")), F.col("lang").isNull())  # noqa: E741
+    return base.withColumn("l", l).withColumn("key", F.xxhash64("doc_id", "tid", "l"))
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
 
 
-def quality(docs: DataFrame, labels: DataFrame, quantile: float = 0.99, margin: float = 1.05, prior: float = 20.0, enough: int = 50, folds: int = 5) -> DataFrame:
+def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25) -> tuple[DataFrame, DataFrame]:
+    """(key, logp, tokens) of the different rows of ``texts``, and the model's languages (l, unknown);
+    logp lacks tokens times unknown."""
+    spark = texts.sparkSession
+    grams = order * (texts.agg(F.sum(F.length("text") + 1)).first()[0] or 0) // 6 + 1  # about six characters a word
+    shards = max(2 * spark.sparkContext.defaultParallelism, -(-grams // shard_grams))
+    bits = min(64, max(40, grams.bit_length() + slack))
+    counts = saved(gram_counts(training, order), "grams")
+    entries, langs = model_entries(counts, order)
+    both = packed_model(entries, shards, bits).unionByName(packed_documents(texts, order, shards, bits))
+    parts = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
+    scored = saved(parts.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored")
+    return scored, langs
+
+
+def perplexities(texts: DataFrame, training: DataFrame, order: int) -> DataFrame:
+    """(key, l, tokens, logp) of the different rows of ``texts``; logp is null without a model of the language."""
+    scored, langs = log_probabilities(texts, training, order)
+    rows = texts.groupBy("key", "l").agg(F.count("*").alias("rows"))  # equal rows were summed
+    per = rows.join(scored, "key", "left").join(langs, "l", "left")
+    tokens = F.col("tokens") / F.col("rows")
+    return per.select("key", "l", tokens.cast("long").alias("tokens"), (F.col("logp") / F.col("rows") + tokens * F.col("unknown")).alias("logp"))
+
+
+def quality(docs: DataFrame, labels: DataFrame, order: int = 2, quantile: float = 0.99, margin: float = 1.05, prior: float = 20.0, enough: int = 5, folds: int = 5) -> DataFrame:
     """(doc_id, tid, lang, n_words, perplexity, threshold, accepted), a row for each row of ``docs``."""
-    vocabulary = frequent_words(docs, ALPHABET - len(FORMS))
-    texts = saved(coded(docs, vocabulary), "codes")
+    texts = identified(docs)
     trusted = trusted_ids(labels).withColumn("fold", F.pmod(F.xxhash64("doc_id"), F.lit(folds)))
-    model = train(texts.join(trusted.where("fold > 0"), "doc_id", "left_semi"))
-    if model is None:
-        return texts.select("doc_id", "tid", "lang", F.length("codes").cast("long").alias("n_words"), F.lit(None).cast("double").alias("perplexity"), F.lit(None).cast("double").alias("threshold"), F.lit(True).alias("accepted"))
-    scored = saved(perplexities(texts, model, prior), "perplexities")
-    good = scored.join(trusted, "doc_id").select("lang", "perplexity", "fold")
+    scored = saved(perplexities(texts, texts.join(trusted.where("fold > 0"), "doc_id", "left_semi"), order), "perplexities")
+    unseen = texts.select("doc_id", "key").join(trusted.where("fold = 0"), "doc_id", "left_semi").select("key")
+    unseen = saved(scored.join(unseen, "key").where("logp is not null"), "unseen")
+    means = unseen.groupBy("l").agg((F.sum("logp") / F.sum("tokens")).alias("mean"), F.count("*").alias("seen"))
+    shrunk = lambda: F.exp(-(F.col("logp") + prior * F.coalesce("mean", F.lit(0.0))) / (F.col("tokens") + F.when(F.col("mean").isNull(), 0.0).otherwise(prior)))
+    means = saved(means, "means")
     cut = F.percentile_approx("perplexity", quantile, 10_000) * margin
-    unseen = F.col("fold") == 0
-    few = F.count_if(unseen) < enough
-    every = good.agg(F.when(few, cut).otherwise(F.percentile_approx(F.when(unseen, F.col("perplexity")), quantile, 10_000) * margin).alias("pooled"))
-    by_lang = good.where(unseen).groupBy("lang").agg(F.count("*").alias("n"), cut.alias("own")).where(F.col("n") >= enough).select(F.col("lang").alias("of"), "own")
-    joined = scored.join(by_lang, F.col("lang").eqNullSafe(F.col("of")), "left").join(F.broadcast(every), F.lit(True), "left")
-    threshold = F.coalesce("own", "pooled")
-    return joined.select("doc_id", "tid", "lang", "n_words", "perplexity", threshold.alias("threshold"), F.coalesce(F.col("perplexity") <= threshold, F.lit(True)).alias("accepted"))
+    limits = unseen.join(means, "l").withColumn("perplexity", shrunk()).groupBy("l", "mean", "seen").agg(cut.alias("cut"))
+    limits = saved(limits.select("l", "mean", F.when(F.col("seen") >= enough, F.col("cut")).alias("threshold")), "limits")
+    judged = scored.join(limits, "l", "left").select("key", F.greatest(F.col("tokens") - 1, F.lit(0)).alias("n_words"), shrunk().alias("perplexity"), "threshold")
+    out = texts.select("doc_id", "tid", "lang", "key").join(judged, "key", "left")
+    return out.select("doc_id", "tid", "lang", "n_words", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True)).alias("accepted"))
