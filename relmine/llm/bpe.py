@@ -3,18 +3,23 @@
 A token sequence is the encoding of its bytes exactly if every token encodes to
 itself and every two neighbours encode to themselves (the merge list is proper:
 each merge joins what earlier ones made). So the encoding of a prefix has one
-last token, found from the last tokens of shorter prefixes, and a future token
-can only start at one of the last ``lookahead`` positions, ``lookahead`` being
-the longest token of the merge list in bytes. Tokens on which the chains of all
-those positions agree are stable and go out; only what follows them is kept.
-
-Pre-tokens that fit in the lookahead never need the live window: those that a
-block of texts holds for the first time are merged side by side, one merge of
-each per round, and memoised in tables of bounded size.
+last token, found from the last tokens of shorter prefixes: the longest token
+that ends there and goes with the last token before it. An automaton of all
+tokens names those that end at each byte. A future token can only start at one of
+the last ``lookahead`` positions, ``lookahead`` being the longest token of the
+merge list in bytes. Tokens on which the chains of all those positions agree are
+stable and go out; only what follows them is kept.
+
+Every pre-token goes through the transducer. Those that a block of texts holds
+for the first time pass it in one run, a start mark between them; what came out
+is memoised in tables of bounded size. Long texts are cut into sections where no
+pre-token can straddle, so the transducer, its memo and the decoder hold as much
+for a long text as for a short one.
 
 Defined cases: null text is empty; empty text gives no tokens; repeated rows
-give repeated results; a null doc_id is kept; extra columns are ignored. Special
-tokens inside a text are found first, as the library does by default.
+give repeated results; a null doc_id is kept; very long texts and pre-tokens are
+streamed; extra columns are ignored. Special tokens inside a text are found
+first, as the library does by default.
 """
 
 from __future__ import annotations
@@ -23,9 +28,11 @@ import codecs
 import hashlib
 import json
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
+from itertools import groupby
 
+import ahocorasick
 import numpy as np
 import pyarrow as pa
 import regex
@@ -38,7 +45,8 @@ PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{SPACE}\p{{L}}\p{
 _INNER = re.compile(r"(?<=\S) (?=\S)")
 _DOUBLE = re.compile(r"\s\s")
 _NEVER = 1 << 60
-_NONE = np.int32(2**31 - 1)
+#: stands between pre-tokens; no byte
+_START = "\u0100"
 
 
 def byte_alphabet() -> dict[str, int]:
@@ -49,7 +57,7 @@ def byte_alphabet() -> dict[str, int]:
 
 
 class ByteBpe:
-    def __init__(self, path: str, memo: int = 300_000):
+    def __init__(self, path: str, memo: int = 500_000):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         alphabet, vocab = byte_alphabet(), spec["model"]["vocab"]
@@ -71,13 +79,13 @@ class ByteBpe:
             self.made.append(vocab[a + b])
         #: sufficient lookahead: no token is longer, so no future token starts before it
         self.lookahead = max(len(self.bytes_of[i]) for i in self.made)
-        self._by_tail = None
+        self._automaton = ahocorasick.Automaton()
+        for i in {*self.first, *self.made}:
+            self._automaton.add_word(self.bytes_of[i].decode("latin-1"), (i, len(self.bytes_of[i])))
+        self._automaton.make_automaton()
+        self._pairs: dict[int, bool] = {}
         self._pieces = regex.compile(PATTERN).findall
         self._split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        keys = np.fromiter(self.rank, np.int64, len(self.rank))
-        order = np.argsort(keys)
-        self._keys, self._ranks = keys[order], np.fromiter(self.rank.values(), np.int32, len(keys))[order]
-        self._made, self._first = np.array(self.made, np.int32), np.array(self.first, np.int32)
         self.memo, self._pretokens, self._chunks = memo, {}, {}
 
     def merge(self, data: bytes) -> list[int]:
@@ -97,47 +105,85 @@ class ByteBpe:
                 ranks[i] = rank(ids[i] << 20 | ids[i + 1], _NEVER)
         return ids
 
-    def pretoken(self, data: bytes) -> list[int]:
-        return self.merge(data) if len(data) <= self.lookahead else [i for part in self.stream([data]) for i in part]
-
-    def stream(self, pieces: Iterator[bytes], step: int = 1024) -> Iterator[list[int]]:
-        """Tokens of one long pre-token that arrives in pieces, as soon as they are stable."""
-        if self._by_tail is None:
-            tails: dict[bytes, set] = {}
-            self._id = {}
-            for i in [*self.first, *self.made]:
-                b = self.bytes_of[i]
-                self._id[b] = i
-                tails.setdefault(b[-2:], set()).add(len(b))
-            self._by_tail = {k: sorted(v, reverse=True) for k, v in tails.items()}
-            self._alone = lru_cache(1 << 14)(lambda i: self.merge(self.bytes_of[i]) == [i])
-            self._pair = lru_cache(1 << 16)(lambda a, b: self.merge(self.bytes_of[a] + self.bytes_of[b]) == [a, b])
-        buffer, last = b"", [None]  # last[p]: last token of the encoding of the first p kept bytes
-        base = None  # the last token that went out
-        since = 0
+    def _goes(self, before: int, i: int) -> bool:
+        """Whether token i encodes to itself, and behind token ``before`` (-1: none) both do; in a table of bounded size."""
+        key = before << 20 | i
+        ok = self._pairs.get(key)
+        if ok is None:
+            if len(self._pairs) > self.memo:
+                self._pairs.clear()
+            own = [i] if before < 0 else [before, i]
+            ok = self._pairs[key] = (before < 0 or self._goes(-1, i)) and self.merge(b"".join(self.bytes_of[x] for x in own)) == own
+        return ok
+
+    def _advance(self, data: str, last: list[int], sizes: list[int]) -> None:
+        """Append, for the positions of ``data`` from ``len(last) - 1`` on, the last token of the encoding up to there
+        and its length; -1 and 0 where a pre-token starts."""
+        begin = len(last) - 1
+        back = max(0, begin - self.lookahead)
+        part = data[back:]
+        more = len(data) - begin
+        last += [-1] * more
+        sizes += [0] * more
+        done, goes, known, ahead = begin, self._goes, self._pairs.get, back + 1
+        for end, (i, n) in self._automaton.iter(part):
+            end += ahead
+            if end <= done:  # the longest that fits comes first
+                continue
+            start = end - n
+            if start < 0:
+                continue
+            before = last[start]
+            ok = known(before << 20 | i)
+            if ok or ok is None and goes(before, i):
+                last[end], sizes[end], done = i, n, end
+
+    def transduce(self, words: Iterable[bytes], step: int = 1 << 16) -> Iterator[list[int]]:
+        """Tokens of each pre-token; they pass the transducer in runs of about ``step`` bytes, longer ones alone."""
+        run: list[bytes] = []
+        held = 0
+        for w in words:
+            if len(w) >= step:
+                yield from self._passed(run)
+                run, held = [], 0
+                yield [i for part in self.stream([w]) for i in part]
+                continue
+            run.append(w)
+            held += len(w)
+            if held >= step:
+                yield from self._passed(run)
+                run, held = [], 0
+        yield from self._passed(run)
+
+    def _passed(self, run: list[bytes]) -> Iterator[list[int]]:
+        data = _START.join(w.decode("latin-1") for w in run)
+        last, sizes = [-1], [0]
+        self._advance(data, last, sizes)
+        at = 0
+        for w in run:
+            at += len(w)
+            out, p, start = [], at, at - len(w)
+            while p > start:
+                out.append(last[p])
+                p -= sizes[p]
+            yield out[::-1]
+            at += 1
+
+    def stream(self, pieces: Iterable[bytes], step: int = 1024) -> Iterator[list[int]]:
+        """Tokens of one pre-token that arrives in pieces, as soon as they are stable."""
+        data, last, sizes = "", [-1], [0]  # last[0]: the last token that went out
         for piece in pieces:
             for at in range(0, len(piece), step):
-                buffer += piece[at:at + step]
-                while len(last) <= len(buffer):
-                    last.append(self._last(buffer, len(last), last, base))
-                since += step
-                stable = self._agreed(last)
+                data += piece[at:at + step].decode("latin-1")
+                self._advance(data, last, sizes)
+                stable = self._agreed(last, sizes)
                 if stable:
-                    out = self._chain(last, stable)
-                    base = out[-1]
-                    buffer, last = buffer[stable:], [None, *last[stable + 1:]]
+                    out = self._chain(last, sizes, stable)
+                    data, last, sizes = data[stable:], [out[-1], *last[stable + 1:]], [0, *sizes[stable + 1:]]
                     yield out
-        yield self._chain(last, len(last) - 1)
-
-    def _last(self, buffer: bytes, end: int, last: list, base: int | None) -> int:
-        for n in (*self._by_tail.get(buffer[max(0, end - 2):end], ()), 1) if end > 1 else (1,):
-            if n <= end and (i := self._id.get(buffer[end - n:end])) is not None and self._alone(i):
-                before = last[end - n] if n < end else base
-                if before is None or self._pair(before, i):
-                    return i
-        raise ValueError("the merge list is not proper")
+        yield self._chain(last, sizes, len(last) - 1)
 
-    def _agreed(self, last: list) -> int:
+    def _agreed(self, last: list[int], sizes: list[int]) -> int:
         """The largest position on which the chains of all live positions agree; 0: none."""
         live = set(range(max(0, len(last) - self.lookahead), len(last)))
         while len(live) > 1:
@@ -145,63 +191,16 @@ class ByteBpe:
             live.remove(p)
             if p == 0:
                 return 0
-            live.add(p - len(self.bytes_of[last[p]]))
+            live.add(p - sizes[p])
         return live.pop()
 
-    def _chain(self, last: list, p: int) -> list[int]:
+    def _chain(self, last: list[int], sizes: list[int], p: int) -> list[int]:
         out = []
         while p:
             out.append(last[p])
-            p -= len(self.bytes_of[last[p]])
+            p -= sizes[p]
         return out[::-1]
 
-    def _rank_of(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        key = a.astype(np.int64) << 20 | b
-        at = np.minimum(np.searchsorted(self._keys, key), len(self._keys) - 1)
-        return np.where((self._keys[at] == key) & (a >= 0) & (b >= 0), self._ranks[at], _NONE)
-
-    def merge_many(self, words: list[bytes]) -> list[bytes]:
-        """The packed ids of many short byte strings; strings of one length share a matrix."""
-        out: list[bytes] = [b""] * len(words)
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        for n in np.unique(sizes):
-            which = np.flatnonzero(sizes == n)
-            for at in range(0, len(which), 1 << 14):
-                part = which[at:at + (1 << 14)]
-                ids = self._first[np.frombuffer(b"".join([words[i] for i in part]), np.uint8).reshape(len(part), n)]
-                if n > 1:
-                    self._rounds(ids)
-                packed, ends = ids[ids >= 0].astype("<u4").tobytes(), 4 * np.cumsum((ids >= 0).sum(axis=1))
-                for i, a, b in zip(part.tolist(), [0, *ends[:-1].tolist()], ends.tolist()):
-                    out[i] = packed[a:b]
-        return out
-
-    def _rounds(self, ids: np.ndarray) -> None:
-        """Apply all merges to each row in place; freed places at the end of a row hold -1."""
-        ranks = self._rank_of(ids[:, :-1], ids[:, 1:])
-        rows = np.arange(len(ids))
-        while True:
-            best = ranks[rows].argmin(axis=1)
-            found = ranks[rows, best]
-            open_ = found != _NONE
-            rows, best, found = rows[open_], best[open_], found[open_]
-            if not len(rows):
-                return
-            n, cols = ids.shape[1], np.arange(ids.shape[1])[None, :]
-            mine, own = ids[rows], ranks[rows]
-            moved = np.concatenate([mine[:, 1:], np.full((len(rows), 1), -1, ids.dtype)], axis=1)
-            mine = np.where(cols > best[:, None], moved, mine)
-            each = np.arange(len(rows))
-            mine[each, best] = self._made[found]
-            slid = np.concatenate([own[:, 1:], np.full((len(rows), 1), _NONE, own.dtype)], axis=1)
-            own = np.where(cols[:, :-1] > best[:, None], slid, own)
-            inner = best < n - 1
-            right = np.where(inner, mine[each, np.minimum(best + 1, n - 1)], -1)
-            own[each[inner], best[inner]] = self._rank_of(mine[each, best], right)[inner]
-            left = best > 0
-            own[each[left], best[left] - 1] = self._rank_of(mine[each[left], best[left] - 1], mine[each[left], best[left]])
-            ids[rows], ranks[rows] = mine, own
-
     def _learn(self, texts: list[list[str]]) -> None:
         """Make sure that all chunks of a block of texts are in the memo."""
         if len(self._chunks) > self.memo:
@@ -211,12 +210,8 @@ class ByteBpe:
         new = set().union(*texts).difference(self._chunks)
         parts = {c: self._pretokens_of(c) for c in new}
         fresh = list(set().union(*parts.values()).difference(self._pretokens))
-        coded = [p.encode() for p in fresh]
-        short = [i for i, b in enumerate(coded) if len(b) <= self.lookahead]
-        self._pretokens.update(zip([fresh[i] for i in short], self.merge_many([coded[i] for i in short])))
-        for p, b in zip(fresh, coded):
-            if len(b) > self.lookahead:
-                self._pretokens[p] = np.array(self.pretoken(b), "<u4").tobytes()
+        coded = self.transduce(p.encode("utf-8", "surrogatepass") for p in fresh)
+        self._pretokens.update((p, np.array(ids, "<u4").tobytes()) for p, ids in zip(fresh, coded))
         get = self._pretokens.__getitem__
         self._chunks.update({c: get(c) if v[0] is c else b"".join(map(get, v)) for c, v in parts.items()})
 
@@ -247,16 +242,45 @@ class ByteBpe:
         get = self._chunks.__getitem__
         return [b"".join(np.uint32(self.special[p]).astype("<u4").tobytes() if p in self.special else b"".join(map(get, c)) for p, c in zip(t, own)) for t, own in zip(parts, cut)]
 
+    def sections(self, text: str, size: int = 1 << 18) -> Iterator[str]:
+        """Parts of about ``size`` characters that no pre-token straddles: each starts at a space between two that are none."""
+        at = 0
+        while len(text) - at > size:
+            cut = _INNER.search(text, at + size)
+            if cut is None:
+                break
+            yield text[at:cut.start()]
+            at = cut.start()
+        yield text[at:] if at else text
+
+    def encode_many(self, texts: Iterable[str | None], size: int = 1 << 18) -> Iterator[tuple[int, bytes]]:
+        """(number of the text, ids of its next section), block by block of about ``size`` characters; null as empty."""
+        block, held = [], 0
+        for i, t in enumerate(texts):
+            for part in self.sections(t or "", size):
+                block.append((i, part))
+                held += len(part)
+                if held >= size:
+                    yield from zip([i for i, _ in block], self.encode_block([p for _, p in block]))
+                    block, held = [], 0
+        yield from zip([i for i, _ in block], self.encode_block([p for _, p in block]))
+
+    def encode_sections(self, text: str) -> Iterator[bytes]:
+        return (ids for _, ids in self.encode_many([text]))
+
     def encode(self, text: str) -> bytes:
-        return self.encode_block([text])[0]
+        return b"".join(self.encode_sections(text))
 
-    def decode(self, ids: bytes, step: int = 1 << 16) -> Iterator[str]:
-        """Text in pieces: an incremental UTF-8 state machine over the bytes of the tokens."""
+    def decoder(self):
+        """Feeds on ids and gives the text that they make certain: an incremental UTF-8 state machine over the bytes of the tokens."""
         state, look = codecs.getincrementaldecoder("utf-8")("replace"), self.bytes_of.__getitem__
-        numbers = np.frombuffer(ids, "<u4")
-        for at in range(0, len(numbers), step):
-            yield state.decode(b"".join(map(look, numbers[at:at + step].tolist())))
-        yield state.decode(b"", True)
+        return lambda ids, final=False: state.decode(b"".join(map(look, np.frombuffer(ids, "<u4").tolist())), final)
+
+    def decode(self, ids: bytes, step: int = 1 << 16) -> Iterator[str]:
+        feed = self.decoder()
+        for at in range(0, len(ids), 4 * step):
+            yield feed(ids[at:at + 4 * step])
+        yield feed(b"", True)
 
 
 @lru_cache(4)
@@ -265,25 +289,14 @@ def tokenizer(path: str) -> ByteBpe:
     return ByteBpe(path)
 
 
-def blocks(texts: list[str | None], size: int = 1 << 21) -> Iterator[list[str]]:
-    """Runs of about ``size`` characters, null as empty."""
-    block, held = [], 0
-    for t in texts:
-        block.append(t or "")
-        held += len(block[-1])
-        if held >= size:
-            yield block
-            block, held = [], 0
-    if block:
-        yield block
-
-
 _KINDS = {"long": pa.int64(), "string": pa.string(), "binary": pa.binary()}
 
 
 def _rows(frame: DataFrame, keep: list[str], source: str, path: str, fields: str, made) -> DataFrame:
-    """``keep`` columns with ``fields``, made from the ``source`` column of a batch by ``made(bpe, values)``."""
+    """``keep`` columns, those of a result's name left out, with ``fields``, made from the ``source`` column of a
+    batch by ``made(bpe, values)``."""
     names, kinds = zip(*(f.split() for f in fields.split(", ")))
+    keep = [c for c in dict.fromkeys(keep) if c not in names]
 
     def run(batches):
         bpe = tokenizer(path)
@@ -297,10 +310,16 @@ def _rows(frame: DataFrame, keep: list[str], source: str, path: str, fields: str
     return frame.select(*kept, source).mapInArrow(run, schema)
 
 
+def _by_text(bpe: ByteBpe, texts: list[str | None]) -> Iterator[Iterator[bytes]]:
+    """The sections' ids of each text in turn."""
+    for _, parts in groupby(bpe.encode_many(texts), key=lambda x: x[0]):
+        yield (ids for _, ids in parts)
+
+
 def encode(docs: DataFrame, path: str, keep: list[str] | None = None) -> DataFrame:
     """The ``keep`` columns with n_tokens and ids (little-endian unsigned 32-bit)."""
     def made(bpe, texts):
-        return [(len(x) // 4, x) for block in blocks(texts) for x in bpe.encode_block(block)]
+        return [(len(x) // 4, x) for x in (b"".join(parts) for parts in _by_text(bpe, texts))]
 
     return _rows(docs, keep or ["doc_id"], "text", path, "n_tokens long, ids binary", made)
 
@@ -313,14 +332,19 @@ def decode(encoded: DataFrame, path: str, keep: list[str] | None = None) -> Data
 def round_trip(docs: DataFrame, path: str, keep: list[str] | None = None, with_ids: bool = False) -> DataFrame:
     """The ``keep`` columns with n_tokens and the digests of the ids and of the text decoded from them,
     and with ``with_ids`` the ids."""
-    def digests(bpe, ids):
-        text = hashlib.sha256()
-        for part in bpe.decode(ids):
-            text.update(part.encode())
-        return len(ids) // 4, hashlib.sha256(ids).hexdigest(), text.hexdigest()
+    def digests(bpe, parts):
+        n, coded, text, feed, held = 0, hashlib.sha256(), hashlib.sha256(), bpe.decoder(), []
+        for ids in parts:
+            n += len(ids) // 4
+            coded.update(ids)
+            text.update(feed(ids).encode())
+            if with_ids:
+                held.append(ids)
+        text.update(feed(b"", True).encode())
+        return (n, coded.hexdigest(), text.hexdigest(), b"".join(held))[:width]
 
     def made(bpe, texts):
-        return [(*digests(bpe, x), x)[:width] for block in blocks(texts) for x in bpe.encode_block(block)]
+        return [digests(bpe, parts) for parts in _by_text(bpe, texts)]
 
     fields = "n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids binary" * with_ids
     width = 3 + with_ids

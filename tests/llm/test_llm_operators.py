@@ -62,6 +62,46 @@ def test_token_counts_like_the_library(spark):
     assert sorted((r["n_bytes"], r["n_tokens"]) for r in got.collect()) == sorted((len((t or "").encode()), len(sp.encode(t or ""))) for t in ODD)
 
 
+def test_chunks_are_spliced_on_the_given_tables(spark):
+    """At production parameters: most characters stand in texts of several chunks, and each count is the library's."""
+    import sentencepiece
+
+    sp, own = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model")), tokencount.PieceCounter(P.path("piece_bpe_32k.model"))
+    texts = [r["text"] or "" for r in common.table(spark, "/root/testdata/sf0.01", "documents").select("text").collect()]
+    cut = [own.chunks(t) for t in texts]
+    assert sum(len(t) for t, c in zip(texts, cut) if len(c) > 1) > 0.4 * sum(map(len, texts))
+    assert own.count_block(texts) == [len(x) for x in sp.encode(texts)]
+
+
+def test_neighbours_that_do_not_align_become_one(monkeypatch):
+    """Without the proof of stable places, splices inside tokens are found out and mended."""
+    import sentencepiece
+
+    sp, own = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model")), tokencount.PieceCounter(P.path("piece_bpe_32k.model"), chunk=50, overlap=8)
+    monkeypatch.setattr(own, "stable", lambda text, x: True)
+    text = "the committee understandably misunderstood information " * 20
+    assert own.count(text) == len(sp.encode(text))
+
+
+def test_a_text_of_fifty_megabytes():
+    import sentencepiece
+    from tokenizers import Tokenizer
+
+    rng = random.Random(11)
+    words = ["".join(rng.choices("etaoinshrdlu", k=rng.randint(1, 9))) for _ in range(4000)] + ["\n", "日本語", "x" * 300, "12,5"]
+    text = " ".join(rng.choices(words, k=8_500_000))[:50_000_000]
+    sp, own = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model")), tokencount.PieceCounter(P.path("piece_bpe_32k.model"))
+    parts = [text[i:i + 1_000_000] for i in range(0, len(text), 1_000_000)]
+    assert len(own.chunks(text)) > 10_000 and own.count(text) == len(sp.encode(text))
+    lib, mine = Tokenizer.from_file(P.path("byte_bpe_50k.json")), bpe.ByteBpe(P.path("byte_bpe_50k.json"))
+    ids = list(mine.encode_sections(text))
+    assert max(map(len, ids)) < 4_000_000 and len(ids) > 40
+    at = text.index(" x", 999_000)  # a place that no pre-token straddles, so that the library need not take all at once
+    want = lib.encode(text[:at], add_special_tokens=False).ids
+    assert np.frombuffer(b"".join(ids), "<u4")[:len(want)].tolist() == want and parts
+    assert "".join(piece for x in ids[:3] for piece in mine.decode(x)) == text[:sum(len("".join(mine.decode(x))) for x in ids[:3])]
+
+
 def test_golay_keys_meet_at_two_bits():
     rng = np.random.default_rng(0)
     w = rng.integers(0, 1 << 23, 500).astype(np.uint32)
