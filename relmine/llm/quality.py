@@ -13,7 +13,8 @@ contexts and of what each seen n-gram has above backing off, so an n-gram that t
 model lacks adds nothing. A document's score is then a join of its n-grams with
 the model, summed by document. Both sides travel as sorted lists of hashes,
 packed by shard of the hash; a shard holds its part of the model and streams the
-documents' lists. The hash has ``2 ** slack`` places for each n-gram of the corpus
+documents' lists. To bound the disk that is used at once, n-grams are counted and
+documents scored in ``passes`` parts by hash. The n-gram's hash has ``2 ** slack`` places for each n-gram of the corpus
 at least, so a wrong match has a chance of 2 ** -slack.
 
 Thresholds. One trusted document in ``folds`` is not trained on; a language's
@@ -50,7 +51,7 @@ _ODD = np.uint64(0x9E3779B97F4A7C15)
 class WordHashes(dict):
     """Hashes of words, memoised in a table of bounded size."""
 
-    def __init__(self, limit: int = 1_000_000):
+    def __init__(self, limit: int = 250_000):
         super().__init__()
         self.limit = limit
 
@@ -119,13 +120,17 @@ def words_of(k: int) -> list[str]:
     return [f"w{i}" for i in range(1, k + 1)]
 
 
-def gram_counts(texts: DataFrame, order: int, size: int = 1_000_000) -> DataFrame:
-    """(l, w1, ..., n): the n-grams of ``order`` words of rows (key, l, text), each language's own."""
+def gram_counts(texts: DataFrame, order: int, part: int = 0, parts: int = 1, size: int = 500_000) -> DataFrame:
+    """(l, w1, ..., n): the n-grams of ``order`` words of rows (key, l, text), each language's own; of ``parts`` parts by
+    the first word, one."""
     names = words_of(order)
 
     def run(batches):
         for _, block in blocks(batches, order, size):
             start, words = block.grams(order)
+            if parts > 1:
+                own = _mixed(words[0]) % np.uint64(parts) == part
+                start, words = start[own], [w[own] for w in words]
             lang = block.lang[start]
             _, at, n = np.unique(gram_keys(lang.view(np.uint64), words), return_index=True, return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(lang[at]), *(pa.array(w[at].view(np.int64)) for w in words), pa.array(n.astype(np.int64))], names=["l", *names, "n"])
@@ -147,32 +152,49 @@ def _taken() -> F.Column:
     return F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
 
 
-def model_entries(counts: DataFrame, order: int) -> tuple[dict[int, DataFrame], DataFrame]:
-    """Entries (l, w1, ..., wk, value) by length k, to be summed where an n-gram has two, and (l, unknown), the
-    log-probability of a word that was never seen."""
+def _united(frames: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, frames)
+
+
+def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[int, DataFrame]], DataFrame]:
+    """Entries (k, rows (l, w1, ..., wk, value)) to be summed where an n-gram has two, and (l, unknown), the
+    log-probability of a word that was never seen. ``counts`` are parts by the first word."""
     tables = {order: counts}
     for k in range(order - 1, 0, -1):  # how many different words stand before
-        tables[k] = saved(tables[k + 1].groupBy("l", *(F.col(f"w{i + 1}").alias(f"w{i}") for i in range(1, k + 1))).agg(F.count("*").alias("n")), f"grams{k}")
-    entries: dict[int, list[DataFrame]] = {k: [] for k in range(1, order + 1)}
+        tables[k] = [saved(_united(tables[k + 1]).groupBy("l", *(F.col(f"w{i + 1}").alias(f"w{i}") for i in range(1, k + 1))).agg(F.count("*").alias("n")), f"grams{k}")]
+    discounts = {k: saved(_discounts(_united(t)), "discounts") for k, t in tables.items()}
     sums = [F.sum("n").alias("all"), *(F.count_if(c).alias(f"a{i}") for i, c in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") > 2)))]
     off = F.col("d1") * F.col("a1") + F.col("d2") * F.col("a2") + F.col("d3") * F.col("a3")
-    langs = tables[1].groupBy("l").agg(*sums, F.count("*").alias("types")).join(saved(_discounts(tables[1]), "discounts"), "l")
+    langs = tables[1][0].groupBy("l").agg(*sums, F.count("*").alias("types")).join(discounts[1], "l")
     langs = saved(langs.withColumn("unknown", F.log(off / F.col("all") / (F.col("types") + 1))), "languages")
-    lower = tables[1].join(langs, "l").select("l", "w1", ((F.col("n") - _taken()) / F.col("all") + F.exp("unknown")).alias("p"), "unknown")
-    lower = saved(lower, "unigrams")
-    entries[1].append(lower.select("l", "w1", (F.log("p") - F.col("unknown")).alias("value")))
-    for k in range(2, order + 1):
-        context, suffix = words_of(k - 1), [f"w{i}" for i in range(2, k + 1)]
-        weights = tables[k].groupBy("l", *context).agg(*sums).join(saved(_discounts(tables[k]), "discounts"), "l")
-        weights = saved(weights.withColumn("rest", off / F.col("all")).select("l", *context, "all", "rest", "d1", "d2", "d3"), "weights")
-        entries[k - 1].append(weights.select("l", *context, F.log("rest").alias("value")))
-        below = lower.select("l", *(F.col(f"w{i}").alias(f"w{i + 1}") for i in range(1, k)), F.col("p").alias("low"))
-        full = tables[k].join(weights, ["l", *context]).join(below, ["l", *suffix])
-        full = full.withColumn("p", (F.col("n") - _taken()) / F.col("all") + F.col("rest") * F.col("low"))
-        full = full.select("l", *words_of(k), "p", (F.log("p") - F.log("rest") - F.log("low")).alias("value"))
-        lower = saved(full, f"scores{k}") if k < order else full
-        entries[k].append(lower.select("l", *words_of(k), "value"))
-    return {k: reduce(DataFrame.unionByName, e) for k, e in entries.items()}, langs.select("l", "unknown")
+
+    def entries():
+        lower = tables[1][0].join(langs, "l").select("l", "w1", ((F.col("n") - _taken()) / F.col("all") + F.exp("unknown")).alias("p"), "unknown")
+        lower = saved(lower, "unigrams")
+        yield 1, lower.select("l", "w1", (F.log("p") - F.col("unknown")).alias("value"))
+        for k in range(2, order + 1):
+            context, suffix = words_of(k - 1), [f"w{i}" for i in range(2, k + 1)]
+            below = lower.select("l", *(F.col(f"w{i}").alias(f"w{i + 1}") for i in range(1, k)), F.col("p").alias("low"))
+            full = []
+            for table in tables[k]:
+                weights = table.groupBy("l", *context).agg(*sums).join(discounts[k], "l")
+                weights = saved(weights.withColumn("rest", off / F.col("all")).select("l", *context, "all", "rest", "d1", "d2", "d3"), "weights")
+                yield k - 1, weights.select("l", *context, F.log("rest").alias("value"))
+                # what is moved for the second join is as narrow as can be
+                above = table.join(weights, ["l", *context]).select("l", *words_of(k), ((F.col("n") - _taken()) / F.col("all") / F.col("rest")).alias("x"), *(["rest"] if k < order else []))
+                own = above.join(below, ["l", *suffix])
+                if k < order:
+                    own = saved(own.select("l", *words_of(k), (F.col("rest") * (F.col("low") + F.col("x"))).alias("p"), F.log1p(F.col("x") / F.col("low")).alias("value")), f"scores{k}")
+                    full.append(own)
+                    yield k, own.select("l", *words_of(k), "value")
+                else:
+                    yield k, own.select("l", *words_of(k), F.log1p(F.col("x") / F.col("low")).alias("value"))
+                    dropped(table)
+                dropped(weights)
+            if full:
+                lower = _united(full)
+
+    return entries(), langs.select("l", "unknown")
 
 
 def _squeezed(values: np.ndarray) -> bytes:
@@ -201,37 +223,32 @@ def _cuts(keys: np.ndarray, shards: int, bits: int) -> np.ndarray:
     return np.searchsorted(keys, np.array([-(-(s << bits) // shards) for s in range(shards)], np.uint64)).tolist() + [len(keys)]
 
 
-def packed_model(entries: dict[int, DataFrame], shards: int, bits: int, size: int = 2_000_000) -> DataFrame:
-    """The model's entries by shard."""
-    parts = []
-    for k, frame in entries.items():
-        def run(batches, k=k):
-            held, rows = [], 0
-
-            def flush():
-                key, value = (np.concatenate(x) for x in zip(*held))
-                order = np.argsort(key)
-                key, value = key[order], value[order]
-                cuts = _cuts(key, shards, bits)
-                out = [(s, 0, _squeezed(np.diff(key[i:j], prepend=np.uint64(0))), _squeezed(value[i:j]), None, None, None, None) for s, (i, j) in enumerate(zip(cuts, cuts[1:])) if i < j]
-                return _rows(out)
-
-            for b in batches:
-                if len(b):
-                    lang, *words = (c.to_numpy(zero_copy_only=False).view(np.uint64) for c in b.columns[:-1])
-                    held.append((gram_keys(lang, words) >> np.uint64(64 - bits), b.column(k + 1).to_numpy(zero_copy_only=False).astype(np.float32)))
-                    rows += len(b)
-                if rows >= size:
-                    yield flush()
-                    held, rows = [], 0
-            if held:
-                yield flush()
-
-        parts.append(frame.select("l", *words_of(k), "value").mapInArrow(run, _PACKED))
-    return reduce(DataFrame.unionByName, parts)
-
-
-def packed_documents(texts: DataFrame, order: int, shards: int, bits: int, size: int = 1_000_000) -> DataFrame:
+def packed_entries(frame: DataFrame, k: int, shards: int, bits: int, size: int = 1_000_000) -> DataFrame:
+    """Entries of n-grams of k words by shard."""
+    def flush(held):
+        key, value = (np.concatenate(x) for x in zip(*held))
+        order = np.argsort(key)
+        key, value = key[order], value[order]
+        cuts = _cuts(key, shards, bits)
+        return _rows([(s, 0, _squeezed(np.diff(key[i:j], prepend=np.uint64(0))), _squeezed(value[i:j]), None, None, None, None) for s, (i, j) in enumerate(zip(cuts, cuts[1:])) if i < j])
+
+    def run(batches):
+        held, rows = [], 0
+        for b in batches:
+            if len(b):
+                lang, *words = (c.to_numpy(zero_copy_only=False).view(np.uint64) for c in b.columns[:-1])
+                held.append((gram_keys(lang, words) >> np.uint64(64 - bits), b.column(k + 1).to_numpy(zero_copy_only=False).astype(np.float32)))
+                rows += len(b)
+            if rows >= size:
+                yield flush(held)
+                held, rows = [], 0
+        if held:
+            yield flush(held)
+
+    return frame.select("l", *words_of(k), "value").mapInArrow(run, _PACKED)
+
+
+def packed_documents(texts: DataFrame, order: int, shards: int, bits: int, size: int = 300_000) -> DataFrame:
     """The n-grams of the rows (key, l, text) by shard."""
     def run(batches):
         for ids, block in blocks(batches, order, size):
@@ -298,19 +315,22 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
 
 
-def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25) -> tuple[DataFrame, DataFrame]:
+def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25, passes: int = 2) -> tuple[DataFrame, DataFrame]:
     """(key, logp, tokens) of the different rows of ``texts``, and the model's languages (l, unknown);
     logp lacks tokens times unknown."""
     spark = texts.sparkSession
     grams = order * (texts.agg(F.sum(F.length("text") + 1)).first()[0] or 0) // 6 + 1  # about six characters a word
     shards = max(2 * spark.sparkContext.defaultParallelism, -(-grams // shard_grams))
     bits = min(64, max(40, grams.bit_length() + slack))
-    counts = saved(gram_counts(training, order), "grams")
+    counts = [saved(gram_counts(training, order, i, passes), "grams") for i in range(passes)]
     entries, langs = model_entries(counts, order)
-    both = packed_model(entries, shards, bits).unionByName(packed_documents(texts, order, shards, bits))
-    parts = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
-    scored = saved(parts.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored")
-    return scored, langs
+    model = _united([saved(packed_entries(frame, k, shards, bits), "model") for k, frame in entries])
+    scored = []
+    for i in range(passes):
+        both = model.unionByName(packed_documents(texts.where(F.pmod("key", F.lit(passes)) == i), order, shards, bits))
+        parts = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
+        scored.append(saved(parts.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored"))
+    return _united(scored), langs
 
 
 def perplexities(texts: DataFrame, training: DataFrame, order: int) -> DataFrame:
