@@ -4,8 +4,8 @@ Sharding. The least hash among the short word runs of a window is its anchor; it
 depends on the window's words alone, so equal windows have equal anchors. The
 windows of a document that share an anchor form a segment. Segments go to shards
 by anchor, and equal segments are one with the smallest of their documents, so
-copies never meet in a task. Only anchors with differing segments of differing
-documents need a search.
+copies never meet in a task; within a document they are one row with all its
+places. Only anchors with differing segments of differing documents need a search.
 
 Search. Each shard builds a compressed FM-index over its distinct segments and
 streams them through backward search: the matching statistics restricted to
@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relmine.llm.common import saved, text_key
+from relmine.llm.common import mark, release, saved, text_key
 from relmine.llm.fmindex import FmIndex
 
 #: Odd multipliers of the two rolling hashes, and of the mixer.
@@ -90,29 +90,44 @@ def _identified(docs: DataFrame) -> DataFrame:
         "owner", F.coalesce("doc_id", F.lit((1 << 63) - 1)))
 
 
+def placed(hashes: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(anchor, digest, number of windows, number of places, places) of a document's different segments.
+
+    A line that stands in a document many times makes the same segment each time; it is one row with many places.
+    """
+    g, d, lo, hi = segments(hashes, window, gram)
+    order = np.lexsort((lo, d, g))
+    g, d, lo, size = g[order], d[order], lo[order], (hi - lo + 1)[order]
+    first = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (d[1:] != d[:-1])])) if len(g) else np.zeros(0, np.int64)
+    return g[first], d[first], size[first], np.diff(np.append(first, len(g))), lo
+
+
 def anchored(docs: DataFrame, window: int, gram: int) -> DataFrame:
-    """(owner, tid, g, digest, lo, hi): all segments of all documents."""
+    """(owner, tid, g, digest, size, places): the different segments of all documents, where they begin."""
     def run(batches):
         for b in batches:
+            if not len(b):
+                continue
             owner, tid = (b.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
-            parts = [segments(word_hashes(t)[1], window, gram) for t in b.column(2).to_pylist()]
+            parts = [placed(word_hashes(t)[1], window, gram) for t in b.column(2).to_pylist()]
             each = [len(p[0]) for p in parts]
-            g, d, lo, hi = (np.concatenate([p[i] for p in parts]) if parts else np.zeros(0, np.int64) for i in range(4))
-            yield _batch(owner=np.repeat(owner, each), tid=np.repeat(tid, each), g=g, digest=d, lo=lo.astype(np.int32), hi=hi.astype(np.int32))
+            g, d, size, many, lo = (np.concatenate([p[i] for p in parts]) for i in range(5))
+            places = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(many)]).astype(np.int32), pa.array(lo.astype(np.int32)))
+            yield _batch(owner=np.repeat(owner, each), tid=np.repeat(tid, each), g=g, digest=d, size=size.astype(np.int32), places=places)
 
-    return _identified(docs).select("owner", "tid", "text").mapInArrow(run, "owner long, tid long, g long, digest long, lo int, hi int")
+    return _identified(docs).select("owner", "tid", "text").mapInArrow(run, "owner long, tid long, g long, digest long, size int, places array<int>")
 
 
 def _with_words(docs: DataFrame, heads: DataFrame, window: int) -> DataFrame:
     """(g, digest, owner, words): the word hashes of the segments in ``heads``."""
-    wanted = heads.groupBy("owner", "tid").agg(F.collect_list(F.struct("g", "digest", "lo", "hi")).alias("segments"))
+    wanted = heads.groupBy("owner", "tid").agg(F.collect_list(F.struct("g", "digest", "lo", "size")).alias("segments"))
 
     def run(batches):
         for b in batches:
             rows = []
             for owner, text, own in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
                 h = word_hashes(text)[1]
-                rows += [(s["g"], s["digest"], owner, h[s["lo"]:s["hi"] + window].tobytes()) for s in own]
+                rows += [(s["g"], s["digest"], owner, h[s["lo"]:s["lo"] + s["size"] + window - 1].tobytes()) for s in own]
             g, d, o, w = zip(*rows) if rows else ((),) * 4
             yield _batch(g=pa.array(g, pa.int64()), digest=pa.array(d, pa.int64()), owner=pa.array(o, pa.int64()), words=pa.array(w, pa.binary()))
 
@@ -163,22 +178,39 @@ def _by_window(segments_: DataFrame, window: int) -> DataFrame:
 
 
 def repeated_spans(docs: DataFrame, window: int = 50, gram: int = 8, hot: int = 4096, shard_words: int = 300_000) -> DataFrame:
-    """(owner, tid, spans): word intervals [a, b) to remove, for documents that have any."""
+    """(owner, tid, hits): for documents that lose words, segments' places and the word intervals [a, b) to remove
+    from each place on."""
+    since = mark()
     own = saved(anchored(docs, window, gram), "segments")
-    distinct = own.groupBy("g", "digest").agg(F.min(F.struct("owner", "tid", "lo", "hi")).alias("head"), F.max("owner").alias("last"))
+    head = F.min(F.struct("owner", "tid", F.element_at("places", 1).alias("lo"), "size")).alias("head")
+    distinct = own.groupBy("g", "digest").agg(head, F.max("owner").alias("last"))
     distinct = saved(distinct.select("g", "digest", "last", "head.*"), "distinct")
-    mixed = distinct.groupBy("g").agg(F.count("*").alias("n"), F.min("owner").alias("x"), F.max("owner").alias("y")).where("n > 1 and x < y").select("g", "n")
+    # both sides of the joins below are written before, so that AQE can split an anchor or a passage of many documents
+    several = distinct.groupBy("g").agg(F.count("*").alias("n"), F.min("owner").alias("x"), F.max("owner").alias("y"))
+    mixed = saved(several.where("n > 1 and x < y").select("g", "n"), "mixed")
     words = saved(_with_words(docs, distinct.join(mixed, "g"), window).join(mixed, "g"), "words")
     cold = _search(words.where(F.col("n") <= hot).select("g", "digest", "owner", "words"), window, shard_words)
     warm = _by_window(words.where(F.col("n") > hot).select("g", "digest", "owner", "words"), window)
-    parts = cold.unionByName(warm).groupBy("g", "digest").agg(F.collect_set(F.struct("a", "b")).alias("parts"))
-    known = distinct.select("g", "digest", "last", F.col("owner").alias("first")).join(parts, ["g", "digest"], "left").where("last > first or parts is not null")
-    known = saved(known, "known")  # so that the join of a passage's many copies can be split
+    parts = saved(cold.unionByName(warm).groupBy("g", "digest").agg(F.collect_set(F.struct("a", "b")).alias("parts")), "parts")
+    known = distinct.select("g", "digest", "last", F.col("owner").alias("first")).join(parts, ["g", "digest"], "left")
+    known = saved(known.where("last > first or parts is not null"), "known")
+    release(docs.sparkSession, since, own, known)
     hit = own.join(known, ["g", "digest"])
-    whole = F.array(F.struct(F.col("lo").alias("a"), (F.col("hi") + window).alias("b")))
-    moved = F.transform(F.coalesce("parts", F.array().cast("array<struct<a:int,b:int>>")), lambda p: F.struct((p.a + F.col("lo")).alias("a"), (p.b + F.col("lo")).alias("b")))
-    spans = hit.select("owner", "tid", F.when(F.col("owner") > F.col("first"), whole).otherwise(moved).alias("part"))
-    return spans.groupBy("owner", "tid").agg(F.flatten(F.collect_list("part")).alias("spans"))
+    whole = F.array(F.struct(F.lit(0).alias("a"), (F.col("size") + window - 1).alias("b")))
+    part = F.when(F.col("owner") > F.col("first"), whole).otherwise(F.coalesce("parts", F.array().cast("array<struct<a:int,b:int>>")))
+    spans = hit.select("owner", "tid", F.struct("places", part.alias("parts")).alias("hit"))
+    return spans.groupBy("owner", "tid").agg(F.collect_list("hit").alias("hits"))
+
+
+def _covered(hits: list[dict], n: int) -> np.ndarray:
+    """For each of ``n`` words whether a span of a hit holds it."""
+    step = np.zeros(n + 1, np.int64)
+    for hit in hits:
+        at = np.array(hit["places"], np.int64)
+        for p in hit["parts"]:
+            np.add.at(step, at + p["a"], 1)
+            np.add.at(step, at + p["b"], -1)
+    return np.cumsum(step[:-1]) > 0
 
 
 def deduplicated(docs: DataFrame, window: int = 50, gram: int = 8, keep: list[str] | None = None, with_text: bool = False) -> DataFrame:
@@ -189,19 +221,16 @@ def deduplicated(docs: DataFrame, window: int = 50, gram: int = 8, keep: list[st
     rest = F.struct(*(F.col(c) for c in keep)).alias("rest") if keep else F.lit(None).cast("string").alias("rest")
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tid"), F.col("text").cast("string").alias("text"), rest)
     base = base.withColumn("owner", F.coalesce("doc_id", F.lit((1 << 63) - 1)))
-    joined = base.join(spans, ["owner", "tid"], "left").select("doc_id", "rest", "spans", "text")
+    joined = base.join(spans, ["owner", "tid"], "left").select("doc_id", "rest", "hits", "text")
 
     def run(batches):
         for b in batches:
             rows = []
-            for spans_, text in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
+            for hits, text in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
                 words = (text or "").encode().split()
                 kept, out = words, text
-                if spans_:
-                    step = np.zeros(len(words) + 1, np.int32)
-                    np.add.at(step, [s["a"] for s in spans_], 1)
-                    np.add.at(step, [s["b"] for s in spans_], -1)
-                    kept = [words[i] for i in np.flatnonzero(np.cumsum(step[:-1]) == 0).tolist()]
+                if hits:
+                    kept = [words[i] for i in np.flatnonzero(~_covered(hits, len(words))).tolist()]
                     if len(kept) < len(words):
                         out = b" ".join(kept).decode()
                 rows.append((len(words), len(words) - len(kept), hashlib.sha256(b" ".join(kept)).hexdigest(), out if with_text else None))
