@@ -28,6 +28,7 @@ from relmine.llm.common import saved, text_key
 
 #: What separates words, and the letters that are lowered.
 BREAKS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+RESULT = ("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -63,7 +64,7 @@ def occurrences(docs: DataFrame, benchmark: DataFrame, size: int = 13, piece: in
     """(doc_id, tid, start, length, item_id): every place where an item's window stands, start from 1."""
     windows = saved(item_windows(benchmark, size), "windows")
     vocabulary = windows.select(F.explode("window").alias("word")).distinct()
-    rarity = word_rarity(docs, vocabulary, piece)
+    rarity = saved(word_rarity(docs, vocabulary, piece), "rarity")  # written, so that AQE can split a word of many windows
     # the rarest word of each distinct window; ties by the word, then by its first place
     distinct = windows.select("window").distinct()
     ranked = distinct.select("window", F.posexplode("window").alias("offset", "word")).join(rarity, "word")
@@ -86,8 +87,9 @@ def occurrences(docs: DataFrame, benchmark: DataFrame, size: int = 13, piece: in
 def contamination(docs: DataFrame, benchmark: DataFrame, size: int = 13, share: int = 20, keep: list[str] | None = None) -> DataFrame:
     """A row per document: n_words, n_hit, n_items, items_sha256, contaminated (n_hit > 0 and share * n_hit >= n_words).
 
-    ``keep`` names further columns of ``docs`` to return.
+    ``keep`` names further columns of ``docs`` to return; those that bear a result's name are left out.
     """
+    keep = [c for c in dict.fromkeys(keep or []) if c not in RESULT]
     found = saved(occurrences(docs, benchmark, size), "occurrences")
     # words under the union of the occurrences: what each adds beyond the furthest end before it
     spans = found.select("doc_id", "tid", F.col("start").cast("long").alias("start"), (F.col("start") + F.col("length")).alias("stop")).distinct()
@@ -97,11 +99,12 @@ def contamination(docs: DataFrame, benchmark: DataFrame, size: int = 13, share:
     items = found.groupBy("doc_id", "tid").agg(F.sort_array(F.collect_set(F.col("item_id").cast("string"))).alias("items"))
     per_doc = hits.join(items, (hits.doc_id.eqNullSafe(items.doc_id)) & (hits.tid == items.tid)).select(
         hits.doc_id.alias("hit_id"), hits.tid.alias("hit_tid"), "n_hit", "items")
-    base = docs.select(*(F.col(c) for c in dict.fromkeys(["doc_id", *(keep or [])])), text_key().alias("tid"), F.size(words_of(F.col("text"))).cast("long").alias("n_words"))
+    kept = F.struct(*(F.col(c) for c in keep)) if keep else F.lit(None).cast("string")
+    base = docs.select("doc_id", kept.alias("kept"), text_key().alias("tid"), F.size(words_of(F.col("text"))).cast("long").alias("n_words"))
     joined = base.join(per_doc, base.doc_id.eqNullSafe(per_doc.hit_id) & (base.tid == per_doc.hit_tid), "left")
     n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
     return joined.select(
-        *dict.fromkeys(["doc_id", *(keep or [])]), "n_words", n_hit.alias("n_hit"),
+        "doc_id", *(F.col(f"kept.`{c}`").alias(c) for c in keep), "n_words", n_hit.alias("n_hit"),
         F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_items"),
         F.sha2(F.coalesce(F.array_join("items", ","), F.lit("")), 256).alias("items_sha256"),
         ((n_hit > 0) & (F.lit(share) * n_hit >= F.col("n_words"))).alias("contaminated"))

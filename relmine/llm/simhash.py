@@ -253,7 +253,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, bits: int = 4) -> DataFra
     prints, rooted = grouped(docs, shingle, bits)
     # the smallest doc_id of each fingerprint first, then of each component: copies never meet unsummed
     least = prints.groupBy("fp").agg(F.min("doc_id").alias("least")).join(rooted, "fp")
-    heads = least.groupBy("root").agg(F.min("least").alias("component_id"))
+    heads = saved(least.groupBy("root").agg(F.min("least").alias("component_id")), "heads")  # written, so that AQE can split a large component
     named = least.select("fp", "root").join(heads, "root").select("fp", "component_id")
     return prints.join(named, "fp", "left").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
