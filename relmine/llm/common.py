@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 #: Shuffle files of a write are of no use once it is done, for what it wrote is read from then on.
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _paths: dict[int, str] = {}
+#: what ``saved`` has written and not yet deleted, in order
+_written: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -51,6 +53,7 @@ def clean(spark: SparkSession) -> None:
     """Delete all intermediates of this application; results that were not written or collected are lost."""
     with contextlib.suppress(Exception):  # a session that has ended has no file system left to ask
         if path := _paths.pop(id(spark.sparkContext), None):
+            _written[:] = [x for x in _written if not x.startswith(path)]
             _delete(spark, path)
 
 
@@ -67,15 +70,39 @@ def saved(df: DataFrame, label: str) -> DataFrame:
             spark.conf.unset(_CLEANUP)
         else:
             spark.conf.set(_CLEANUP, before)
+    _written.append(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._saved_at = path
     return out
 
 
-def dropped(df: DataFrame) -> None:
-    """Delete what ``saved`` wrote for ``df``, once nothing reads it any more."""
-    if path := getattr(df, "_saved_at", None):
-        _delete(df.sparkSession, path)
+def dropped(*frames: DataFrame) -> None:
+    """Delete what ``saved`` wrote for ``frames``, once nothing reads it any more."""
+    for df in frames:
+        if (path := getattr(df, "_saved_at", None)) in _written:
+            _written.remove(path)
+            _delete(df.sparkSession, path)
+
+
+def mark() -> int:
+    """A point in the order of what is saved, for ``release``."""
+    return len(_written)
+
+
+def release(spark: SparkSession, since: int, *keep: DataFrame) -> None:
+    """Delete what was saved after the mark, but for what ``keep`` reads."""
+    kept = {getattr(df, "_saved_at", None) for df in keep}
+    for path in [x for x in _written[since:] if x not in kept]:
+        _written.remove(path)
+        _delete(spark, path)
+
+
+def superseded(spark: SparkSession, docs: DataFrame) -> None:
+    """Delete all that was saved before and that ``docs`` does not read: what earlier stages needed whose results are written."""
+    read = docs.inputFiles()
+    for path in [x for x in _written if not any(x.rsplit("/", 1)[1] in f for f in read)]:
+        _written.remove(path)
+        _delete(spark, path)
 
 
 def text_key():
@@ -104,8 +131,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         star = joined.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(
             low.select("u", F.col("m").alias("v")))
         after = saved(star.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
-        for done in (e, near, large, low):
-            dropped(done)
+        dropped(e, near, large, low)
         e = after
         now = e.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == before:

@@ -13,8 +13,8 @@ contexts and of what each seen n-gram has above backing off, so an n-gram that t
 model lacks adds nothing. A document's score is then a join of its n-grams with
 the model, summed by document. Both sides travel as sorted lists of hashes,
 packed by shard of the hash; a shard holds its part of the model and streams the
-documents' lists. To bound the disk that is used at once, n-grams are counted and
-documents scored in ``passes`` parts by hash. The n-gram's hash has ``2 ** slack`` places for each n-gram of the corpus
+documents' lists. To bound the disk that is used at once, n-grams are counted in
+``parts`` and documents scored in ``passes`` by hash. The n-gram's hash has ``2 ** slack`` places for each n-gram of the corpus
 at least, so a wrong match has a chance of 2 ** -slack.
 
 Thresholds. One trusted document in ``folds`` is not trained on; a language's
@@ -41,7 +41,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relmine.llm.common import dropped, saved, text_key
+from relmine.llm.common import dropped, mark, release, saved, text_key
 
 #: Marks before a text and after it; what sets a repeated word apart.
 BEFORE, AFTER, AGAIN = np.uint64(1), np.uint64(2), np.uint64(0xA0761D6478BD642F)
@@ -135,7 +135,7 @@ def gram_counts(texts: DataFrame, order: int, part: int = 0, parts: int = 1, siz
             _, at, n = np.unique(gram_keys(lang.view(np.uint64), words), return_index=True, return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(lang[at]), *(pa.array(w[at].view(np.int64)) for w in words), pa.array(n.astype(np.int64))], names=["l", *names, "n"])
 
-    found = texts.select("key", "l", "text").mapInArrow(run, ", ".join(f"{c} long" for c in ["l", *names, "n"]))
+    found = texts.select(F.lit(0).cast("long").alias("key"), "l", "text").mapInArrow(run, ", ".join(f"{c} long" for c in ["l", *names, "n"]))
     return found.groupBy("l", *names).agg(F.sum("n").alias("n"))
 
 
@@ -171,6 +171,7 @@ def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[i
     def entries():
         lower = tables[1][0].join(langs, "l").select("l", "w1", ((F.col("n") - _taken()) / F.col("all") + F.exp("unknown")).alias("p"), "unknown")
         lower = saved(lower, "unigrams")
+        dropped(tables[1][0])
         yield 1, lower.select("l", "w1", (F.log("p") - F.col("unknown")).alias("value"))
         for k in range(2, order + 1):
             context, suffix = words_of(k - 1), [f"w{i}" for i in range(2, k + 1)]
@@ -191,7 +192,9 @@ def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[i
                     yield k, own.select("l", *words_of(k), F.log1p(F.col("x") / F.col("low")).alias("value"))
                     dropped(table)
                 dropped(weights)
-            if full:
+            if k == order:
+                dropped(lower)
+            else:
                 lower = _united(full)
 
     return entries(), langs.select("l", "unknown")
@@ -282,7 +285,8 @@ def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(key, part, tokens) of each document and shard; a shard's model comes before its documents."""
     shard, held, keys, values = None, [], np.zeros(0, np.uint64), np.zeros(0)
     for b in batches:
-        for r in b.to_pylist():
+        for i in range(len(b)):
+            r = {name: c[i].as_py() for name, c in zip(b.schema.names, b.columns)}  # one list at a time
             if r["shard"] != shard:
                 shard, held, keys, values = r["shard"], [], np.zeros(0, np.uint64), np.zeros(0)
             own = np.cumsum(_spread(r["keys"], np.uint64), dtype=np.uint64)
@@ -315,28 +319,29 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
 
 
-def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25, passes: int = 2) -> tuple[DataFrame, DataFrame]:
+def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25, parts: int = 3, passes: int = 2) -> tuple[DataFrame, DataFrame]:
     """(key, logp, tokens) of the different rows of ``texts``, and the model's languages (l, unknown);
     logp lacks tokens times unknown."""
     spark = texts.sparkSession
     grams = order * (texts.agg(F.sum(F.length("text") + 1)).first()[0] or 0) // 6 + 1  # about six characters a word
     shards = max(2 * spark.sparkContext.defaultParallelism, -(-grams // shard_grams))
     bits = min(64, max(40, grams.bit_length() + slack))
-    counts = [saved(gram_counts(training, order, i, passes), "grams") for i in range(passes)]
+    counts = [saved(gram_counts(training, order, i, parts), "grams") for i in range(parts)]
     entries, langs = model_entries(counts, order)
     model = _united([saved(packed_entries(frame, k, shards, bits), "model") for k, frame in entries])
     scored = []
     for i in range(passes):
         both = model.unionByName(packed_documents(texts.where(F.pmod("key", F.lit(passes)) == i), order, shards, bits))
-        parts = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
-        scored.append(saved(parts.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored"))
+        sums = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
+        scored.append(saved(sums.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored"))
     return _united(scored), langs
 
 
-def perplexities(texts: DataFrame, training: DataFrame, order: int) -> DataFrame:
-    """(key, l, tokens, logp) of the different rows of ``texts``; logp is null without a model of the language."""
+def perplexities(texts: DataFrame, training: DataFrame, order: int, ids: DataFrame | None = None) -> DataFrame:
+    """(key, l, tokens, logp) of the different rows of ``texts``; logp is null without a model of the language. ``ids``
+    has the rows' key and l, if they are at hand."""
     scored, langs = log_probabilities(texts, training, order)
-    rows = texts.groupBy("key", "l").agg(F.count("*").alias("rows"))  # equal rows were summed
+    rows = (texts if ids is None else ids).groupBy("key", "l").agg(F.count("*").alias("rows"))  # equal rows were summed
     per = rows.join(scored, "key", "left").join(langs, "l", "left")
     tokens = F.col("tokens") / F.col("rows")
     return per.select("key", "l", tokens.cast("long").alias("tokens"), (F.col("logp") / F.col("rows") + tokens * F.col("unknown")).alias("logp"))
@@ -344,17 +349,20 @@ def perplexities(texts: DataFrame, training: DataFrame, order: int) -> DataFrame
 
 def quality(docs: DataFrame, labels: DataFrame, order: int = 2, quantile: float = 0.99, margin: float = 1.05, prior: float = 20.0, enough: int = 5, folds: int = 5) -> DataFrame:
     """(doc_id, tid, lang, n_words, perplexity, threshold, accepted), a row for each row of ``docs``."""
-    texts = identified(docs)
+    texts, since = identified(docs), mark()
+    ids = saved(texts.drop("text"), "ids")
     trusted = trusted_ids(labels).withColumn("fold", F.pmod(F.xxhash64("doc_id"), F.lit(folds)))
-    scored = saved(perplexities(texts, texts.join(trusted.where("fold > 0"), "doc_id", "left_semi"), order), "perplexities")
-    unseen = texts.select("doc_id", "key").join(trusted.where("fold = 0"), "doc_id", "left_semi").select("key")
+    scored = saved(perplexities(texts, texts.join(trusted.where("fold > 0"), "doc_id", "left_semi"), order, ids), "perplexities")
+    unseen = ids.join(trusted.where("fold = 0"), "doc_id", "left_semi").select("key")
     unseen = saved(scored.join(unseen, "key").where("logp is not null"), "unseen")
-    means = unseen.groupBy("l").agg((F.sum("logp") / F.sum("tokens")).alias("mean"), F.count("*").alias("seen"))
-    shrunk = lambda: F.exp(-(F.col("logp") + prior * F.coalesce("mean", F.lit(0.0))) / (F.col("tokens") + F.when(F.col("mean").isNull(), 0.0).otherwise(prior)))
-    means = saved(means, "means")
+    # a short text is drawn to its language's average
+    drawn = F.coalesce(F.when(F.col("mean").isNotNull(), F.lit(prior)), F.lit(0.0))
+    shrunk = F.exp(-(F.col("logp") + drawn * F.coalesce("mean", F.lit(0.0))) / (F.col("tokens") + drawn))
+    means = saved(unseen.groupBy("l").agg((F.sum("logp") / F.sum("tokens")).alias("mean"), F.count("*").alias("seen")), "means")
     cut = F.percentile_approx("perplexity", quantile, 10_000) * margin
-    limits = unseen.join(means, "l").withColumn("perplexity", shrunk()).groupBy("l", "mean", "seen").agg(cut.alias("cut"))
+    limits = unseen.join(means, "l").withColumn("perplexity", shrunk).groupBy("l", "mean", "seen").agg(cut.alias("cut"))
     limits = saved(limits.select("l", "mean", F.when(F.col("seen") >= enough, F.col("cut")).alias("threshold")), "limits")
-    judged = scored.join(limits, "l", "left").select("key", F.greatest(F.col("tokens") - 1, F.lit(0)).alias("n_words"), shrunk().alias("perplexity"), "threshold")
-    out = texts.select("doc_id", "tid", "lang", "key").join(judged, "key", "left")
+    release(docs.sparkSession, since, ids, scored, limits)
+    judged = scored.join(limits, "l", "left").select("key", F.greatest(F.col("tokens") - 1, F.lit(0)).alias("n_words"), shrunk.alias("perplexity"), "threshold")
+    out = ids.join(judged, "key", "left")
     return out.select("doc_id", "tid", "lang", "n_words", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True)).alias("accepted"))
