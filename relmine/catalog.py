@@ -132,7 +132,7 @@ def _(spark, d):
 @query("tau_filter_dirty", f"select rule, hits, n_rows from ({_sql_sat(AR, 'ar', [(SHORT, 'net_c + tax_c = due_c'), (COINCIDENCE, 'a_flag * b_flag = e_flag'), (ar('+', 'net_c', 'sur_c', 'due_c'), 'net_c + sur_c = due_c')])}) where 5 * hits >= 4 * n_rows")
 def _(spark, d):
     got = satisfy.satisfaction(carriers.ar_lineitem(spark, d), [SHORT, COINCIDENCE, ar("+", "net_c", "sur_c", "due_c")])
-    return got.where(F.col("hits") * 5 >= F.col("n_rows") * 4).select("rule", "hits", "n_rows")
+    return satisfy.accurate(got, Config(setting="dirty").tau).select("rule", "hits", "n_rows")
 
 
 @query("violations_dirty_net", f"with {AR} select l_orderkey, l_linenumber, l_partkey, net_c, tax_c, due_c from ar where net_c + tax_c <> due_c")
@@ -393,7 +393,8 @@ def _sql_bound(rels: Sequence[Relation], source: str, tight: bool = False) -> st
 
 
 def _bounds(df: DataFrame, rels: Sequence[Relation], cfg: Config) -> DataFrame:
-    got = bounds.bounds(df, rels, cfg)
+    complete = {r["cand_id"] for r in satisfy.satisfaction(df, rels).where("hits = n_rows").collect()} if cfg.setting == "clean" else ()
+    got = bounds.bounds(df, rels, cfg, complete=complete)
     return df.sparkSession.createDataFrame([(r.text, round(got[r.cand_id], DIGITS)) for r in rels], "rule string, bound double")
 
 
@@ -648,8 +649,7 @@ def _(spark, d):
 def _(spark, d):
     """Rules accurate enough in the dirty setting and not in the clean one."""
     sat = satisfy.satisfaction(carriers.ar_lineitem(spark, d), [SHORT, GROSS, DUE])
-    dirty = sat.where(F.col("hits") * 5 >= F.col("n_rows") * 4).select("rule")
-    return dirty.exceptAll(sat.where("hits = n_rows").select("rule"))
+    return satisfy.accurate(sat, 0.8).select("rule").exceptAll(satisfy.accurate(sat, 1.0).select("rule"))
 
 
 @query("topk_rules_per_output", f"select y as output, x as input, rank from (select *, row_number() over (partition by y order by hits desc, x) as rank from ({_sql_ratios(FD_COLUMNS)})) where rank <= 2")

@@ -43,7 +43,8 @@ def evaluate(tree: Tree, column: Callable[[str], Column] = F.col) -> Column:
     v, o = [evaluate(a, column) for a in args], _options(tree)
     if op in ARITHMETIC:
         a, b = v
-        return a + b if op == "+" else a - b if op == "-" else a * b if op == "*" else F.try_divide(a.cast("double"), b.cast("double"))
+        # a result that the type cannot hold is null, as division by zero is
+        return F.try_add(a, b) if op == "+" else F.try_subtract(a, b) if op == "-" else F.try_multiply(a, b) if op == "*" else F.try_divide(a.cast("double"), b.cast("double"))
     text = [x.cast("string") for x in v]
     if op == "concat":
         return F.concat(*text)
@@ -63,10 +64,15 @@ def evaluate(tree: Tree, column: Callable[[str], Column] = F.col) -> Column:
     if op == "mod":
         return F.pmod(v[0], F.lit(o[0]))
     if op == "affine":  # a * x + b
-        return v[0] * o[0] + o[1]
+        return F.try_add(F.try_multiply(v[0], F.lit(o[0])), F.lit(o[1]))
     raise ValueError(f"unknown operator {op}")
 
 
+def divides(tree: Tree | None) -> bool:
+    """Whether a division stands in the tree, so that its value is no whole number."""
+    return isinstance(tree, tuple) and (tree[0] == "/" or any(divides(part) for part in tree[1:] if not _is_option(tree[0], part)))
+
+
 def _literal(text: str) -> str:
     return "".join("\\" + c if c in r"\.[]{}()*+-?^$|" else c for c in text)
 

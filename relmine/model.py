@@ -83,6 +83,9 @@ class Config:
     yates: bool = False
     multiplicity: str = "none"
     min_effect: float = 0.0
+    min_expected: float = 0.0
+    it_columns: int = 0
+    looks: str = "single"
     null_policy: str = "exclude_all_null"
     atol: float = 0.0
     rtol: float = 1e-9
@@ -92,7 +95,7 @@ class Config:
     def __post_init__(self):
         choices = {"setting": ("clean", "dirty"), "subset_space": ("nonempty", "proper"), "fd_mode": ("recheck", "induced"), "row_pool": ("satisfied", "all"),
                    "dirty_mode": ("independence", "drop_violations"), "core_check": ("guarded", "paper"), "bound_mode": ("exact", "sample"), "mode": ("one_shot", "staged"),
-                   "multiplicity": ("none", "bonferroni"), "null_policy": ("exclude_all_null", "violate", "match")}
+                   "multiplicity": ("none", "bonferroni", "benjamini_hochberg"), "looks": ("single", "spread"), "null_policy": ("exclude_all_null", "violate", "match")}
         for name, allowed in choices.items():
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} must be one of {allowed}")

@@ -2,11 +2,15 @@
 
 kappa(S) is the chance that two different rows agree on the columns S. The mean
 of kappa over the exchanged column sets bounds the survival score from below.
+
+Defined cases: null is a value; a table of one row has kappa 1, one without rows 0;
+repeated rows are different rows that agree; columns may bear any name.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Sequence
+from collections.abc import Collection, Iterable, Sequence
+from functools import reduce
 from itertools import combinations
 
 from pyspark.sql import Column, DataFrame
@@ -21,26 +25,50 @@ def column_sets(columns: Sequence[str]) -> list[frozenset[str]]:
     return [frozenset(s) for n in range(1, len(columns) + 1) for s in combinations(columns, n)]
 
 
-def kappas(df: DataFrame, sets: Iterable[frozenset[str]]) -> dict[frozenset[str], float]:
-    """kappa of each set: one aggregate over grouping sets shared by all rules, counts combined before the shuffle.
+def kappas_of(df: DataFrame, items: Sequence[tuple[Sequence[str], Column | None]]) -> list[float]:
+    """kappa of each (columns, rows that count) in one pass, counts combined before the shuffle.
 
-    Sums are decimals: a group of a third of 10^13 rows would overflow a long.
+    A row gives a 64-bit hash for each item; two different cells have equal hashes with a chance of 2 ** -64, which is
+    all that a hash can add to a kappa. Sums are decimals: a group of a third of 10^13 rows would overflow a long.
     """
-    sets = sorted({frozenset(s) for s in sets}, key=sorted)
-    columns = sorted({c for s in sets for c in s})
-    if not sets:
-        return {}
-    grouped = df.groupingSets([[F.col(c) for c in sorted(s)] for s in sets], *(F.col(c) for c in columns)).agg(F.count("*").alias("n"), F.grouping_id().alias("gid"))
+    if not items:
+        return []
+    keyed = F.array(*(F.struct(F.lit(i).alias("item"), _key(columns).alias("h"), F.lit(True) if only is None else F.coalesce(only, F.lit(False))) for i, (columns, only) in enumerate(items)))
+    each = df.select(F.inline(keyed).alias("item", "h", "counts")).where("counts").groupBy("item", "h").agg(F.count("*").alias("n"))
     n = F.col("n").cast("decimal(19,0)")
-    rows = grouped.groupBy("gid").agg(F.sum(n * (n - 1)).alias("pairs"), F.sum(n).alias("rows")).collect()
-    by = {}
-    for s in sets:
-        gid = sum((c not in s) << (len(columns) - 1 - i) for i, c in enumerate(columns))
-        by[gid] = s
-    out = dict.fromkeys(sets, 0.0)
-    for r in rows:
-        total = int(r["rows"])
-        out[by[r["gid"]]] = float(r["pairs"]) / (total * (total - 1)) if total > 1 else 1.0
+    got = {r["item"]: r for r in each.groupBy("item").agg(F.sum(n * (n - 1)).alias("pairs"), F.sum(n).alias("rows")).collect()}
+    return [_share(got[i]["pairs"], got[i]["rows"]) if i in got else 0.0 for i in range(len(items))]
+
+
+def _key(columns: Sequence[str]) -> Column:
+    """A hash in which null and the place of each cell count."""
+    return F.xxhash64(*(x for c in columns for x in (F.col(c), F.col(c).isNull())))
+
+
+def _share(pairs, rows) -> float:
+    rows = int(rows)
+    return float(pairs) / (rows * (rows - 1)) if rows > 1 else 1.0
+
+
+def kappas(df: DataFrame, sets: Iterable[frozenset[str]]) -> dict[frozenset[str], float]:
+    """kappa of each set of columns."""
+    sets = sorted({frozenset(s) for s in sets}, key=sorted)
+    return dict(zip(sets, kappas_of(df, [(sorted(s), None) for s in sets])))
+
+
+def same_groups(df: DataFrame, rels: Sequence[Relation]) -> dict[frozenset[str], frozenset[str]]:
+    """Sets of columns that group the rows as another set does, for ``rels`` that hold on every row.
+
+    In a sum or difference of whole numbers all columns but one determine that one.
+    """
+    from relmine.functions.expressions import signed_sum
+    from relmine.operators.satisfy import exact_columns
+
+    out: dict[frozenset[str], frozenset[str]] = {}
+    for r in rels:
+        if r.kind == "AR" and signed_sum(r.expr) and len(signed_sum(r.expr)) == r.arity and exact_columns(df, r):
+            full = frozenset(r.columns)
+            out.update({full - {c}: full for c in full})
     return out
 
 
@@ -67,15 +95,44 @@ def sampled(df: DataFrame, rows: int) -> DataFrame:
     return df if n <= rows else df.sample(fraction=rows / n, seed=42)
 
 
-def bounds(df: DataFrame, rels: Sequence[Relation], cfg: Config) -> dict[str, float]:
-    """Bound by cand_id. In the clean setting all rules share one pass; in the dirty one each sees its satisfied rows."""
-    from relmine.operators.satisfy import satisfied
+def bounds(df: DataFrame, rels: Sequence[Relation], cfg: Config, maps: DataFrame | None = None, complete: Collection[str] = ()) -> dict[str, float]:
+    """Bound by cand_id, in one pass for all rules; in the dirty setting each rule sees its satisfied rows.
+
+    ``maps`` are the value dependencies' maps (``dependency_maps``), if they are known; ``complete`` are the cand_ids of
+    rules known to hold on every row, which need fewer sets.
+    """
+    from relmine.operators.satisfy import dependency_counts, dependency_maps, exact_columns, holds
 
     base = sampled(df, cfg.bound_rows) if cfg.bound_mode == "sample" else df
     if cfg.setting == "clean":
-        kappa = kappas(base, (s for r in rels for s in column_sets(r.columns)))
-        return {r.cand_id: group_bound(kappa, r, cfg) for r in rels}
-    return {r.cand_id: group_bound(kappas(satisfied(base, r, cfg).select(*r.columns), column_sets(r.columns)), r, cfg) for r in rels}
+        same = same_groups(base, [r for r in rels if r.cand_id in complete])
+        kappa = kappas(base, (same.get(s, s) for r in rels for s in column_sets(r.columns)))
+        return {r.cand_id: group_bound({s: kappa[same.get(s, s)] for s in column_sets(r.columns)}, r, cfg) for r in rels}
+    plain, fds = [r for r in rels if r.kind != "FD"], [r for r in rels if r.kind == "FD"]
+    wanted = [(r, s) for r in plain for s in column_sets(r.columns)]
+    ok = {r.cand_id: holds(r, exact=exact_columns(base, r), cfg=cfg) for r in plain}
+    found: dict[str, dict] = {r.cand_id: {} for r in rels}
+    for (r, s), k in zip(wanted, kappas_of(base, [(sorted(s), ok[r.cand_id]) for r, s in wanted])):
+        found[r.cand_id][s] = k
+    if fds:
+        for r, by in zip(fds, _dependency_kappas(dependency_maps(dependency_counts(base, fds)) if maps is None or base is not df else maps, fds)):
+            found[r.cand_id] = by
+    return {r.cand_id: group_bound(found[r.cand_id], r, cfg) for r in rels}
+
+
+def _dependency_kappas(maps: DataFrame, fds: Sequence[Relation]) -> list[dict[frozenset[str], float]]:
+    """kappas of value dependencies' satisfied rows, whose input determines the output."""
+    n = F.col("k").cast("decimal(19,0)")
+    sums = lambda by: {r["cand_id"]: _share(r["pairs"], r["rows"]) for r in maps.groupBy("cand_id", by).agg(F.sum("n_y").alias("k")).groupBy("cand_id").agg(
+        F.sum(n * (n - 1)).alias("pairs"), F.sum(n).alias("rows")).collect()}
+    x, y = sums("x"), sums("y")
+    out = []
+    for r in fds:
+        if r.arity > 1:
+            raise ValueError("value dependencies have one input")
+        a, b = frozenset(r.inputs), frozenset([r.output])
+        out.append({a: x.get(r.cand_id, 0.0), b: y.get(r.cand_id, 0.0), a | b: x.get(r.cand_id, 0.0)})
+    return out
 
 
 def closed_sum_score(df: DataFrame, rel: Relation) -> float:
@@ -92,7 +149,8 @@ def closed_sum_score(df: DataFrame, rel: Relation) -> float:
         if part:
             cores[s] = sorted(part)
     names = {s: f"core{i}" for i, s in enumerate(cores)}
-    frame = df.select(*(sum((F.col(c) * signs[c] for c in part[1:]), F.col(part[0]) * signs[part[0]]).alias(names[s]) for s, part in cores.items()))
+    total = lambda part: reduce(F.try_add, (F.col(c) if signs[c] > 0 else F.negative(c) for c in part))
+    frame = df.select(*(total(part).alias(names[s]) for s, part in cores.items()))
     kappa = kappas(frame, [frozenset([n]) for n in names.values()])
     return sum(kappa[frozenset([names[s]])] if s in names else 1.0 for s in sets) / len(sets)
 
@@ -100,7 +158,7 @@ def closed_sum_score(df: DataFrame, rel: Relation) -> float:
 def dependency_score(df: DataFrame, rel: Relation, mode: str) -> float:
     """Exact survival score of a value dependency: (1 + 2 kappa(y)) / 3 when the observed map is the rule,
     with the pairs of rows whose inputs occur once added when the table is asked again."""
-    pairs = df.groupBy(*rel.inputs).agg(F.count("*").alias("n"), F.min(rel.output).alias("y"))
+    pairs = df.groupBy(*(F.col(c).alias(f"x{i}") for i, c in enumerate(rel.inputs))).agg(F.count("*").alias("n"), F.min(rel.output).alias("y"))
     n, k = df.count(), kappas(df, [frozenset([rel.output])])[frozenset([rel.output])]
     if n < 2:
         return 1.0

@@ -15,6 +15,7 @@ from itertools import permutations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from relmine.functions.expressions import canonical, leaves, opt, render
 from relmine.model import Config, Relation
@@ -62,21 +63,32 @@ def null_patterns(df: DataFrame, columns: Sequence[str]) -> list[list[str]]:
 
 
 def probe_rows(df: DataFrame, columns: Sequence[str], groups: int, size: int, seed: int = 7) -> DataFrame:
-    """(grp, row, columns...): ``groups`` times ``size`` rows with the smallest hashes, without repeats."""
-    key = F.md5(F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in sorted(columns)), F.lit(str(seed))))
-    drawn = df.select(*columns).distinct().withColumn("_k", key).orderBy("_k").limit(groups * size)
-    from pyspark.sql import Window
+    """(grp, row, cells): ``groups`` times ``size`` different rows with the smallest hashes.
 
-    n = F.row_number().over(Window.orderBy("_k")) - 1
-    return drawn.withColumn("row", n).withColumn("grp", F.col("row") % groups).drop("_k")
+    A top-k by hash, in which equal rows are neighbours; only where repeats leave too few of it are rows made different first.
+    """
+    wanted, names = groups * size, sorted(set(columns))
+    keyed = df.select(F.xxhash64(*(x for c in names for x in (F.col(c), F.col(c).isNull())), F.lit(seed)).alias("k"), F.struct(*(F.col(c) for c in names)).alias("cells"))
+    some = keyed.orderBy("k").limit(16 * wanted).collect()
+    drawn = {r["k"]: r["cells"] for r in some}
+    if len(drawn) < wanted and len(some) == 16 * wanted:
+        drawn = {r["k"]: r["cells"] for r in keyed.groupBy("k").agg(F.first("cells").alias("cells")).orderBy("k").limit(wanted).collect()}
+    rows = [(i % groups, i, cells) for i, (_, cells) in enumerate(sorted(drawn.items(), key=lambda x: x[0])[:wanted])]
+    schema = T.StructType([T.StructField("grp", T.IntegerType()), T.StructField("row", T.IntegerType()), T.StructField("cells", keyed.schema["cells"].dataType)])
+    return df.sparkSession.createDataFrame(rows, schema)
 
 
 def cells(probes: DataFrame, columns: Sequence[str]) -> DataFrame:
     """(grp, row, col, v) in double precision."""
-    pairs = F.array(*(F.struct(F.lit(c).alias("col"), F.col(c).cast("double").alias("v")) for c in columns))
+    pairs = F.array(*(F.struct(F.lit(c).alias("col"), F.col("cells")[c].cast("double").alias("v")) for c in columns))
     return probes.select("grp", "row", F.inline(pairs))
 
 
+def texts_of(probes: DataFrame, columns: Sequence[str]) -> DataFrame:
+    """(row, col, v) as text."""
+    return probes.select("row", F.inline(F.array(*(F.struct(F.lit(c).alias("col"), F.col("cells")[c].cast("string").alias("v")) for c in columns))))
+
+
 def pair_values(values: DataFrame) -> DataFrame:
     """(grp, row, l, op, r, v): the six combinations of two different columns."""
     a, b = values.select("grp", "row", F.col("col").alias("l"), F.col("v").alias("x")), values.select("grp", "row", F.col("col").alias("r"), F.col("v").alias("y"))
@@ -193,8 +205,8 @@ def extractions(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (), ro
 
 def _extractions(df: DataFrame, cfg: Config, texts: Sequence[str], sources: Sequence[str], rows: int) -> list[Relation]:
     probes = probe_rows(df, list(dict.fromkeys(sources)), 1, rows)
-    cell = lambda names: probes.select("row", F.inline(F.array(*(F.struct(F.lit(c).alias("col"), F.col(c).cast("string").alias("v")) for c in names))))
-    own, out = cell(sources), cell(sources).select("row", F.col("col").alias("y"), F.col("v").alias("w"))
+    own = texts_of(probes, sources)
+    out = own.select("row", F.col("col").alias("y"), F.col("v").alias("w"))
     total = probes.count()
     tokens = own.where(F.col("col").isin(texts)).select("row", "col", F.explode(F.array(*(F.lit(d) for d in DELIMITERS))).alias("d"), "v").select(
         "row", "col", "d", F.posexplode(F.expr(r"split(v, concat('\\Q', d, '\\E'))")).alias("i", "t"))
@@ -235,7 +247,7 @@ def concatenations(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (),
 def _concatenations(df: DataFrame, cfg: Config, texts: Sequence[str], rows: int) -> list[Relation]:
     probes = probe_rows(df, texts, 1, rows)
     total = probes.count()
-    cell = probes.select("row", F.inline(F.array(*(F.struct(F.lit(c).alias("col"), F.col(c).alias("v")) for c in texts))))
+    cell = texts_of(probes, texts)
     as_ = lambda n: cell.select("row", F.col("col").alias(f"c{n}"), F.col("v").alias(f"v{n}"))
     heads = as_(0).join(as_(1), "row").where("c0 <> c1 and length(v1) > 0 and length(v0) > length(v1) and startswith(v0, v1)")
     met = heads.join(as_(2), "row").where("c2 <> c0 and c2 <> c1 and length(v2) > 0 and length(v0) >= length(v1) + length(v2) and endswith(v0, v2)")

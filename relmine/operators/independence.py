@@ -1,10 +1,13 @@
 """The Independence Test: violations of a complete rule do not depend on a left-out column.
 
-Totals of each value of each left-out column are counted once per table. For a
-rule only its violating rows are grouped, so what is shuffled per rule grows
-with violations. With p the share of violations, chi-squared is the sum over
-values with violations of (k - n p)^2 / (n p (1 - p)) plus, for all the other
-values together, their rows times p / (1 - p).
+Totals of each value of each left-out column are counted once per table, and the
+violating rows of all arithmetic and string rules in one scan, so what is shuffled
+per rule grows with violations. With p the share of violations, chi-squared is the
+sum over values with violations of (k - n p)^2 / (n p (1 - p)) plus, for all the
+other values together, their rows times p / (1 - p).
+
+Defined cases: null is a value; a constant column, no violation and nothing but
+violations pass; a table without rows passes; columns may bear any name.
 """
 
 from __future__ import annotations
@@ -13,56 +16,67 @@ from collections.abc import Sequence
 from functools import reduce
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
 from relmine.functions.statistics import chi2_tail
 from relmine.model import Config, Relation
-from relmine.operators.satisfy import with_holds
+from relmine.operators.satisfy import exact_columns, holds, violations
 
 NULL = "\x00null"
 
 
-def _cells(df: DataFrame, columns: Sequence[str]) -> DataFrame:
-    """(col, value) of each row and left-out column; null is a value of its own."""
-    pairs = F.array(*(F.struct(F.lit(c).alias("col"), F.coalesce(F.col(c).cast("string"), F.lit(NULL)).alias("value")) for c in columns))
-    return df.select(F.explode(pairs).alias("p")).select("p.col", "p.value")
+def _cell(c: str) -> dict[str, Column]:
+    return {"col": F.lit(c), "value": F.coalesce(F.col(c).cast("string"), F.lit(NULL))}
+
+
+def _pairs(columns: Sequence[str]) -> Column:
+    """(col, value) of each column as an array; null is a value of its own."""
+    return F.array(*(F.struct(p["col"].alias("col"), p["value"].alias("value")) for p in map(_cell, columns)))
 
 
 def totals(df: DataFrame, columns: Sequence[str]) -> DataFrame:
-    return _cells(df, columns).groupBy("col", "value").agg(F.count("*").alias("n"))
+    return df.select(F.inline(_pairs(columns))).groupBy("col", "value").agg(F.count("*").alias("n"))
+
+
+def violating(df: DataFrame, rels: Sequence[Relation], columns: dict[str, Sequence[str]], cfg: Config) -> DataFrame:
+    """(cand_id, col, value, k): violating rows of each value of each rule's ``columns``."""
+    parts = []
+    plain = [r for r in rels if r.kind != "FD"]
+    if plain:  # one scan: a row is taken apart for the rules that it violates
+        tagged = lambda r: F.array(*(F.struct(F.lit(r.cand_id).alias("cand_id"), p["col"].alias("col"), p["value"].alias("value")) for p in map(_cell, columns[r.cand_id])))
+        bad = [F.when(~holds(r, exact=exact_columns(df, r), cfg=cfg), tagged(r)) for r in plain]
+        parts.append(df.select(F.inline(F.flatten(F.filter(F.array(*bad), lambda x: x.isNotNull())))))
+    for r in (r for r in rels if r.kind == "FD"):
+        parts.append(violations(df, r, cfg).select(F.lit(r.cand_id).alias("cand_id"), F.inline(_pairs(columns[r.cand_id]))))
+    return reduce(DataFrame.unionByName, parts).groupBy("cand_id", "col", "value").agg(F.count("*").alias("k"))
 
 
 def contingency(df: DataFrame, rel: Relation, columns: Sequence[str], cfg: Config | None = None) -> DataFrame:
     """(col, value, n, k): rows and violations of each value."""
-    bad = with_holds(df, rel, cfg, "_ok").where(~F.col("_ok"))
-    k = _cells(bad, columns).groupBy("col", "value").agg(F.count("*").alias("k"))
+    k = violating(df, [rel], {rel.cand_id: columns}, cfg or Config()).drop("cand_id")
     return totals(df, columns).join(k, ["col", "value"], "left").select("col", "value", "n", F.coalesce("k", F.lit(0)).alias("k"))
 
 
-def chi2(df: DataFrame, rels: Sequence[Relation], cfg: Config, left_out: dict[str, Sequence[str]] | None = None) -> DataFrame:
-    """(cand_id, col, chi2, df, violations, n_rows) for each rule and left-out column."""
+def chi2(df: DataFrame, rels: Sequence[Relation], cfg: Config, left_out: dict[str, Sequence[str]] | None = None, all_: DataFrame | None = None) -> DataFrame:
+    """(cand_id, col, chi2, df, violations, n_rows, least) for each rule and left-out column; least is the smallest
+    expected count of a cell."""
     columns = [c for c in df.columns if c not in cfg.exclude]
-    n = df.count()
-    all_ = totals(df, columns).cache()  # values of left-out columns, shared by the rules
-    sizes = all_.groupBy("col").agg(F.count("*").alias("values"))
-    parts = []
-    for r in rels:
-        own = (left_out or {}).get(r.cand_id) or [c for c in columns if c not in r.columns]
-        bad = with_holds(df, r, cfg, "_ok").where(~F.col("_ok"))
-        parts.append(_cells(bad, own).groupBy("col", "value").agg(F.count("*").alias("k")).select(F.lit(r.cand_id).alias("cand_id"), "col", "value", "k"))
-    hits = reduce(DataFrame.unionByName, parts)
-    by = hits.join(all_, ["col", "value"])
+    own = {r.cand_id: (left_out or {}).get(r.cand_id) or [c for c in columns if c not in r.columns] for r in rels}
+    all_ = totals(df, sorted({c for cs in own.values() for c in cs})) if all_ is None else all_
+    sizes = all_.groupBy("col").agg(F.count("*").alias("values"), F.sum("n").alias("n_rows"), F.min("n").alias("fewest"))
+    by = violating(df, rels, own, cfg).join(all_, ["col", "value"])
     # every left-out column shows all of a rule's violations
-    each = by.withColumn("total", F.sum("k").over(Window.partitionBy("cand_id", "col"))).withColumn("p", F.col("total") / n)
+    each = by.withColumn("total", F.sum("k").over(Window.partitionBy("cand_id", "col"))).join(sizes, "col").withColumn("p", F.col("total") / F.col("n_rows"))
     spread = F.col("n") * F.col("p") * (1 - F.col("p"))
     gap = F.abs(F.col("k") - F.col("n") * F.col("p"))
     if cfg.yates:
         gap = F.greatest(gap - 0.5, F.lit(0.0))
-    stat = each.groupBy("cand_id", "col").agg(F.sum(gap * gap / F.nullif(spread, F.lit(0.0))).alias("seen"), F.sum("n").alias("covered"), F.max("p").alias("p"), F.max("total").alias("violations"))
-    value = F.col("seen") + (n - F.col("covered")) * F.col("p") / F.nullif(1 - F.col("p"), F.lit(0.0))
-    return stat.join(F.broadcast(sizes), "col").select("cand_id", "col", F.when((F.col("values") > 1) & (F.col("p") < 1), value).alias("chi2"), (F.col("values") - 1).alias("df"), "violations", F.lit(n).cast("bigint").alias("n_rows"))
+    stat = each.groupBy("cand_id", "col", "values", "n_rows", "fewest").agg(F.sum(gap * gap / F.nullif(spread, F.lit(0.0))).alias("seen"), F.sum("n").alias("covered"), F.max("p").alias("p"), F.max("total").alias("violations"))
+    value = F.col("seen") + (F.col("n_rows") - F.col("covered")) * F.col("p") / F.nullif(1 - F.col("p"), F.lit(0.0))
+    least = F.col("fewest") * F.least("p", 1 - F.col("p"))
+    return stat.select("cand_id", "col", F.when((F.col("values") > 1) & (F.col("p") < 1), value).alias("chi2"), (F.col("values") - 1).alias("df"), "violations", "n_rows", least.alias("least"))
 
 
 @F.pandas_udf(DoubleType())
@@ -71,15 +85,41 @@ def tail(x: pd.Series, df: pd.Series) -> pd.Series:
 
 
 def independent(df: DataFrame, rels: Sequence[Relation], cfg: Config) -> dict[str, tuple[bool, str | None, float | None, float]]:
-    """By cand_id: passed, the column with the smallest p, its chi-squared and p. Rules without violations pass."""
-    if not rels:
-        return {}
-    tested = chi2(df, rels, cfg).withColumn("p", tail("chi2", "df"))
-    if cfg.min_effect > 0:  # for two outcomes Cramer's V is sqrt(chi2 / n)
-        tested = tested.withColumn("p", F.when(F.sqrt(F.col("chi2") / F.col("n_rows")) >= cfg.min_effect, F.col("p")).otherwise(F.lit(1.0)))
-    worst = tested.groupBy("cand_id").agg(F.min(F.struct("p", "col", "chi2")).alias("w"), F.count("*").alias("tests")).collect()
+    """By cand_id: passed, the column with the smallest p, its chi-squared and p. Rules without violations pass.
+
+    With ``it_columns`` set, that many columns are tested at a time, and a rule that one of them rejects is not tested on
+    the rest; the order is that of the table. The corrections for several tests need all columns, and test them at once.
+    """
     out = {r.cand_id: (True, None, None, 1.0) for r in rels}
-    for r in worst:
-        alpha = cfg.alpha / r["tests"] if cfg.multiplicity == "bonferroni" else cfg.alpha
-        out[r["cand_id"]] = (r["w"]["p"] > alpha, r["w"]["col"], r["w"]["chi2"], r["w"]["p"])
+    columns, left = [c for c in df.columns if c not in cfg.exclude], list(rels)
+    step = cfg.it_columns if cfg.it_columns and cfg.multiplicity == "none" else max(1, len(columns))
+    for at in range(0, len(columns), step):
+        some = columns[at:at + step]
+        own = {r.cand_id: mine for r in left if (mine := [c for c in some if c not in r.columns])}
+        tried = [r for r in left if r.cand_id in own]
+        if not tried:
+            continue
+        all_ = totals(df, some).persist()  # values of left-out columns, shared by the rules
+        try:
+            found = _tested(df, tried, cfg, own, all_)
+        finally:
+            all_.unpersist()
+        for key, got in found.items():
+            if got[3] < out[key][3] or out[key][1] is None:
+                out[key] = (out[key][0] and got[0], *got[1:])
+        left = [r for r in left if out[r.cand_id][0]]
     return out
+
+
+def _tested(df: DataFrame, rels: Sequence[Relation], cfg: Config, own: dict[str, Sequence[str]], all_: DataFrame) -> dict[str, tuple]:
+    tested = chi2(df, rels, cfg, own, all_).withColumn("p", tail("chi2", "df"))
+    if cfg.min_expected > 0:
+        tested = tested.withColumn("p", F.when(F.col("least") >= cfg.min_expected, F.col("p")).otherwise(F.lit(1.0)))
+    if cfg.min_effect > 0:  # for two outcomes Cramer's V is sqrt(chi2 / n)
+        tested = tested.withColumn("p", F.when(F.sqrt(F.col("chi2") / F.col("n_rows")) >= cfg.min_effect, F.col("p")).otherwise(F.lit(1.0)))
+    rank = F.row_number().over(Window.partitionBy("cand_id").orderBy("p", "col"))  # as many rows as a rule has columns
+    m = F.count("*").over(Window.partitionBy("cand_id"))
+    limit = {"none": F.lit(cfg.alpha), "bonferroni": F.lit(cfg.alpha) / m, "benjamini_hochberg": F.lit(cfg.alpha) * rank / m}[cfg.multiplicity]
+    judged = tested.withColumn("out", F.col("p") <= limit)
+    worst = judged.groupBy("cand_id").agg(F.min(F.struct("p", "col", "chi2")).alias("w"), F.bool_or("out").alias("out")).collect()
+    return {r["cand_id"]: (not r["out"], r["w"]["col"], r["w"]["chi2"], r["w"]["p"]) for r in worst}

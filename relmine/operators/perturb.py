@@ -1,9 +1,15 @@
 """The Perturbation Test: how often a rule survives an exchange of observed cells.
 
 A trial is two different rows and a set of the rule's columns whose cells the
-rows exchange; the rule survives if both altered rows satisfy it. One bank of
-row pairs, drawn in one scan, serves all rules. Rows are drawn by a hash of
-their content, so the draw is the same on any number of executors.
+rows exchange; the rule survives if both altered rows satisfy it. In the clean
+setting one bank of row pairs, drawn in one scan, serves all rules; in the dirty
+setting one scan draws a bank of each rule's satisfied rows. Rows are drawn by a
+hash of their content, so the draw is the same on any number of executors; only
+rows that repeat are told apart by where they were read.
+
+Defined cases: a table, or satisfied rows, of fewer than two rows gives no trial;
+rows that are equal in all cells are different rows; columns may bear any name, for
+cells travel in structs; nulls as in ``satisfy``.
 """
 
 from __future__ import annotations
@@ -17,11 +23,38 @@ from pyspark.sql import functions as F
 from relmine.functions.statistics import hash_int, wilson_bounds
 from relmine.model import Config, Relation
 from relmine.operators.bounds import core_checks
-from relmine.operators.satisfy import dependency_map, exact_columns, holds, satisfied
+from relmine.operators.satisfy import cell_text, dependency_counts, dependency_maps, exact_columns, holds, input_text, satisfaction
 
 OUTCOME = "cand_id string, trial bigint, mask bigint, survived int"
 
 
+def _content(columns: Sequence[str]) -> Column:
+    return F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in sorted(columns)))
+
+
+def _drawn(df: DataFrame, columns: Sequence[str], n: int, seed: int) -> tuple[DataFrame, int] | None:
+    """(round, place, cells) of about 2n rows, and half of a round's rows; None of a table of fewer than two."""
+    text = _content(df.columns)
+    rows, different = df.agg(F.count("*"), F.approx_count_distinct(F.xxhash64(text), 0.02)).first()
+    if rows < 2:
+        return None
+    cells = F.struct(*(F.col(c) for c in sorted(set(columns))))
+    rounds, half = max(1, -(-2 * n // rows)), min(rows, 2 * n) // 2
+    tie = F.monotonically_increasing_id().cast("string") if rows > 1.1 * different else F.lit("")
+    many = df.select(cells.alias("cells"), text.alias("t"), tie.alias("i")).withColumn("round", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))) if rounds > 1 else F.lit(0))
+    keyed = many.withColumn("k", F.md5(F.concat_ws("|", "t", "i", "round", F.lit(str(seed)))))
+    some = keyed if rounds > 1 else keyed.orderBy("k", "cells").limit(2 * half)
+    place = F.row_number().over(Window.partitionBy("round").orderBy("k", "cells")) - 1  # at most 2n + rows in all
+    return some.select("round", place.alias("place"), "cells").where(F.col("place") < 2 * half), half
+
+
+def _paired(placed: DataFrame, half, keys: Sequence[str], cell: str = "cells") -> DataFrame:
+    """(keys, trial, a, b): the first half of each round's rows meets the second."""
+    trial, second = (F.col("round") * half + F.col("place") % half).cast("bigint"), F.col("place") >= half
+    side = lambda which: F.max(F.when(second == F.lit(which), F.col(cell)))
+    return placed.groupBy(*keys, trial.alias("trial")).agg(side(False).alias("a"), side(True).alias("b"))
+
+
 def trial_bank(df: DataFrame, columns: Sequence[str], n: int, seed: int = 42) -> DataFrame:
     """(trial, a, b): about ``n`` pairs of different rows.
 
@@ -30,19 +63,34 @@ def trial_bank(df: DataFrame, columns: Sequence[str], n: int, seed: int = 42) ->
     than 2n rows is drawn again with other hashes. Where many rows are equal in
     all cells, their hashes also take in where the row was read.
     """
-    text = F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("~")) for c in sorted(df.columns)))
-    rows, different = df.agg(F.count("*"), F.approx_count_distinct(F.xxhash64(text), 0.02)).first()
-    if rows < 2:
-        return df.select(F.lit(0).cast("bigint").alias("trial"), F.struct(*columns).alias("a"), F.struct(*columns).alias("b")).limit(0)
-    cols, rounds, half = sorted(set(columns)), max(1, -(-2 * n // rows)), min(rows, 2 * n) // 2
-    tie = F.monotonically_increasing_id().cast("string") if rows > 1.1 * different else F.lit("")
-    many = df.select(*cols, text.alias("_t"), tie.alias("_i")).withColumn("_n", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))) if rounds > 1 else F.lit(0))
-    keyed = many.withColumn("_k", F.md5(F.concat_ws("|", "_t", "_i", "_n", F.lit(str(seed)))))
-    drawn = keyed if rounds > 1 else keyed.orderBy("_k", *cols).limit(2 * half)
-    place = F.row_number().over(Window.partitionBy("_n").orderBy("_k", *cols)) - 1  # at most 2n + rows in all
-    cells = F.struct(*cols)
-    placed = drawn.withColumn("_r", place).where(F.col("_r") < 2 * half).select((F.col("_n") * half + F.col("_r") % half).cast("bigint").alias("trial"), (F.col("_r") >= half).alias("second"), cells.alias("cells"))
-    return placed.groupBy("trial").agg(F.max(F.when(~F.col("second"), F.col("cells"))).alias("a"), F.max(F.when(F.col("second"), F.col("cells"))).alias("b"))
+    drawn = _drawn(df, columns, n, seed)
+    if drawn is None:
+        cells = F.struct(*(F.col(c) for c in sorted(set(columns))))
+        return df.select(F.lit(0).cast("bigint").alias("trial"), cells.alias("a"), cells.alias("b")).limit(0)
+    return _paired(*drawn, [])
+
+
+def rule_banks(df: DataFrame, rels: Sequence[Relation], cfg: Config, hits: dict[str, int], spare: float = 1.3) -> DataFrame:
+    """(cand_id, trial, a, b): about ``n_max`` pairs of each rule's satisfied rows, of which there are ``hits``.
+
+    One scan for all rules. A row is drawn where its hash is below a share that makes a little more than 2n rows of the
+    rule likely, and of those the smallest 2n are taken; rules of fewer rows are drawn in several rounds.
+    """
+    n, cells = cfg.n_max, F.struct(*(F.col(c) for c in sorted({c for r in rels for c in r.columns})))
+    items = []
+    for r in rels:
+        h = hits[r.cand_id]
+        rounds = max(1, -(-2 * n // h)) if h > 1 else 0
+        below = int(min(1.0, spare * (2 * n + 200) / h) * 2**60) if rounds == 1 else 2**60
+        items.append(F.struct(F.lit(r.cand_id).alias("cand_id"), F.lit(rounds).alias("rounds"), F.lit(max(1, min(h, 2 * n) // 2)).alias("half"), F.lit(below).alias("below"),
+                              F.coalesce(holds(r, exact=exact_columns(df, r), cfg=cfg), F.lit(False)).alias("ok")))
+    text = F.xxhash64(_content(df.columns), F.lit(cfg.seed))
+    each = df.select(cells.alias("cells"), text.alias("t"), F.monotonically_increasing_id().alias("i"), F.inline(F.array(*items)))
+    many = each.where(F.col("ok") & (F.col("rounds") > 0) & (F.pmod("t", F.lit(2**60)) < F.col("below"))).select("cand_id", "half", "cells", "t", "i", F.explode(F.sequence(F.lit(0), F.col("rounds") - 1)).alias("round"))
+    # rows that are equal in all cells are told apart by where they were read
+    place = F.row_number().over(Window.partitionBy("cand_id", "round").orderBy(F.xxhash64("t", "round"), "cells", "i")) - 1
+    placed = many.withColumn("place", place).where(F.col("place") < 2 * F.col("half"))
+    return _paired(placed, F.col("half"), ["cand_id", "half"]).drop("half")
 
 
 def mask_of(rel: Relation, trial: Column, space: str) -> Column:
@@ -57,38 +105,90 @@ def exchanged(rel: Relation, mask: Column, own: str, other: str):
     return lambda c: F.when(F.getbit(mask, F.lit(place[c])) == 1, F.col(f"{other}.{c}")).otherwise(F.col(f"{own}.{c}"))
 
 
+def _outcome(rel: Relation, cfg: Config, exact: bool) -> tuple[Column, Column]:
+    """(mask, survived) of an arithmetic or string rule on a row of a bank."""
+    mask = mask_of(rel, F.col("trial"), cfg.subset_space)
+    ok = holds(rel, exchanged(rel, mask, "a", "b"), exact, cfg) & holds(rel, exchanged(rel, mask, "b", "a"), exact, cfg)
+    if cfg.use_core and rel.kind == "AR" and exact:
+        known = F.lit(None).cast("boolean")  # what the core decides alone
+        for m, (same, sure) in core_checks(rel, rel.columns, cfg.core_check == "guarded").items():
+            known = F.when(mask == m, F.coalesce(same, F.lit(False)) if sure else F.when(same, F.lit(True))).otherwise(known)
+        ok = F.coalesce(known, ok)
+    return mask, F.coalesce(ok, F.lit(False)).cast("int")
+
+
 def outcomes(bank: DataFrame, rel: Relation, cfg: Config, exact: bool = True, df: DataFrame | None = None) -> DataFrame:
     """(cand_id, trial, mask, survived) of one rule over the bank; ``df`` is needed for value dependencies."""
-    base = bank.withColumn("mask", mask_of(rel, F.col("trial"), cfg.subset_space))
-    mask = F.col("mask")
     if rel.kind == "FD":
-        ok, base = _dependency(base, rel, cfg, df)
+        ok, base = _dependency(bank.withColumn("mask", mask_of(rel, F.col("trial"), cfg.subset_space)), rel, cfg, df)
+        mask, survived = F.col("mask"), F.coalesce(ok, F.lit(False)).cast("int")
     else:
-        both = holds(rel, exchanged(rel, mask, "a", "b"), exact, cfg) & holds(rel, exchanged(rel, mask, "b", "a"), exact, cfg)
-        ok = both
-        if cfg.use_core and rel.kind == "AR" and exact:
-            for m, (same, sure) in core_checks(rel, rel.columns, cfg.core_check == "guarded").items():
-                ok = F.when(mask == m, same if sure else F.when(same, F.lit(True)).otherwise(both)).otherwise(ok)
-    return base.select(F.lit(rel.cand_id).alias("cand_id"), "trial", "mask", F.coalesce(ok, F.lit(False)).cast("int").alias("survived"))
+        base, (mask, survived) = bank, _outcome(rel, cfg, exact)
+    return base.select(F.lit(rel.cand_id).alias("cand_id"), "trial", mask.alias("mask"), survived.alias("survived"))
+
+
+def all_outcomes(bank: DataFrame, rels: Sequence[Relation], cfg: Config, exact: Sequence[bool], batch: int = 8) -> list[DataFrame]:
+    """(cand_id, trial, mask, survived) of arithmetic and string rules over a shared bank, or over one with a cand_id."""
+    parts, own = [], "cand_id" in bank.columns
+    for at in range(0, len(rels), batch):
+        rows = []
+        for r, e in zip(rels[at:at + batch], exact[at:at + batch]):
+            mask, survived = _outcome(r, cfg, e)
+            row = F.struct(F.lit(r.cand_id).alias("cand_id"), "trial", mask.alias("mask"), survived.alias("survived"))
+            rows.append(F.when(F.col("cand_id") == r.cand_id, row) if own else row)
+        every = F.filter(F.array(*rows), lambda x: x.isNotNull()) if own else F.array(*rows)
+        parts.append(bank.select(F.inline(every)))
+    return parts
+
+
+def _survives(mode: str, ax: str, ay: str, a_usual: str, a_n: str, bx: str, by: str, b_usual: str, b_n: str) -> Column:
+    """Whether both rows go with the observed map after x or y was exchanged; exchanged whole, rows change places."""
+    moved_a, moved_b = F.col(b_usual).eqNullSafe(F.col(ay)), F.col(a_usual).eqNullSafe(F.col(by))
+    if mode == "recheck":  # an input that no other row holds contradicts nothing
+        other = F.col(ax) != F.col(bx)
+        moved_a, moved_b = moved_a | ((F.col(b_n) == 1) & other), moved_b | ((F.col(a_n) == 1) & other)
+    return F.when(F.col("mask") == 3, F.lit(True)).otherwise(moved_a & moved_b)
 
 
 def _dependency(base: DataFrame, rel: Relation, cfg: Config, df: DataFrame) -> tuple[Column, DataFrame]:
-    """The observed map of the bank's inputs is joined on; only those inputs are looked up."""
+    """The observed map is joined to a bank of one value dependency."""
     if rel.arity != 1:
         raise ValueError("value dependencies have one input")
     x, y = rel.inputs[0], rel.output
-    seen = base.select(F.explode(F.array(f"a.{x}", f"b.{x}")).alias(x)).distinct()
-    known = dependency_map(df.join(seen, x, "left_semi"), rel)
+    known = dependency_maps(dependency_counts(df, [rel]))
     for side in ("a", "b"):
-        base = base.join(known.select(F.col(x).alias(f"_{side}x"), F.col("y").alias(f"_{side}y"), F.col("n").alias(f"_{side}n")), F.col(f"{side}.{x}").eqNullSafe(F.col(f"_{side}x")), "left")
-    # both cells exchanged: two rows change places; one of them: x of one row meets y of the other
-    moved_a = F.col("_by").eqNullSafe(F.col(f"a.{y}"))
-    moved_b = F.col("_ay").eqNullSafe(F.col(f"b.{y}"))
-    if cfg.fd_mode == "recheck":  # an input that no other row holds contradicts nothing
-        same = F.col(f"a.{x}").eqNullSafe(F.col(f"b.{x}"))
-        moved_a = moved_a | ((F.col("_bn") == 1) & ~same)
-        moved_b = moved_b | ((F.col("_an") == 1) & ~same)
-    return F.when(F.col("mask") == 3, F.lit(True)).otherwise(moved_a & moved_b), base
+        base = base.withColumns({f"{side}x": input_text([F.col(side)[x]]), f"{side}y": cell_text(F.col(side)[y])})
+        base = base.join(known.select(F.col("x").alias(f"{side}x"), F.col("y").alias(f"{side}_usual"), F.col("n").alias(f"{side}_n")), f"{side}x", "left")
+    return _survives(cfg.fd_mode, "ax", "ay", "a_usual", "a_n", "bx", "by", "b_usual", "b_n"), base
+
+
+def dependency_outcomes(df: DataFrame, rels: Sequence[Relation], cfg: Config, maps: DataFrame, hits: dict[str, tuple[int, int]]) -> DataFrame | None:
+    """(cand_id, trial, mask, survived) of all value dependencies over rows of one draw; in the dirty setting rows that
+    violate a rule are left out of its trials, for which more rows are drawn."""
+    only_ok = cfg.setting == "dirty" and cfg.row_pool == "satisfied"
+    least = min((h / n for h, n in (hits[r.cand_id] for r in rels) if h), default=1.0) if only_ok else 1.0
+    drawn = _drawn(df, sorted({c for r in rels for c in r.columns}), int(cfg.n_max / max(least, 0.01) * (1.1 if only_ok else 1)), cfg.seed)
+    if drawn is None:
+        return None
+    rows, half = drawn
+    cells = F.array(*(F.struct(F.lit(r.cand_id).alias("cand_id"), input_text([F.col("cells")[r.inputs[0]]]).alias("x"), cell_text(F.col("cells")[r.output]).alias("y")) for r in rels))
+    each = rows.select("round", "place", F.inline(cells)).join(maps.select("cand_id", "x", F.col("y").alias("usual"), "n"), ["cand_id", "x"])
+    each = each.withColumn("half", F.lit(half))
+    if only_ok:
+        by = Window.partitionBy("cand_id", "round")  # rows of one draw, a bounded number
+        each = each.where("y = usual").withColumn("place", F.row_number().over(by.orderBy("place")) - 1).withColumn("half", F.floor(F.count("*").over(by) / 2).cast("int"))
+        each = each.where(F.col("place") < 2 * F.col("half"))
+    row, second = F.struct("x", "y", "usual", "n"), F.col("place") >= F.col("half")
+    pairs = each.groupBy("cand_id", "round", (F.col("place") % F.col("half")).alias("at")).agg(F.max(F.when(~second, row)).alias("a"), F.max(F.when(second, row)).alias("b"))
+    if only_ok:
+        trial = F.row_number().over(Window.partitionBy("cand_id").orderBy("round", "at")) - 1
+        pairs = pairs.withColumn("trial", trial.cast("bigint")).where(F.col("trial") < cfg.n_max)
+    else:
+        pairs = pairs.withColumn("trial", (F.col("round") * half + F.col("at")).cast("bigint")).where("a is not null and b is not null")
+    size = 3 if cfg.subset_space == "nonempty" else 2
+    pairs = pairs.withColumn("mask", hash_int(F.col("cand_id"), F.col("trial")) % size + 1)
+    ok = _survives(cfg.fd_mode, "a.x", "a.y", "a.usual", "a.n", "b.x", "b.y", "b.usual", "b.n")
+    return pairs.select("cand_id", "trial", "mask", F.coalesce(ok, F.lit(False)).cast("int").alias("survived"))
 
 
 def blocks(trials: DataFrame, cfg: Config) -> DataFrame:
@@ -110,30 +210,56 @@ def first_stop(trials: DataFrame, cfg: Config) -> DataFrame:
     return both.select("cand_id", end["n"].alias("trials"), end["s"].alias("survived"), (end["s"] / end["n"]).alias("score"), F.when(F.col("stop").isNotNull(), "wilson").otherwise("exhausted").alias("stop_reason"))
 
 
-def score(df: DataFrame, rels: Sequence[Relation], cfg: Config) -> DataFrame:
-    """Sampled scores of rules. Clean tables share one bank; in the dirty setting the pool is each rule's satisfied rows."""
+SCORE = "cand_id string, trials bigint, survived bigint, score double, stop_reason string"
+
+
+def score(df: DataFrame, rels: Sequence[Relation], cfg: Config, hits: dict[str, tuple[int, int]] | None = None, maps: DataFrame | None = None) -> DataFrame:
+    """Sampled scores of rules, a row each; a rule without trials has none.
+
+    Clean tables share one bank; in the dirty setting a rule's pool is its satisfied rows. The number of passes over the
+    table does not depend on the number of rules. ``hits`` (hits and rows by cand_id) and ``maps`` may be given.
+    """
+    spark = df.sparkSession
     if not rels:
-        return df.sparkSession.createDataFrame([], "cand_id string, trials bigint, survived bigint, score double, stop_reason string")
-    columns = {c for r in rels for c in r.columns}
-    shared = trial_bank(df, columns, cfg.n_max, cfg.seed) if cfg.setting == "clean" or cfg.row_pool == "all" else None
-    if shared is not None:
-        shared = shared.cache()  # at most n_max rows of the rules' columns
-    parts = []
-    for r in rels:
-        bank = shared if shared is not None else trial_bank(satisfied(df, r, cfg), r.columns, cfg.n_max, cfg.seed)
-        parts.append(outcomes(bank, r, cfg, exact_columns(df, r), df))
-    if cfg.mode == "one_shot":
-        return first_stop(reduce(DataFrame.unionByName, parts), cfg)
-    # staged: rounds of beta * 4^k trials, decided rules leave between the rounds
-    done, upto = None, cfg.beta
-    left = dict(zip((r.cand_id for r in rels), parts))
+        return spark.createDataFrame([], SCORE)
+    if hits is None:
+        hits = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(df, rels, cfg, maps).collect()}
+    plain, fds = [r for r in rels if r.kind != "FD"], [r for r in rels if r.kind == "FD"]
+    parts, held = [], []
+    if plain:
+        if cfg.setting == "clean" or cfg.row_pool == "all":
+            bank = trial_bank(df, {c for r in plain for c in r.columns}, cfg.n_max, cfg.seed).persist()
+        else:
+            bank = rule_banks(df, plain, cfg, {k: h for k, (h, _) in hits.items()}).persist()
+        held.append(bank)  # at most n_max rows, of each rule in the dirty setting
+        parts += all_outcomes(bank, plain, cfg, [exact_columns(df, r) for r in plain])
+    if fds:
+        known = maps if maps is not None else dependency_maps(dependency_counts(df, fds))
+        if (more := dependency_outcomes(df, fds, cfg, known, hits)) is not None:
+            parts.append(more)
+    if not parts:
+        return spark.createDataFrame([], SCORE)
+    tried = reduce(DataFrame.unionByName, parts).persist()
+    held.append(tried)
+    try:
+        return spark.createDataFrame(_one_shot(tried, cfg) if cfg.mode == "one_shot" else _staged(tried, [r.cand_id for r in rels], cfg), SCORE)
+    finally:
+        for x in held:
+            x.unpersist()
+
+
+def _one_shot(tried: DataFrame, cfg: Config) -> list:
+    return first_stop(tried, cfg).collect()
+
+
+def _staged(tried: DataFrame, left: list[str], cfg: Config) -> list:
+    """Rounds of beta * 4^k trials; decided rules leave between the rounds."""
+    done, upto = [], cfg.beta
     while left:
-        tried = first_stop(reduce(DataFrame.unionByName, left.values()).where(F.col("trial") < upto), cfg)
         last = upto >= cfg.n_max
-        rows = tried.where("stop_reason = 'wilson'" if not last else "true").collect()
-        now = df.sparkSession.createDataFrame(rows, tried.schema)
-        done = now if done is None else done.unionByName(now)
-        left = {} if last else {k: v for k, v in left.items() if k not in {r["cand_id"] for r in rows}}
+        got = first_stop(tried.where((F.col("trial") < upto) & F.col("cand_id").isin(left)), cfg).where("true" if last else "stop_reason = 'wilson'").collect()
+        done += got
+        left = [] if last else [k for k in left if k not in {r["cand_id"] for r in got}]
         upto *= 4
     return done
 
@@ -142,7 +268,7 @@ def exact_score(df: DataFrame, rel: Relation, cfg: Config, limit: int = 400) ->
     """(trials, survived, score) over all row pairs and column sets, the reference for small tables."""
     if df.count() > limit:
         raise ValueError(f"enumeration is for at most {limit} rows; use score()")
-    rows = df.select(F.struct(*rel.columns).alias("r")).withColumn("i", F.row_number().over(Window.orderBy("r")))
+    rows = df.select(F.struct(*(F.col(c) for c in rel.columns)).alias("r")).withColumn("i", F.row_number().over(Window.orderBy("r")))
     pairs = rows.select(F.col("r").alias("a"), F.col("i").alias("ia")).join(rows.select(F.col("r").alias("b"), F.col("i").alias("ib")), F.col("ia") < F.col("ib"))
     last = (1 << len(rel.columns)) - (1 if cfg.subset_space == "nonempty" else 2)
     each = pairs.withColumn("mask", F.explode(F.sequence(F.lit(1).cast("bigint"), F.lit(last).cast("bigint"))))

@@ -1,4 +1,10 @@
-"""Whether rows satisfy rules: satisfaction ratios, violations, expected values."""
+"""Whether rows satisfy rules: satisfaction ratios, violations, expected values.
+
+Defined cases: a table without rows has 0 hits in 0 rows; repeated rows count as
+often as they stand; columns may bear any name, helper columns never stand beside
+them (only ``with_holds`` adds a column, whose name must be free). Nulls, overflow
+and division by zero: see ``holds``. In a value dependency null is a value like others.
+"""
 
 from __future__ import annotations
 
@@ -9,7 +15,7 @@ from fractions import Fraction
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from relmine.functions.expressions import evaluate
+from relmine.functions.expressions import divides, evaluate
 from relmine.model import Config, Relation
 
 _EXACT = ("tinyint", "smallint", "int", "bigint", "string", "boolean", "date")
@@ -19,7 +25,8 @@ def holds(rel: Relation, column: Callable[[str], Column] = F.col, exact: bool =
     """True or false for each row, null where the row does not count.
 
     A row with one side null violates; one with all participating cells null is
-    left out, violates or matches, as ``null_policy`` says. Division by zero is null.
+    left out, violates or matches, as ``null_policy`` says. Division by zero and a
+    result that its type cannot hold are null.
     """
     cfg = cfg or Config()
     if rel.kind == "FD":
@@ -27,7 +34,7 @@ def holds(rel: Relation, column: Callable[[str], Column] = F.col, exact: bool =
     made, out = evaluate(rel.expr, column), column(rel.output)
     if rel.kind == "ST":
         same = made == out.cast("string")
-    elif exact and "/" not in rel.text.split(" = ")[0]:
+    elif exact and not divides(rel.expr):
         same = made == out
     else:
         a, b = made.cast("double"), out.cast("double")
@@ -44,27 +51,52 @@ def exact_columns(df: DataFrame, rel: Relation) -> bool:
     return all(kinds[c] in _EXACT or kinds[c].startswith("decimal") for c in rel.columns)
 
 
-def with_holds(df: DataFrame, rel: Relation, cfg: Config | None = None, name: str = "holds") -> DataFrame:
-    """``df`` with the rule's verdict on each row; a dependency holds where y is the most frequent of its x."""
-    if rel.kind != "FD":
-        return df.withColumn(name, holds(rel, exact=exact_columns(df, rel), cfg=cfg))
-    key = [F.col(c).cast("string").alias(f"_x{i}") for i, c in enumerate(rel.inputs)]
-    best = dependency_map(df, rel).select(*(F.col(c).alias(f"_m{i}") for i, c in enumerate(rel.inputs)), F.col("y").alias("_y"))
-    on = F.lit(True)
-    for i, c in enumerate(rel.inputs):
-        on = on & F.col(c).eqNullSafe(F.col(f"_m{i}"))
-    return df.join(best, on, "left").withColumn(name, F.col(rel.output).eqNullSafe(F.col("_y"))).drop("_y", *(f"_m{i}" for i in range(len(key))))
+def cell_text(column: Column) -> Column:
+    """A cell of a value dependency as text; null is a value of its own, and no text is taken for it."""
+    return F.when(column.isNull(), "n").otherwise(F.concat(F.lit("v"), column.cast("string")))
+
+
+def input_text(cells: Sequence[Column]) -> Column:
+    """Several cells as one text that no delimiter inside a cell can make equal to another."""
+    return cell_text(cells[0]) if len(cells) == 1 else F.to_json(F.array(*map(cell_text, cells)))
+
+
+def dependency_counts(df: DataFrame, rels: Sequence[Relation]) -> DataFrame:
+    """(cand_id, x, y, n) of value dependencies, inputs and output as text: one pass for all."""
+    rows = F.array(*(F.struct(F.lit(r.cand_id).alias("cand_id"), input_text([F.col(c) for c in r.inputs]).alias("x"), cell_text(F.col(r.output)).alias("y")) for r in rels))
+    return df.select(F.inline(rows)).groupBy("cand_id", "x", "y").agg(F.count("*").alias("n"))
+
+
+def dependency_maps(counts: DataFrame) -> DataFrame:
+    """(cand_id, x, y, n_y, n): each input's most frequent output, ties to the smallest text."""
+    best = F.min(F.struct((-F.col("n")).alias("m"), "y")).alias("b")
+    return counts.groupBy("cand_id", "x").agg(best, F.sum("n").alias("n")).select("cand_id", "x", F.col("b.y").alias("y"), (-F.col("b.m")).alias("n_y"), "n")
 
 
 def dependency_map(df: DataFrame, rel: Relation) -> DataFrame:
-    """(inputs..., y, n_y, n): each input's most frequent output, ties to the smallest."""
-    pairs = df.groupBy(*rel.inputs, F.col(rel.output).alias("y")).agg(F.count("*").alias("n_y"))
-    return pairs.groupBy(*rel.inputs).agg(F.min(F.struct((-F.col("n_y")).alias("m"), "y", "n_y")).alias("b"), F.sum("n_y").alias("n")).select(
-        *rel.inputs, F.col("b.y").alias("y"), F.col("b.n_y").alias("n_y"), "n")
+    """(x, y, n_y, n) of one value dependency."""
+    return dependency_maps(dependency_counts(df, [rel])).drop("cand_id")
+
 
+def _flagged(df: DataFrame, rel: Relation) -> DataFrame:
+    """(cells, ok): the rows as structs with a value dependency's verdict; it holds where y is the most frequent of its x."""
+    best = dependency_map(df, rel).select("x", F.col("y").alias("usual"))
+    own = df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("cells"), input_text([F.col(c) for c in rel.inputs]).alias("x"), cell_text(F.col(rel.output)).alias("y"))
+    return own.join(best, "x").select("cells", (F.col("y") == F.col("usual")).alias("ok"))
 
-def satisfaction(df: DataFrame, rels: Sequence[Relation], cfg: Config | None = None) -> DataFrame:
-    """(cand_id, kind, rule, hits, n_rows) of each rule: one scan for a batch of rules, one aggregate for a dependency."""
+
+def with_holds(df: DataFrame, rel: Relation, cfg: Config | None = None, name: str = "holds") -> DataFrame:
+    """``df`` with the rule's verdict on each row as the column ``name``, which must be free."""
+    if name in df.columns:
+        raise ValueError(f"the table has a column {name}")
+    if rel.kind != "FD":
+        return df.withColumn(name, holds(rel, exact=exact_columns(df, rel), cfg=cfg))
+    return _flagged(df, rel).select("cells.*", F.col("ok").alias(name))
+
+
+def satisfaction(df: DataFrame, rels: Sequence[Relation], cfg: Config | None = None, maps: DataFrame | None = None) -> DataFrame:
+    """(cand_id, kind, rule, hits, n_rows) of each rule: one scan for a batch of rules, one pass for all dependencies,
+    for which ``maps`` may be given."""
     cfg = cfg or Config()
     spark, rows = df.sparkSession, []
     plain = [r for r in rels if r.kind != "FD"]
@@ -76,9 +108,11 @@ def satisfaction(df: DataFrame, rels: Sequence[Relation], cfg: Config | None = N
             sums += [F.count_if(h).alias(f"h{i}"), F.count(h).alias(f"n{i}")]
         got = df.agg(*sums).first()
         rows += [(r.cand_id, r.kind, r.text, got[f"h{i}"], got[f"n{i}"]) for i, r in enumerate(part)]
-    for r in (r for r in rels if r.kind == "FD"):
-        got = dependency_map(df, r).agg(F.coalesce(F.sum("n_y"), F.lit(0)).alias("h"), F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()
-        rows.append((r.cand_id, r.kind, r.text, got["h"], got["n"]))
+    fds = [r for r in rels if r.kind == "FD"]
+    if fds:
+        maps = dependency_maps(dependency_counts(df, fds)) if maps is None else maps
+        by = {r["cand_id"]: r for r in maps.groupBy("cand_id").agg(F.sum("n_y").alias("h"), F.sum("n").alias("n")).collect()}
+        rows += [(r.cand_id, r.kind, r.text, *((by[r.cand_id]["h"], by[r.cand_id]["n"]) if r.cand_id in by else (0, 0))) for r in fds]
     return spark.createDataFrame(rows, "cand_id string, kind string, rule string, hits bigint, n_rows bigint")
 
 
@@ -87,13 +121,25 @@ def is_accurate(hits: int, rows: int, tau: float) -> bool:
     return hits >= math.ceil(Fraction(str(tau)) * rows)
 
 
+def accurate(ratios: DataFrame, tau: float) -> DataFrame:
+    """The rows of ``satisfaction`` with hits / n_rows >= tau, in whole numbers."""
+    part = Fraction(str(tau))
+    return ratios.where(F.col("hits").cast("decimal(38,0)") * part.denominator >= F.col("n_rows").cast("decimal(38,0)") * part.numerator)
+
+
+def _rows(df: DataFrame, rel: Relation, cfg: Config | None, wanted: bool) -> DataFrame:
+    if rel.kind == "FD":
+        return _flagged(df, rel).where(F.col("ok") == wanted).select("cells.*")
+    return df.where(holds(rel, exact=exact_columns(df, rel), cfg=cfg) == F.lit(wanted))
+
+
 def violations(df: DataFrame, rel: Relation, cfg: Config | None = None) -> DataFrame:
     """The rows that violate the rule."""
-    return with_holds(df, rel, cfg, "_holds").where(~F.col("_holds")).drop("_holds")
+    return _rows(df, rel, cfg, False)
 
 
 def satisfied(df: DataFrame, rel: Relation, cfg: Config | None = None) -> DataFrame:
-    return with_holds(df, rel, cfg, "_holds").where("_holds").drop("_holds")
+    return _rows(df, rel, cfg, True)
 
 
 def expected_values(df: DataFrame, rel: Relation, keep: Sequence[str] = ()) -> DataFrame:

@@ -13,32 +13,47 @@ from relmine.operators.bounds import bounds
 from relmine.operators.independence import independent
 from relmine.operators.minimality import is_minimal
 from relmine.operators.perturb import score
-from relmine.operators.satisfy import satisfaction
+from relmine.operators.satisfy import dependency_counts, dependency_maps, satisfaction
 
 
 def judge(df: DataFrame, rels: Sequence[Relation], cfg: Config, pruners: list[Relation]) -> list[tuple]:
-    """Verdicts of one level's candidates; those that pass the first two tests join ``pruners`` before they are perturbed."""
+    """Verdicts of one level's candidates; those that pass the first two tests join ``pruners`` before they are perturbed.
+
+    The number of jobs does not depend on the number of candidates, but for batches of ``batch_rules`` and the value
+    dependencies of the Independence Test.
+    """
     if not rels:
         return []
-    sat = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(df, rels, cfg).collect()}
-    minimal = {r.cand_id: not cfg.use_minimality or is_minimal(r, pruners) for r in rels}
-    left = [r for r in rels if minimal[r.cand_id]]
-    tested = independent(df, left, cfg) if cfg.setting == "dirty" and cfg.use_independence and cfg.dirty_mode == "independence" else {}
-    left = [r for r in left if tested.get(r.cand_id, (True,))[0]]
-    pruners += left
-    bound = bounds(df, left, cfg) if cfg.use_bound and left else {}
-    open_ = [r for r in left if bound.get(r.cand_id, 0.0) <= cfg.eta]
-    scored = {r["cand_id"]: r for r in score(df, open_, cfg).collect()} if open_ else {}
-    out = []
-    for r in rels:
-        hits, rows = sat[r.cand_id]
-        it, s, b = tested.get(r.cand_id), scored.get(r.cand_id), bound.get(r.cand_id)
-        passed = minimal[r.cand_id] and (it is None or it[0])
-        value = s["score"] if s else b if passed and b is not None and b > cfg.eta else None
-        reason = s["stop_reason"] if s else "bound" if value is not None else "minimality" if not minimal[r.cand_id] else "independence"
-        out.append((r.cand_id, r.kind, list(r.inputs), r.output, r.arity, r.text, hits, rows, minimal[r.cand_id], None if it is None else it[0], None if it is None else it[1],
-                    None if it is None else it[2], None if it is None else it[3], b, s["trials"] if s else 0, s["survived"] if s else 0, value, reason, bool(s is not None and s["score"] <= cfg.eta)))
-    return out
+    fds = [r for r in rels if r.kind == "FD"]
+    maps = dependency_maps(dependency_counts(df, fds)).persist() if fds else None
+    try:
+        hits = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(df, rels, cfg, maps).collect()}
+        minimal = {r.cand_id: not cfg.use_minimality or is_minimal(r, pruners) for r in rels}
+        left = [r for r in rels if minimal[r.cand_id]]
+        tested = independent(df, left, cfg) if cfg.setting == "dirty" and cfg.use_independence and cfg.dirty_mode == "independence" else {}
+        left = [r for r in left if tested.get(r.cand_id, (True,))[0]]
+        pruners += left
+        complete = {k for k, (h, n) in hits.items() if h == n}
+        bound = bounds(df, left, cfg, maps, complete) if cfg.use_bound and left else {}
+        open_ = [r for r in left if bound.get(r.cand_id, 0.0) <= cfg.eta]
+        scored = {r["cand_id"]: r for r in score(df, open_, cfg, hits, maps).collect()} if open_ else {}
+    finally:
+        if maps is not None:
+            maps.unpersist()
+    return [_verdict(r, hits[r.cand_id], minimal[r.cand_id], tested.get(r.cand_id), bound.get(r.cand_id), scored.get(r.cand_id), cfg) for r in rels]
+
+
+def _verdict(r: Relation, hits: tuple[int, int], minimal: bool, tested: tuple | None, bound: float | None, scored, cfg: Config) -> tuple:
+    passed = minimal and (tested is None or tested[0])
+    value, reason, trials, survived = None, "minimality" if not minimal else "independence", 0, 0
+    if scored:
+        value, reason, trials, survived = scored["score"], scored["stop_reason"], scored["trials"], scored["survived"]
+    elif passed and bound is not None and bound > cfg.eta:
+        value, reason = bound, "bound"
+    elif passed:
+        reason = "no rows"
+    it = tested or (None, None, None, None)
+    return (r.cand_id, r.kind, list(r.inputs), r.output, r.arity, r.text, *hits, minimal, *it, bound, trials, survived, value, reason, bool(scored is not None and value <= cfg.eta))
 
 
 def candidates(df: DataFrame, level: int, cfg: Config, kinds: Sequence[str], pruners: Sequence[Relation], categories: Sequence[str]) -> list[Relation]:

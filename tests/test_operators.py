@@ -203,3 +203,63 @@ def test_pools_hold_as_labelled(spark):
     for rel, label in items:
         hits, rows = got[rel.cand_id]
         assert (hits == rows) == label and hits > 0, rel.text
+
+
+def test_helper_columns_meet_no_user_column(spark):
+    """Rules over columns of any name: of helpers, with a slash, and with values whose product no long holds."""
+    p = [(i * 7 % 23, i * 5 % 19, i * 7 % 23 + i * 5 % 19) for i in range(60)]
+    for names in (("p", "q", "r"), ("row", "q", "r"), ("grp", "cells", "k"), ("_k", "_n", "_t"), ("n", "y", "x"), ("ok", "cand_id", "item"), ("a/b", "trial", "mask")):
+        df = spark.createDataFrame(p, " bigint, ".join(f"`{c}`" for c in names) + " bigint")
+        rel = Relation("AR", names[:2], names[2], ("+", *names[:2]))
+        assert rel.isomerous(generate.arithmetic(df, 2, Config())[0]) and len(generate.arithmetic(df, 2, Config())) == 3
+        got = framework.verify(df, [rel, Relation("FD", (names[0],), names[2])], Config(n_max=200, use_minimality=False)).collect()
+        assert [r["n_rows"] for r in got] == [60, 60] or {r["n_rows"] for r in got} == {60}
+        dirty = framework.verify(df, [rel, Relation("FD", (names[0],), names[1])], Config(setting="dirty", n_max=200)).collect()
+        assert {r["rule"]: r["hits"] for r in dirty}[rel.text] == 60
+        assert satisfy.violations(df, rel).count() == 0 and satisfy.satisfied(df, Relation("FD", (names[0],), names[1])).columns == list(names)
+        assert independence.chi2(df, [Relation("FD", (names[0],), names[1])], Config(setting="dirty")).count() == 1
+    with pytest.raises(ValueError):
+        satisfy.with_holds(df, rel, name="mask")
+
+
+def test_overflow_violates(spark):
+    df = spark.createDataFrame([(2**40, 2**40, 1), (2, 3, 6), (2**62, 2**62, 0)], "a bigint, b bigint, c bigint")
+    for op in "+-*":
+        assert satisfy.satisfaction(df, [Relation("AR", ("a", "b"), "c", (op, "a", "b"))]).first()["n_rows"] == 3
+    assert satisfy.satisfaction(df, [PRODUCT]).first()["hits"] == 1
+    assert framework.verify(df, [PRODUCT, SUM_2], Config(setting="dirty", n_max=50)).count() == 2
+
+
+SUM_2 = Relation("AR", ("a", "b"), "c", ("+", "a", "b"))
+
+
+def test_empty_tables(spark):
+    df = spark.createDataFrame([], "a bigint, b bigint, c bigint, s string, t string")
+    rels = [PRODUCT, Relation("FD", ("s",), "t"), Relation("ST", ("s",), "t", ("upper", "s"))]
+    for setting in ("clean", "dirty"):
+        got = framework.verify(df, rels, Config(setting=setting)).collect()
+        assert len(got) == 3 and not any(r["reliable"] for r in got) and {r["n_rows"] for r in got} == {0}
+        assert framework.discover(df, Config(setting=setting)).where("reliable").count() == 0
+
+
+def test_jobs_do_not_grow_with_the_pool(spark):
+    rows = [(i * 7 % 23, i * 5 % 19, i * 7 % 23 + i * 5 % 19, i % 4, (i % 4) * 2, f"v{i % 6}", f"w{i % 3}") for i in range(400)]
+    df = spark.createDataFrame(rows, "p bigint, q bigint, r bigint, z bigint, zz bigint, s string, t string")
+    pool = [Relation("AR", ("p", "q"), "r", ("+", "p", "q")), Relation("AR", ("r", "p"), "q", ("-", "r", "p")), Relation("AR", ("r", "q"), "p", ("-", "r", "q")), Relation("AR", ("z", "p"), "zz", ("+", "z", "p")),
+            Relation("FD", ("s",), "t"), Relation("FD", ("s",), "z"), Relation("FD", ("t",), "s")]
+
+    def jobs(rels, cfg):
+        group = f"jobs-{len(rels)}-{cfg.setting}"
+        spark.sparkContext.setJobGroup(group, group)
+        framework.verify(df, rels, cfg).collect()
+        n = len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+        return n
+
+    for cfg in (Config(n_max=200, use_minimality=False), Config(setting="dirty", tau=0.2, n_max=200, use_minimality=False, use_independence=False)):
+        level = [r for r in pool if r.arity == 2]
+        copies = [Relation("AR", r.inputs, r.output, ("-" if r.expr[0] == "+" else "+", *r.expr[1:])) for r in level]
+        more = [Relation("AR", r.inputs, r.output, ("*", *r.expr[1:])) for r in level]
+        one, three = jobs(level, cfg), jobs(level + copies + more, cfg)
+        assert three <= one + 2
+        assert jobs([r for r in pool if r.kind == "FD"], cfg) <= jobs(pool[4:5], cfg) + 2
