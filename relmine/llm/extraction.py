@@ -7,8 +7,9 @@ adverts, forms or comments, or for an article. A small decision tree, grown on
 the blocks of the labelled pages below, keeps or drops each block.
 
 Defined cases: null, empty or textless html gives empty text; broken nesting,
-unclosed tags, comments and quotes are read as far as they go; scripts, styles
-and templates are never text; repeated rows give repeated results; null ids and
+unclosed tags, comments and quotes are read as far as they go, an open bracket that
+begins no tag is text; very long pages take time in proportion to their length;
+scripts, styles and templates are never text; repeated rows give repeated results; null ids and
 urls are kept; extra columns are ignored.
 """
 
@@ -16,6 +17,8 @@ from __future__ import annotations
 
 import html as html_
 import re
+from bisect import bisect_left
+from collections import Counter
 from functools import lru_cache
 from typing import NamedTuple
 
@@ -35,11 +38,17 @@ BAD_NAMES = set("ad ads adv advert adverts advertisement advertising adsense ban
                 "popup promo promoted promotion rail recommended related replies reply respond search share sharing sidebar signup skip social sponsor sponsored subscribe tagcloud tags "
                 "teaser toolbar topbar warning widget alert header".split())
 GOOD_NAMES = set("article articlebody body content entry main maincontent post postbody story text prose".split())
-_TAG = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:\"[^\"]*\"[^>\"']*|'[^']*'[^>\"']*)*)>", re.S)
+_TAG = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?]|<(/?)([a-zA-Z][^\s/>]*)", re.S)
+_MARKS = re.compile("[>\"']")
 _ATTR = re.compile(r"([a-zA-Z_:][\w:.-]*)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.S)
 _NAME = re.compile(r"[a-z]+")
 
 
+@lru_cache(32)
+def _closing(tag: str) -> re.Pattern:
+    return re.compile(rf"</{tag}\b[^>]*>", re.I)
+
+
 class Block(NamedTuple):
     text: str
     words: int
@@ -70,10 +79,34 @@ def _marks(tag: str, attributes: str) -> tuple[bool, bool]:
     return bad, good and not bad
 
 
+class TagEnds:
+    """Where tags of a page end: at the first > outside quotation marks, found for all places in one pass from the back."""
+
+    def __init__(self, page: str):
+        self.at = [m.start() for m in _MARKS.finditer(page)]
+        self.end = [-1] * (len(self.at) + 1)
+        later = {'"': -1, "'": -1}
+        for i in range(len(self.at) - 1, -1, -1):
+            c = page[self.at[i]]
+            if c == ">":
+                self.end[i] = self.at[i] + 1
+            else:
+                self.end[i] = self.end[later[c] + 1] if later[c] >= 0 else -1
+                later[c] = i
+
+    def __call__(self, start: int) -> int:
+        """The end of a tag whose attributes begin at ``start``; -1 if it has none."""
+        return self.end[bisect_left(self.at, start)]
+
+
 def blocks(page: str | None) -> list[Block]:
+    """The blocks of a page, in time that grows with its length whatever is left open in it."""
     out: list[Block] = []
     page = page or ""
     stack: list[tuple[str, bool, bool]] = [("", False, False)]
+    opened: Counter[str] = Counter()
+    endless: set[str] = set()
+    ends, last = TagEnds(page), page.rfind(">")
     parts: list[str] = []
     linked, link_depth, heading, at = 0, 0, False, 0
 
@@ -99,16 +132,23 @@ def blocks(page: str | None) -> list[Block]:
         if m is None:
             take(page[at:])
             break
+        stop = ends(m.end()) if m[2] is not None else m.end() if m.end() - m.start() > 2 else page.find(">", m.end()) + 1 if m.end() <= last else -1
+        if stop < 0:  # no tag: an open bracket as text
+            take(page[at:m.start() + 1])
+            at = m.start() + 1
+            continue
         take(page[at:m.start()])
-        at = m.end()
+        at = stop
         if m[2] is None:
             continue
-        tag, ending = m[2].lower(), bool(m[1])
+        tag, ending, attributes = m[2].lower(), bool(m[1]), page[m.end():stop - 1]
         if tag in RAW and not ending:
             if tag == "head":
                 continue
-            if not m[3].endswith("/"):
-                found = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
+            if not attributes.endswith("/"):
+                found = None if tag in endless else _closing(tag).search(page, at)
+                if found is None:
+                    endless.add(tag)
                 at = found.end() if found else (n if tag in ("script", "style", "title", "textarea") else at)
             if tag in BREAKING:
                 close()
@@ -121,18 +161,20 @@ def blocks(page: str | None) -> list[Block]:
             close()
             heading = not ending and len(tag) == 2 and tag[0] == "h" and tag[1].isdigit()
             if ending:
-                for i in range(len(stack) - 1, 0, -1):
-                    if stack[i][0] == tag:
-                        del stack[i:]
+                while opened[tag]:
+                    last = stack.pop()[0]
+                    opened[last] -= 1
+                    if last == tag:
                         break
             elif tag != "hr":
                 if stack[-1][0] in ("p", "h1", "h2", "h3", "h4", "h5", "h6") or stack[-1][0] == tag == "li":
-                    stack.pop()
-                bad, good = _marks(tag, m[3])
+                    opened[stack.pop()[0]] -= 1
+                bad, good = _marks(tag, attributes)
                 inside = stack[-1]
                 # a page's header is none of its text, an article's header is its title
                 bad |= tag == "header" and not inside[2]
                 stack.append((tag, inside[1] or bad, (inside[2] or good) and not bad))
+                opened[tag] += 1
             link_depth = 0
     close()
     return out

@@ -12,7 +12,7 @@ its host's counts before it is read.
 Defined cases: null or empty html has no text evidence, and a page without any
 evidence gets the prior; a null or odd url belongs to the empty host; declared
 languages outside the models count as others; repeated rows are pages of their
-own; without documents of a known language there is one language, ``und``;
+own; very long pages are read whole; without documents of a known language there is one language, ``und``;
 extra columns are ignored.
 """
 
@@ -122,8 +122,8 @@ def identify(pages: DataFrame, docs: DataFrame, max_train: int = 4_000, weight:
               .withColumn("p_suffix", F.zip_with(smoothed(F.col("suffix_n"), F.col("p_all")), country, lambda p, c: p * c))
               .withColumn("p_domain", smoothed(F.col("domain_n"), F.transform("p_suffix", lambda p: p / F.aggregate("p_suffix", F.lit(0.0), lambda a, y: a + y)))))
     priors = levels.select("suffix", "domain", "host", "host_n", "p_domain")
-    # P(declared | language), at most n + 2 rows
-    said = e.groupBy("declared").agg(*sums).select("declared", array("s").alias("said_n")).limit(n + 2)
+    # P(declared | language), a row for each language, for others and for none
+    said = e.groupBy("declared").agg(*sums).select("declared", array("s").alias("said_n"))
     rate = F.zip_with("said_n", "all_n", lambda s, a: (s + alpha) / (a + alpha * (n + 2)))
     spoken = said.join(F.broadcast(total), F.lit(True)).select("declared", rate.alias("said"))
     joined = e.join(F.broadcast(spoken), "declared").join(priors, ["suffix", "domain", "host"])

@@ -14,7 +14,8 @@ are no inputs of a score.
 
 Defined cases: null or empty text has no hits and gets the score of such texts;
 rows without a label only take no part in fitting; with no labelled row, or
-none of one class, the score is the smoothed share of toxic rows; repeated rows
+none of one class, the score is the smoothed share of toxic rows; very long texts
+are scanned whole; repeated rows
 are scored alike; a null doc_id is not held out; extra columns are ignored.
 """
 
@@ -202,7 +203,7 @@ def _support(seen: DataFrame, least: int, most: int = 12) -> int:
     return next((n for n in range(least, most) if sums[f"n{n}"] * share**n < 0.5), most)
 
 
-def fit(docs: DataFrame, labels: DataFrame, max_train: int = 12_000, max_terms: int = 2_000, least: int = 3, ratio: float = 20.0) -> Model:
+def fit(docs: DataFrame, labels: DataFrame, max_train: int = 12_000, least: int = 3, ratio: float = 20.0) -> Model:
     from relmine.llm.common import saved
 
     rows = saved(training_rows(docs, labels, max_train), "training")
@@ -215,7 +216,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_train: int = 12_000, max_terms:
     rate = lambda n, of: (F.col(n) + 0.5) / F.lit(of + 1.0)
     seen = saved(_contexts(rows).where(F.col("toxic") + F.col("clean") >= least), "contexts")
     terms = seen.where((F.col("toxic") >= _support(seen, least)) & (F.length("word") >= 3) & (rate("toxic", toxic) >= ratio * rate("clean", clean)))
-    lexicon = frozenset(r["word"] for r in terms.orderBy(F.desc("toxic"), "word").limit(max_terms).collect())
+    lexicon = frozenset(r["word"] for r in terms.collect())  # words of the bounded sample
     trie = Trie(lexicon)
 
     def run(batches):

@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -280,14 +281,56 @@ def test_context_separates_quotation():
 
 
 def test_toxicity_held_out(spark):
-    sf = "/root/testdata/sf0.01"
+    """Recall and precision on held-out rows: an answer that is always the same fails one of them."""
+    sf = "/root/testdata/sf0.1"
     d, labels = common.table(spark, sf, "documents"), common.table(spark, sf, "labels")
-    got = toxicity.toxicity(d, labels).join(labels, "doc_id").where("held_out").collect()
-    assert sum(r["predicted"] == r["toxic"] for r in got) >= 0.9 * len(got)
+    got = toxicity.toxicity(d, labels).join(labels, "doc_id").where("held_out").select("predicted", "toxic").collect()
+    hit, said, true = (sum(f(r) for r in got) for f in (lambda r: r["predicted"] and r["toxic"], lambda r: r["predicted"], lambda r: r["toxic"]))
+    assert true > 20 and hit >= 0.9 * true and hit >= 0.9 * said
     none = toxicity.toxicity(docs(spark, ODD, ODD_IDS), labels.limit(0)).collect()
     assert len(none) == len(ODD) and all(0 <= r["score"] <= 1 for r in none)
 
 
+def test_extraction_time_grows_with_the_page():
+    """Pages of a megabyte full of what is left open."""
+    import time
+
+    for part, n in (('<a b="', 170_000), ("<div>", 100_000), ("<svg>", 200_000), ("<", 900_000), ("<p \"'>", 150_000), ("<?", 400_000), ("<!--", 200_000)):
+        began = time.process_time()
+        extraction.main_text(part * n + "</p>" * 1000)
+        assert time.process_time() - began < 10, part
+
+
+def test_extraction_against_the_articles(spark):
+    """What the pages hold as their article, read by a plain parser of these pages, against what is extracted."""
+    from html.parser import HTMLParser
+
+    class Article(HTMLParser):
+        def __init__(self):
+            super().__init__()
+            self.depth, self.words = 0, []
+
+        def handle_starttag(self, tag, attrs):
+            self.depth += tag in ("article", "main")
+
+        def handle_endtag(self, tag):
+            self.depth -= tag in ("article", "main")
+
+        def handle_data(self, data):
+            if self.depth > 0:
+                self.words += data.split()
+
+    got = {r["page_id"]: r["text"].split() for r in extraction.extract(common.table(spark, "/root/testdata/sf0.01", "pages")).collect()}
+    both = want = found = 0
+    for r in common.table(spark, "/root/testdata/sf0.01", "pages").collect():
+        parser = Article()
+        parser.feed(r["html"] or "")
+        if parser.words:
+            a, b = Counter(parser.words), Counter(got[r["page_id"]])
+            both, want, found = both + sum((a & b).values()), want + sum(a.values()), found + sum(b.values())
+    assert want and both >= 0.95 * want and both >= 0.95 * found
+
+
 def test_extraction_cases(spark):
     page = ("<html><head><title>T</title><script>var a='</p>';</script></head><body class=sidebar><nav><a href=1>Menu</a></nav><div class='cookie'>We use cookies, accept all of them.</div>"
             "<article><h1>A &amp; B</h1><p>First   text\n here.<p>One.<br>Two</p><ul><li>Point</li></ul><div id=comments><p>I disagree with it all, as ever.</p></div></article>"
