@@ -199,7 +199,9 @@ def repeated_spans(docs: DataFrame, window: int = 50, gram: int = 8, hot: int =
     whole = F.array(F.struct(F.lit(0).alias("a"), (F.col("size") + window - 1).alias("b")))
     part = F.when(F.col("owner") > F.col("first"), whole).otherwise(F.coalesce("parts", F.array().cast("array<struct<a:int,b:int>>")))
     spans = hit.select("owner", "tid", F.struct("places", part.alias("parts")).alias("hit"))
-    return spans.groupBy("owner", "tid").agg(F.collect_list("hit").alias("hits"))
+    spans = saved(spans.groupBy("owner", "tid").agg(F.collect_list("hit").alias("hits")), "spans")
+    release(docs.sparkSession, since, spans)  # before the texts are moved
+    return spans
 
 
 def _covered(hits: list[dict], n: int) -> np.ndarray:
