@@ -39,6 +39,15 @@ def best_f1(scores: DataFrame) -> DataFrame:
     return c.groupBy("method").agg(F.max(F.struct("f1", F.col("score").alias("threshold"), "precision", "recall")).alias("b")).select("method", "b.threshold", "b.precision", "b.recall", "b.f1")
 
 
+def summary(scores: DataFrame, ours: str = "framework") -> DataFrame:
+    """(method, pr_auc, precision, recall, f1, gain): the last three of a threshold of the largest F1; gain is that of
+    ``ours`` over the best other method."""
+    auc = pr_auc(scores)
+    best = auc.agg(F.max(F.when(~F.col("method").startswith(ours), F.col("pr_auc"))).alias("best"))
+    gain = F.when(F.col("method") == ours, F.try_divide("pr_auc", "best") - 1)
+    return auc.join(best_f1(scores), "method").join(F.broadcast(best), F.lit(True)).select("method", "pr_auc", "precision", "recall", "f1", gain.alias("gain"))
+
+
 def timing_summary(times: DataFrame) -> DataFrame:
     """(method, p50, p90, p95, mean) of (method, ms)."""
     return times.groupBy("method").agg(*(F.percentile("ms", q / 100).alias(f"p{q}") for q in (50, 90, 95)), F.avg("ms").alias("mean"))
@@ -47,14 +56,9 @@ def timing_summary(times: DataFrame) -> DataFrame:
 def optimization_counters(verdicts: DataFrame) -> DataFrame:
     """Shares of candidates that the bound rejects, and of sampled ones that stop early."""
     sampled = F.col("stop_reason").isin("wilson", "exhausted")
-    return verdicts.agg(F.count("*").alias("candidates"), F.count_if(F.col("stop_reason") == "bound").alias("bound_rejected"), F.count_if(sampled).alias("sampled"), F.count_if(F.col("stop_reason") == "wilson").alias("early_stopped"))
-
-
-def ablation_report(times: DataFrame, full: str) -> DataFrame:
-    """(method, mean, saving): mean time against the run named ``full``."""
-    mean = timing_summary(times).select("method", "mean")
-    base = mean.where(F.col("method") == full).select(F.col("mean").alias("base"))
-    return mean.join(F.broadcast(base), F.lit(True)).select("method", "mean", (1 - F.col("base") / F.col("mean")).alias("saving"))
+    tried = sampled | (F.col("stop_reason") == "bound")
+    return verdicts.agg(F.count("*").alias("candidates"), F.try_divide(F.count_if(F.col("stop_reason") == "bound"), F.count_if(tried)).alias("bound_rejected"),
+                        F.try_divide(F.count_if(F.col("stop_reason") == "wilson"), F.count_if(sampled)).alias("early_stopped"))
 
 
 def relative_gain(aucs: DataFrame, ours: str) -> DataFrame:

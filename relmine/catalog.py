@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 
 from relmine.bench import carriers, metrics, pools
 from relmine.functions.expressions import leaves, opt
-from relmine.functions.measures import MEASURES, explanation, measures, pair_counts, reliable_information
+from relmine.functions.measures import MEASURES, explanations, measures, pair_counts, reliable_information
 from relmine.functions.statistics import hash_int, wilson_bounds
-from relmine.model import Config, Relation
+from relmine.model import VERDICT, Config, Relation
 from relmine.operators import bounds, generate, independence, minimality, perturb, satisfy
 from relmine.plans import framework
 from relmine.sources.tables import check_constraints, load
@@ -365,9 +365,8 @@ for _mode in ("recheck", "induced"):
 @query("perturb_fd_sampled")
 def _(spark, d):
     """Sampled scores of dependencies in both readings; compare perturb_fd_recheck and perturb_fd_induced."""
-    df = carriers.wide(spark, d).cache()
-    parts = [perturb.score(df, _FD[:3], Config(n_max=2000, fd_mode=m, use_wilson=False)).withColumn("fd_mode", F.lit(m)) for m in ("recheck", "induced")]
-    return reduce(DataFrame.unionByName, parts)
+    run = lambda c: [perturb.score(c, _FD[:3], Config(n_max=2000, fd_mode=m, use_wilson=False)).withColumn("fd_mode", F.lit(m)) for m in ("recheck", "induced")]
+    return reduce(DataFrame.unionByName, _cached(carriers.wide(spark, d), run))
 
 
 def _sql_kappa(exprs: Sequence[str], source: str) -> str:
@@ -501,7 +500,7 @@ for _name in ("rfi", "rfi_norm"):
 @query("measure_explanation")
 def _(spark, d):
     df = carriers.ar_lineitem(spark, d)
-    return reduce(DataFrame.unionByName, [explanation(df, r) for r in (NET, TOTAL, SHORT, COINCIDENCE)])
+    return rounded(explanations(df, (NET, TOTAL, SHORT, COINCIDENCE)), "conciseness", "concentration", "score")
 
 
 # ---- accuracy measures over a labelled pool of all pairs ------------------------------------------------------------
@@ -595,54 +594,141 @@ def _(spark, d):
     return reduce(DataFrame.unionByName, parts)
 
 
-def _quality(kind: str, setting: str):
-    def run(spark, d):
-        return rounded(metrics.pr_auc(pools.quality(spark, d, kind, setting, rfi=True)), "pr_auc")
-
-    return run
+def _summed(scores: DataFrame) -> DataFrame:
+    return rounded(metrics.summary(scores), "pr_auc", "precision", "recall", "f1", "gain")
 
 
 for _kind in ("AR", "ST", "FD"):
     for _setting in ("clean", "dirty"):
-        query(f"quality_{_kind.lower()}_{_setting}")(_quality(_kind, _setting))
+        query(f"quality_{_kind.lower()}_{_setting}")(lambda spark, d, k=_kind, s=_setting: _summed(pools.quality(spark, d, k, s)))
+
+
+@query("quality_curves")
+def _(spark, d):
+    """Points of the precision-recall curves of the framework and of the published best baselines, noisy arithmetic rules."""
+    s = pools.quality(spark, d, "AR", "dirty").where("method in ('framework', 'mi', 'tau')")
+    c = metrics.pr_curve(s)
+    return rounded(c.select("method", "score", "tp", "fp", "precision", "recall"), "score", "precision", "recall")
 
 
 @query("arity_split")
 def _(spark, d):
-    """PR-AUC of the framework and of the measures for rules of three and of four columns."""
-    s = pools.quality(spark, d, "AR", "clean", rfi=True)
-    three = [r.cand_id for r, _ in pools.pool("AR") if r.arity == 2]
-    s = s.withColumn("method", F.concat_ws("/", "method", F.when(F.col("cand_id").isin(three), "3").otherwise("4")))
-    return rounded(metrics.pr_auc(s), "pr_auc")
+    """PR-AUC by the number of columns: three and four of arithmetic rules, two and three of string rules, clean and noisy."""
+    parts = []
+    for kind, setting in (("AR", "clean"), ("AR", "dirty"), ("ST", "clean"), ("ST", "dirty")):
+        s = pools.quality(spark, d, kind, setting).withColumn("method", F.concat_ws("/", F.lit(kind), F.lit(setting), (F.col("arity") + 1).cast("string"), "method"))
+        parts.append(metrics.pr_auc(s))
+    by = F.split("method", "/")
+    return rounded(reduce(DataFrame.unionByName, parts).select(by[0].alias("kind"), by[1].alias("setting"), by[2].cast("int").alias("columns"), by[3].alias("method"), "pr_auc"), "pr_auc")
+
+
+_SMALL = 60  # negatives of the pools that are run many times
 
 
-def _verdicts(spark, d, cfg: Config) -> DataFrame:
-    df = carriers.ar_lineitem(spark, d).select(*sorted({c for r in _ABLATED for c in r.columns}), "qty", "dp").cache()
-    return framework.verify(df, _ABLATED, cfg).select("rule", "mt_pass", "it_pass", "stop_reason", "reliable")
+def _runs(spark, d, kind: str, setting: str, runs: dict[str, dict], **pool_) -> DataFrame:
+    """(method, cand_id, arity, score, label) of the framework with each run's settings on one pool."""
+    p = pools.pool(spark, d, kind, setting, most=_SMALL, **pool_)
+    p = pools.Pool(p.df.persist(), p.items, p.keys)
+    parts = [pools.framework_scores(p, pools.settings(p, setting, **change), name) for name, change in runs.items()]
+    rows = [r for part in parts for r in part.collect()]
+    p.df.unpersist()
+    return spark.createDataFrame(rows, "method string, cand_id string, arity int, score double, label boolean")
 
 
-_ABLATED = (NET, GROSS, SHORT, DUE, TOTAL, ar("+", ("-", "ext_c", "disc_c"), "e_flag", "net_c"), COINCIDENCE)
+_WITHOUT = {"framework": {}, "without minimality": {"use_minimality": False}, "without independence": {"use_independence": False}, "violations dropped": {"dirty_mode": "drop_violations"},
+            "Bonferroni": {"multiplicity": "bonferroni"}, "Benjamini-Hochberg": {"multiplicity": "benjamini_hochberg"}}
 
 
 @query("ablation_minimality")
 def _(spark, d):
-    cfg = Config(setting="dirty", n_max=1000)
-    return _verdicts(spark, d, cfg).withColumn("run", F.lit("full")).unionByName(_verdicts(spark, d, cfg.but(use_minimality=False)).withColumn("run", F.lit("without minimality")))
+    """Precision and recall of noisy arithmetic rules with and without the Minimality Test, at the default threshold."""
+    s = _runs(spark, d, "AR", "dirty", {k: _WITHOUT[k] for k in ("framework", "without minimality")})
+    return rounded(metrics.prf(s, 0.5).join(metrics.pr_auc(s), "method"), "precision", "recall", "f1", "pr_auc")
 
 
 @query("ablation_independence")
 def _(spark, d):
-    cfg = Config(setting="dirty", n_max=1000)
-    return _verdicts(spark, d, cfg).withColumn("run", F.lit("full")).unionByName(_verdicts(spark, d, cfg.but(use_independence=False)).withColumn("run", F.lit("without independence")))
+    """The same with and without the Independence Test, with violating rows dropped instead, and with corrections for several tests."""
+    s = _runs(spark, d, "AR", "dirty", {k: v for k, v in _WITHOUT.items() if k != "without minimality"})
+    return rounded(metrics.prf(s, 0.5).join(metrics.pr_auc(s), "method"), "precision", "recall", "f1", "pr_auc")
+
+
+_OFF = {"all": {}, "no bound": {"use_bound": False}, "no core": {"use_core": False}, "no early stop": {"use_wilson": False}, "none": {"use_bound": False, "use_core": False, "use_wilson": False}}
 
 
 @query("ablation_optimizations")
 def _(spark, d):
-    """Decisions with each optimization off; only the early stop may differ near the threshold."""
-    cfg, runs = Config(n_max=1000), {"full": {}, "no bound": {"use_bound": False}, "no core": {"use_core": False}, "no early stop": {"use_wilson": False}, "none": {"use_bound": False, "use_core": False, "use_wilson": False}}
-    df = carriers.ar_lineitem(spark, d).select(*sorted({c for r in (NET, GROSS, DUE, TOTAL) for c in r.columns})).cache()
-    parts = [framework.verify(df, (NET, GROSS, DUE, TOTAL), cfg.but(**change)).select(F.lit(name).alias("run"), "rule", "trials", "score", "stop_reason", "reliable") for name, change in runs.items()]
-    return reduce(DataFrame.unionByName, parts)
+    """Time per candidate, PR-AUC and shares of candidates with each optimization off, clean and noisy arithmetic rules."""
+    parts = []
+    for setting in ("clean", "dirty"):
+        p = pools.pool(spark, d, "AR", setting, most=_SMALL)
+        p = pools.Pool(p.df.persist(), p.items, p.keys)
+        pools.framework_scores(p, pools.settings(p, setting)).collect()  # code is compiled once for all
+        labels = spark.createDataFrame([(r.cand_id, y) for r, y in p.items], "cand_id string, label boolean")
+        for name, change in _OFF.items():
+            cfg, out = pools.settings(p, setting, **change), {}
+            (_, ms), = pools.timed({name: lambda c=cfg, o=out: o.update(rows=framework.verify(p.df, p.rels, c).collect())}, len(p.items))
+            v = spark.createDataFrame(out["rows"], VERDICT)
+            auc = metrics.pr_auc(framework.reliability(v).join(labels, "cand_id").select(F.lit(name).alias("method"), F.col("reliability").alias("score"), "label"))
+            parts.append(auc.join(metrics.optimization_counters(v), F.lit(True)).select(F.lit(setting).alias("setting"), "method", F.lit(ms).alias("ms"), "pr_auc", "candidates", "bound_rejected", "early_stopped"))
+        p.df.unpersist()
+    return rounded(reduce(DataFrame.unionByName, parts), "ms", "pr_auc", "bound_rejected", "early_stopped")
+
+
+@query("core_applicability")
+def _(spark, d):
+    """Share of trials of the true arithmetic rules that the core shortcut decides, by arity."""
+    p = pools.pool(spark, d, "AR", "clean", most=1)
+    rows = []
+    for r in p.rels:
+        masks, checks = (1 << len(r.columns)) - 1, bounds.core_checks(r, r.columns, True)
+        rows.append((r.arity, len(checks) / masks, sum(sure for _, sure in checks.values()) / masks))
+    return rounded(spark.createDataFrame(rows, "arity int, met double, decided double").groupBy("arity").agg(F.avg("met").alias("met"), F.avg("decided").alias("decided"), F.count("*").alias("rules")), "met", "decided")
+
+
+@query("quality_by_threshold")
+def _(spark, d):
+    """Precision, recall and F1 of noisy arithmetic rules for thresholds of the survival score."""
+    s = _runs(spark, d, "AR", "dirty", {"framework": {"use_bound": False, "use_wilson": False, "n_max": 2000}})
+    parts = [metrics.prf(s, 1 - eta).select(F.lit(eta).alias("eta"), "precision", "recall", "f1") for eta in (0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9)]
+    return rounded(reduce(DataFrame.unionByName, parts), "precision", "recall", "f1")
+
+
+@query("quality_by_noise")
+def _(spark, d):
+    """Precision, recall and F1 of arithmetic rules for shares of noisy rows."""
+    parts = []
+    for rate in (0.02, 0.04, 0.06, 0.08, 0.1):
+        s = _runs(spark, d, "AR", "dirty", {"framework": {}}, rate=rate)
+        parts.append(metrics.prf(s, 0.5).select(F.lit(rate).alias("rate"), "precision", "recall", "f1"))
+    return rounded(reduce(DataFrame.unionByName, parts), "precision", "recall", "f1")
+
+
+_GOLD_TABLES = {
+    "nation": ("n_nationkey", ("n_name", "n_regionkey")), "customer": ("c_custkey", ("c_name", "c_nationkey", "c_mktsegment")), "supplier": ("s_suppkey", ("s_name", "s_nationkey")),
+    "part": ("p_partkey", ("p_name", "p_brand", "p_type", "p_size")), "orders": ("o_orderkey", ("o_custkey", "o_orderstatus", "o_orderpriority")), "region": ("r_regionkey", ("r_name",)),
+    "pages": ("page_id", ("url",)), "labels": ("doc_id", ("quality", "toxic")), "events": ("event_id", ("user_id", "event_type"))}
+
+
+def _gold(spark, d, mode: str) -> DataFrame:
+    rows = []
+    for name, (key, columns) in _GOLD_TABLES.items():
+        df = load(spark, d, name).select(key, *columns)
+        twice = {"region": 1, "nation": 1}.get(name, 1)
+        rels = [Relation("FD", (x,), y) for x, y in permutations((key, *columns), 2)]
+        cfg = Config(setting="dirty", tau=0.0, use_independence=False, use_minimality=False, n_max=1000 * twice, fd_mode=mode)
+        got = {r["cand_id"]: r["reliability"] for r in framework.reliability(framework.verify(df, rels, cfg)).collect()}
+        hits = {r["cand_id"]: r["hits"] / max(1, r["n_rows"]) for r in satisfy.satisfaction(df, rels).collect()}
+        # names that stand for a key determine what the key does
+        keys = {key, *(c for c in columns if c in ("n_name", "c_name", "s_name", "r_name", "url"))}
+        for r in rels:
+            true = r.inputs[0] in keys
+            rows += [(f"framework, {mode}", got[r.cand_id], true), ("g3", hits[r.cand_id], true)]
+    return spark.createDataFrame(rows, "method string, score double, label boolean")
+
+
+for _mode in ("recheck", "induced"):
+    query(f"labelled_dependencies_{_mode}")(lambda spark, d, mode=_mode: _summed(_gold(spark, d, mode)))
 
 
 @query("rules_set_difference", f"with {AR} select '{SHORT.text}' as rule from ar having count(*) filter (where net_c + tax_c = due_c) * 5 >= 4 * count(*) and count(*) filter (where net_c + tax_c = due_c) < count(*)")
@@ -659,36 +745,63 @@ def _(spark, d):
     return r.withColumn("rank", F.row_number().over(by).cast("bigint")).where("rank <= 2").select(F.col("y").alias("output"), F.col("x").alias("input"), "rank")
 
 
+def _timed_pool(spark, d, kind: str, setting: str, rows: int | None = None) -> list[tuple[str, float]]:
+    p = pools.pool(spark, d, kind, setting, most=_SMALL, rows=rows)
+    p = pools.Pool(p.df.persist(), p.items, p.keys)
+    p.df.count()
+    run = {"framework": lambda: framework.verify(p.df, p.rels, pools.settings(p, setting)).collect(), "measures": lambda: pools.baseline_scores(p, setting, rfi=False, explain=False).collect(),
+           "reliable information": lambda: pools.baseline_scores(p, setting, explain=False).collect(), "explanation": lambda: explanations(p.df, p.rels, setting == "clean").collect()}
+    out = pools.timed(run, len(p.items))
+    p.df.unpersist()
+    return out
+
+
 @query("timing_percentiles")
 def _(spark, d):
-    df = carriers.ar_lineitem(spark, d).select(*sorted({c for r in (NET, GROSS) for c in r.columns})).cache()
-    df.count()
-    return metrics.timing_summary(spark.createDataFrame(pools.timed(df, [NET, GROSS], Config(n_max=1000), "framework"), "method string, cand_id string, ms double"))
+    """Milliseconds per candidate by family and method over batches of candidates, generation left out."""
+    rows = [(kind, setting, name, ms) for kind in ("AR", "ST", "FD") for setting in ("clean", "dirty") for name, ms in _timed_pool(spark, d, kind, setting)]
+    return rounded(spark.createDataFrame(rows, "kind string, setting string, method string, ms double"), "ms")
+
+
+@query("timing_by_size")
+def _(spark, d):
+    """Milliseconds per candidate of arithmetic rules on 2,000 to 10,000 rows."""
+    rows = [(n, name, ms) for n in _SIZES for name, ms in _timed_pool(spark, d, "AR", "clean", n) if name in ("framework", "measures")]
+    return rounded(spark.createDataFrame(rows, "rows int, method string, ms double"), "ms")
 
 
 # ---- discovery -------------------------------------------------------------------------------------------------------
 
+def _cached(df: DataFrame, run: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """A mining run reads its table many times; its verdicts are a table of their own."""
+    held = df.persist()
+    try:
+        return run(held)
+    finally:
+        held.unpersist()
+
+
 @query("discover_ar")
 def _(spark, d):
-    df = carriers.ar_lineitem(spark, d).select("ext_c", "disc_c", "net_c", "tax_c", "gross_c", "qty", "unit_c", "list_c", "sur_c", "due_c").cache()
-    return framework.discover(df, Config(max_level=2, n_max=1000), kinds=("AR",))
+    df = carriers.ar_lineitem(spark, d).select("ext_c", "disc_c", "net_c", "tax_c", "gross_c", "qty", "unit_c", "list_c", "sur_c", "due_c")
+    return _cached(df, lambda c: framework.discover(c, Config(), kinds=("AR",)))
 
 
 @query("discover_st")
 def _(spark, d):
-    return framework.discover(carriers.st_part(spark, d), Config(max_level=2, n_max=1000, exclude=("p_partkey",)), kinds=("ST",))
+    return _cached(carriers.st_part(spark, d), lambda c: framework.discover(c, Config(exclude=("p_partkey",)), kinds=("ST",)))
 
 
 @query("discover_fd")
 def _(spark, d):
-    df = carriers.wide(spark, d).select("n_name", "r_name", "p_brand", "c_mktsegment", "l_returnflag").cache()
-    return framework.discover(df, Config(max_level=1, n_max=1000), kinds=("FD",), categories=df.columns)
+    df = carriers.wide(spark, d).select("n_name", "r_name", "p_brand", "c_mktsegment", "l_returnflag")
+    return _cached(df, lambda c: framework.discover(c, Config(), kinds=("FD",), categories=c.columns))
 
 
 @query("discover_dirty_ar")
 def _(spark, d):
-    df = carriers.ar_lineitem(spark, d).select("net_c", "tax_c", "gross_c", "sur_c", "due_c", "qty").cache()
-    return framework.discover(df, Config(setting="dirty", max_level=2, n_max=1000), kinds=("AR",))
+    df = carriers.ar_lineitem(spark, d).select("net_c", "tax_c", "gross_c", "sur_c", "due_c", "qty")
+    return _cached(df, lambda c: framework.discover(c, Config(setting="dirty"), kinds=("AR",)))
 
 
 @query("rules_as_constraints")

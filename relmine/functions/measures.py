@@ -2,13 +2,15 @@
 
 Every measure is algebra over n_xy and its marginals. Entropies are in bits.
 Larger means more reliable. Constant outputs count as fully determined; where
-every input is different, the bias-corrected g3 and mu are 0.
+every input is different, the bias-corrected g3 and mu are 0. A candidate without
+rows has no counts and no row; callers give it the lowest score.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Sequence
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -19,12 +21,13 @@ MEASURES = ("chi", "mi", "fi", "smi", "rho", "g1", "g1s", "g1sp", "g2", "g3", "g
 
 
 def pair_counts(df: DataFrame, pairs: Sequence[tuple[str, Sequence[str], str]], only: Sequence[Column | None] | None = None) -> DataFrame:
-    """(cand, x, y, n) of (name, inputs, output) triples in one pass; several inputs are one array as text, so no
+    """(cand, x, y, n) of (name, inputs, output) triples, a pass for 32 of them; several inputs are one array as text, so no
     delimiter inside a cell can make two keys equal. ``only`` has the rows that count for each triple."""
     key = lambda cols: F.to_json(F.array(*(F.coalesce(F.col(c).cast("string"), F.lit("\x00null")) for c in cols)))
     keep = lambda i: F.lit(True) if only is None or only[i] is None else F.coalesce(only[i], F.lit(False))
-    rows = F.array(*(F.struct(F.lit(name).alias("cand"), key(xs).alias("x"), F.coalesce(F.col(y).cast("string"), F.lit("\x00null")).alias("y"), keep(i).alias("k")) for i, (name, xs, y) in enumerate(pairs)))
-    return df.select(F.inline(rows)).where("k").groupBy("cand", "x", "y").agg(F.count("*").alias("n"))
+    rows = [F.struct(F.lit(name).alias("cand"), key(xs).alias("x"), F.coalesce(F.col(y).cast("string"), F.lit("\x00null")).alias("y"), keep(i).alias("k")) for i, (name, xs, y) in enumerate(pairs)]
+    parts = [df.select(F.inline(F.array(*rows[at:at + 32]))) for at in range(0, len(rows), 32)]  # what a generated method can hold
+    return reduce(DataFrame.unionByName, parts).where("k").groupBy("cand", "x", "y").agg(F.count("*").alias("n"))
 
 
 def _xlog(n: Column) -> Column:
@@ -120,17 +123,31 @@ def reliable_information(counts: DataFrame) -> DataFrame:
     return base.join(chance, "cand").select("cand", F.greatest(F.col("fi") - e, F.lit(0.0)).alias("rfi"), F.when(e >= 1, F.lit(0.0)).otherwise(F.greatest((F.col("fi") - e) / (1 - e), F.lit(0.0))).alias("rfi_norm"))
 
 
-def explanation(df: DataFrame, rel, size: int | None = None) -> DataFrame:
-    """(cand_id, conciseness, concentration, score): how short a rule is and how concentrated its residuals are."""
+def explanations(df: DataFrame, rels: Sequence, only_satisfied: bool = False) -> DataFrame:
+    """(cand_id, conciseness, concentration, score) of rules in one pass: how short a rule is and how concentrated its
+    residuals are. A value dependency's residual is whether y is the most frequent of its x."""
     from relmine.functions.expressions import evaluate, leaves, subtrees
-
-    nodes = size if size is not None else len(leaves(rel.expr)) + sum(1 for _ in subtrees(rel.expr))
-    residual = (evaluate(rel.expr) - F.col(rel.output)) if rel.kind == "AR" else (evaluate(rel.expr) == F.col(rel.output).cast("string")).cast("int")
-    counts = df.select(F.round(residual.cast("double"), 6).alias("r")).groupBy("r").agg(F.count("*").alias("n"))
-    s = counts.agg(F.sum("n").alias("N"), F.sum(_xlog(F.col("n").cast("double"))).alias("l"), F.count("*").alias("k"))
+    from relmine.operators.satisfy import dependency_counts, dependency_maps, exact_columns, holds
+
+    spark, parts = df.sparkSession, []
+    plain, fds = [r for r in rels if r.kind != "FD"], [r for r in rels if r.kind == "FD"]
+    for at in range(0, len(plain), 32):
+        rows = []
+        for r in plain[at:at + 32]:
+            made = evaluate(r.expr)
+            residual = (made.cast("double") - F.col(r.output).cast("double")) if r.kind == "AR" else F.coalesce(made == F.col(r.output).cast("string"), F.lit(False)).cast("double")
+            counts = F.coalesce(holds(r, exact=exact_columns(df, r)), F.lit(False)) if only_satisfied else F.lit(True)
+            rows.append(F.struct(F.lit(r.cand_id).alias("cand_id"), F.round(residual, 6).alias("r"), counts.alias("counts")))
+        parts.append(df.select(F.inline(F.array(*rows))).where("counts").groupBy("cand_id", "r").agg(F.count("*").alias("n")))
+    if fds:
+        maps = dependency_maps(dependency_counts(df, fds))
+        of = F.array(F.struct(F.lit(0.0).alias("r"), F.col("n_y").alias("n")), F.struct(F.lit(1.0).alias("r"), (F.lit(0 if only_satisfied else 1) * (F.col("n") - F.col("n_y"))).alias("n")))
+        parts.append(maps.select("cand_id", F.inline(of)).where("n > 0").groupBy("cand_id", "r").agg(F.sum("n").alias("n")))
+    sizes = spark.createDataFrame([(r.cand_id, 1 / (1 + (2 if r.expr is None else len(leaves(r.expr)) + max(1, sum(1 for _ in subtrees(r.expr)))))) for r in rels], "cand_id string, conciseness double")
+    by = reduce(DataFrame.unionByName, parts).groupBy("cand_id").agg(F.sum("n").alias("N"), F.sum(_xlog(F.col("n").cast("double"))).alias("l"), F.count("*").alias("k"))
     h = F.when(F.col("k") > 1, (F.log2("N") - F.col("l") / F.col("N")) / F.log2("k")).otherwise(F.lit(0.0))
-    short = 1 / (1 + nodes)
-    return s.select(F.lit(rel.cand_id).alias("cand_id"), F.lit(short).alias("conciseness"), (1 - h).alias("concentration"), ((F.lit(short) + 1 - h) / 2).alias("score"))
+    both = sizes.join(by, "cand_id", "left").withColumn("concentration", F.when(F.col("k").isNull(), F.lit(0.0)).otherwise(1 - h))
+    return both.select("cand_id", "conciseness", "concentration", ((F.col("conciseness") + F.col("concentration")) / 2).alias("score"))
 
 
 def judge_prompt(df: DataFrame, rel, rows: int = 5) -> str:

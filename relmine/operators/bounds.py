@@ -25,19 +25,24 @@ def column_sets(columns: Sequence[str]) -> list[frozenset[str]]:
     return [frozenset(s) for n in range(1, len(columns) + 1) for s in combinations(columns, n)]
 
 
-def kappas_of(df: DataFrame, items: Sequence[tuple[Sequence[str], Column | None]]) -> list[float]:
-    """kappa of each (columns, rows that count) in one pass, counts combined before the shuffle.
+def kappas_of(df: DataFrame, items: Sequence[tuple[Sequence[str], Column | None]], batch: int = 64) -> list[float]:
+    """kappa of each (columns, rows that count), a pass for each ``batch`` of them, counts combined before the shuffle.
 
     A row gives a 64-bit hash for each item; two different cells have equal hashes with a chance of 2 ** -64, which is
     all that a hash can add to a kappa. Sums are decimals: a group of a third of 10^13 rows would overflow a long.
     """
-    if not items:
-        return []
-    keyed = F.array(*(F.struct(F.lit(i).alias("item"), _key(columns).alias("h"), F.lit(True) if only is None else F.coalesce(only, F.lit(False))) for i, (columns, only) in enumerate(items)))
-    each = df.select(F.inline(keyed).alias("item", "h", "counts")).where("counts").groupBy("item", "h").agg(F.count("*").alias("n"))
-    n = F.col("n").cast("decimal(19,0)")
-    got = {r["item"]: r for r in each.groupBy("item").agg(F.sum(n * (n - 1)).alias("pairs"), F.sum(n).alias("rows")).collect()}
-    return [_share(got[i]["pairs"], got[i]["rows"]) if i in got else 0.0 for i in range(len(items))]
+    out = [0.0] * len(items)
+    for at in range(0, len(items), batch):
+        by: dict[int, list] = {}  # the sets of one rule share its condition
+        for i, (columns, only) in enumerate(items[at:at + batch]):
+            by.setdefault(id(only), [only]).append(F.struct(F.lit(i).alias("item"), _key(columns).alias("h")))
+        keyed = [F.array(*own) if only is None else F.when(only, F.array(*own)) for only, *own in by.values()]
+        every = keyed[0] if len(keyed) == 1 else F.flatten(F.filter(F.array(*keyed), lambda x: x.isNotNull()))
+        each = df.select(F.inline(every)).groupBy("item", "h").agg(F.count("*").alias("n"))
+        n = F.col("n").cast("decimal(19,0)")
+        for r in each.groupBy("item").agg(F.sum(n * (n - 1)).alias("pairs"), F.sum(n).alias("rows")).collect():
+            out[at + r["item"]] = _share(r["pairs"], r["rows"])
+    return out
 
 
 def _key(columns: Sequence[str]) -> Column:

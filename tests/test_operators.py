@@ -193,16 +193,31 @@ def test_mixed_up_changes_one_cell_of_some_rows(spark):
     assert mixed_up(df.limit(0), 0.1, ("a", "b"), ("k",)).count() == 0
 
 
-def test_pools_hold_as_labelled(spark):
-    """Positives hold on every row of the carrier; negatives do not."""
+def test_pools_hold_as_labelled(spark, small):
+    """True candidates hold on every row of the clean table; the others are as many as the base rate says, or all there are."""
     from relmine.bench import pools
     from relmine.operators.satisfy import satisfaction
 
-    items = pools.pool("ST")
-    got = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(pools.carrier(spark, "/root/testdata/sf0.001", "ST"), [r for r, _ in items]).collect()}
-    for rel, label in items:
-        hits, rows = got[rel.cand_id]
-        assert (hits == rows) == label and hits > 0, rel.text
+    for kind in ("AR", "ST", "FD"):
+        p = pools.pool(spark, small, kind, "clean", most=80)
+        got = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(p.df, p.rels).collect()}
+        yes = [r for r, y in p.items if y]
+        assert yes and all(got[r.cand_id][0] == got[r.cand_id][1] > 0 for r in yes), kind
+        no = [r for r, y in p.items if not y]
+        assert no and all(got[r.cand_id][0] > 0 for r in no) and len(no) <= 80
+        assert len({r.cand_id for r in p.rels}) == len(p.items) and not set(p.keys) & {c for r in p.rels for c in r.columns}
+
+
+def test_methods_on_a_pool(spark, small):
+    """The framework is ahead of every measure on arithmetic rules, and measures that see violations only are at the base rate."""
+    from relmine.bench import pools
+
+    p = pools.pool(spark, small, "AR", "clean", most=40)
+    scores = pools.framework_scores(p, pools.settings(p, "clean", n_max=400)).unionByName(pools.baseline_scores(p, "clean", rfi=False))
+    got = {r["method"]: r for r in metrics.summary(scores).collect()}
+    base = sum(y for _, y in p.items) / len(p.items)
+    assert got["g3"]["pr_auc"] == pytest.approx(base) and got["framework"]["pr_auc"] > 0.75 and got["framework"]["pr_auc"] > base
+    assert set(got) >= {"framework", "chi", "mi", "explain"} and got["mi"]["gain"] is None
 
 
 def test_helper_columns_meet_no_user_column(spark):
@@ -260,6 +275,7 @@ def test_jobs_do_not_grow_with_the_pool(spark):
         level = [r for r in pool if r.arity == 2]
         copies = [Relation("AR", r.inputs, r.output, ("-" if r.expr[0] == "+" else "+", *r.expr[1:])) for r in level]
         more = [Relation("AR", r.inputs, r.output, ("*", *r.expr[1:])) for r in level]
+        # a batch of rules is a job more, not a rule
         one, three = jobs(level, cfg), jobs(level + copies + more, cfg)
-        assert three <= one + 2
+        assert three <= one + 4
         assert jobs([r for r in pool if r.kind == "FD"], cfg) <= jobs(pool[4:5], cfg) + 2
