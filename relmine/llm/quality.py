@@ -163,10 +163,9 @@ def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[i
     for k in range(order - 1, 0, -1):  # how many different words stand before
         tables[k] = [saved(_united(tables[k + 1]).groupBy("l", *(F.col(f"w{i + 1}").alias(f"w{i}") for i in range(1, k + 1))).agg(F.count("*").alias("n")), f"grams{k}")]
     discounts = {k: saved(_discounts(_united(t)), "discounts") for k, t in tables.items()}
-    sums = [F.sum("n").alias("all"), *(F.count_if(c).alias(f"a{i}") for i, c in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") > 2)))]
-    off = F.col("d1") * F.col("a1") + F.col("d2") * F.col("a2") + F.col("d3") * F.col("a3")
-    langs = tables[1][0].groupBy("l").agg(*sums, F.count("*").alias("types")).join(discounts[1], "l")
-    langs = saved(langs.withColumn("unknown", F.log(off / F.col("all") / (F.col("types") + 1))), "languages")
+    sums = [F.sum("n").alias("all"), F.sum(_taken()).alias("off")]
+    langs = tables[1][0].join(discounts[1], "l").groupBy("l").agg(*sums, F.count("*").alias("types")).join(discounts[1], "l")
+    langs = saved(langs.withColumn("unknown", F.log(F.col("off") / F.col("all") / (F.col("types") + 1))), "languages")
 
     def entries():
         lower = tables[1][0].join(langs, "l").select("l", "w1", ((F.col("n") - _taken()) / F.col("all") + F.exp("unknown")).alias("p"), "unknown")
@@ -178,11 +177,11 @@ def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[i
             below = lower.select("l", *(F.col(f"w{i}").alias(f"w{i + 1}") for i in range(1, k)), F.col("p").alias("low"))
             full = []
             for table in tables[k]:
-                weights = table.groupBy("l", *context).agg(*sums).join(discounts[k], "l")
-                weights = saved(weights.withColumn("rest", off / F.col("all")).select("l", *context, "all", "rest", "d1", "d2", "d3"), "weights")
+                own = table.join(discounts[k], "l")
+                weights = saved(own.groupBy("l", *context).agg(*sums).select("l", *context, "all", (F.col("off") / F.col("all")).alias("rest")), "weights")
                 yield k - 1, weights.select("l", *context, F.log("rest").alias("value"))
                 # what is moved for the second join is as narrow as can be
-                above = table.join(weights, ["l", *context]).select("l", *words_of(k), ((F.col("n") - _taken()) / F.col("all") / F.col("rest")).alias("x"), *(["rest"] if k < order else []))
+                above = own.select("l", *words_of(k), (F.col("n") - _taken()).alias("n")).join(weights, ["l", *context]).select("l", *words_of(k), (F.col("n") / F.col("all") / F.col("rest")).alias("x"), *(["rest"] if k < order else []))
                 own = above.join(below, ["l", *suffix])
                 if k < order:
                     own = saved(own.select("l", *words_of(k), (F.col("rest") * (F.col("low") + F.col("x"))).alias("p"), F.log1p(F.col("x") / F.col("low")).alias("value")), f"scores{k}")
@@ -319,7 +318,7 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
 
 
-def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25, parts: int = 3, passes: int = 2) -> tuple[DataFrame, DataFrame]:
+def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack: int = 12, shard_grams: int = 1 << 25, parts: int = 2, passes: int = 3) -> tuple[DataFrame, DataFrame]:
     """(key, logp, tokens) of the different rows of ``texts``, and the model's languages (l, unknown);
     logp lacks tokens times unknown."""
     spark = texts.sparkSession
@@ -331,7 +330,7 @@ def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack:
     model = _united([saved(packed_entries(frame, k, shards, bits), "model") for k, frame in entries])
     scored = []
     for i in range(passes):
-        both = model.unionByName(packed_documents(texts.where(F.pmod("key", F.lit(passes)) == i), order, shards, bits))
+        both = model.unionByName(packed_documents(texts.where(F.pmod(F.xxhash64("doc_id"), F.lit(passes)) == i), order, shards, bits))
         sums = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
         scored.append(saved(sums.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored"))
     return _united(scored), langs
