@@ -10,13 +10,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from relmine.bench import carriers, metrics, pools
-from relmine.functions.expressions import leaves, opt
+from relmine.functions.expressions import canonical, leaves, opt, render
 from relmine.functions.measures import MEASURES, explanations, measures, pair_counts, reliable_information
 from relmine.functions.statistics import hash_int, wilson_bounds
 from relmine.model import VERDICT, Config, Relation
 from relmine.operators import bounds, generate, independence, minimality, perturb, satisfy
 from relmine.plans import framework
-from relmine.sources.tables import check_constraints, load
+from relmine.sources.tables import check_constraints, load, relations_view, satisfaction_template
 from relmine.streaming import monitor
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -186,7 +186,16 @@ def _(spark, d):
     return spark.createDataFrame([(r.text,) for r in rels], "rule string")
 
 
-@query("gen_ar_level3")
+def _sql_sums_of_three() -> str:
+    # all sums and differences of three columns that hold on every row; products and quotients of cents make no other rule here
+    trees = sorted({canonical((o2, (o1, a, b), c)) for a, b, c in permutations(GEN, 3) for o1 in "+-" for o2 in "+-"}, key=repr)
+    tests = [f"{render(t)} = {y}" for t in trees for y in GEN if y not in leaves(t)]
+    sums = ", ".join(f"coalesce(bool_and({t}), false) as t{i}" for i, t in enumerate(tests))
+    rows = ", ".join(f"struct_pack(rule := '{t}', ok := t{i})" for i, t in enumerate(tests))
+    return f"with {AR}, t as (select {sums} from ar), u as (select unnest([{rows}]) as s from t) select s.rule as rule from u where s.ok"
+
+
+@query("gen_ar_level3", _sql_sums_of_three())
 def _(spark, d):
     """Meet in the middle: pair expressions meet outputs combined with one more input."""
     rels = generate.arithmetic(carriers.ar_lineitem(spark, d).select(*GEN), 3, Config())
@@ -199,7 +208,22 @@ def _(spark, d):
     return spark.createDataFrame([(y, sum(r.output == y for r in rels)) for y in ("gross_c", "net_c")], "output string, rules bigint")
 
 
-@query("gen_ar_dirty")
+_NOISY_GEN = ("net_c", "tax_c", "gross_c", "sur_c", "due_c")
+
+
+def _sql_level2_dirty() -> str:
+    tests = []
+    for a, b in permutations(_NOISY_GEN, 2):
+        for op in "+-*/":
+            for y in _NOISY_GEN:
+                if y not in (a, b) and not (op in "+*" and a > b):
+                    tests.append((f"({a} {op} {b}) = {y}", f"{a} {op} {b} = {y}" if op != "/" else f"({b} <> 0 and abs({a} / nullif({b}, 0) - {y}) <= 1e-9 * abs({y}))"))
+    sums = ", ".join(f"count(*) filter (where {c}) as t{i}" for i, (_, c) in enumerate(tests))
+    rows = ", ".join(f"struct_pack(rule := '{t}', hits := t{i})" for i, (t, _) in enumerate(tests))
+    return f"with {AR}, t as (select count(*) as n, {sums} from ar), u as (select n, unnest([{rows}]) as s from t) select s.rule as rule, s.hits as hits, n as n_rows from u where 5 * s.hits >= 4 * n"
+
+
+@query("gen_ar_dirty", _sql_level2_dirty())
 def _(spark, d):
     rels = generate.arithmetic(carriers.ar_lineitem(spark, d).select("net_c", "tax_c", "gross_c", "sur_c", "due_c"), 2, Config(setting="dirty"))
     return satisfy.satisfaction(carriers.ar_lineitem(spark, d), rels).select("rule", "hits", "n_rows")
@@ -217,7 +241,20 @@ def _(spark, d):
     return spark.createDataFrame([(r.text,) for r in out], "rule string")
 
 
-@query("gen_st_concat")
+def _sql_concats(source: str, columns: Sequence[str]) -> str:
+    parts = []
+    for y, a, b in permutations(columns, 3):
+        gap = f"substr({y}, length({a}) + 1, length({y}) - length({a}) - length({b}))"
+        ok = f"bool_and(length({a}) > 0 and length({b}) > 0 and length({y}) >= length({a}) + length({b}) and starts_with({y}, {a}) and ends_with({y}, {b}))"
+        parts.append(f"select '{a}' as a, '{b}' as b, '{y}' as y, {ok} as ok, min({gap}) as lo, max({gap}) as hi from {source}")
+    return " union all ".join(parts)
+
+
+_CONCAT_SQL = (f"with {PART}, {ORD}, c as ({_sql_concats('prt', ('p_name', 'w1', 'w2', 'p_brand', 'p_type'))} union all {_sql_concats('ord', ('o_orderpriority', 'prio_code', 'prio_text', 'ym', 'y', 'm'))}) "
+               "select 'concat(' || a || case when lo = '' then '' else ', ' || chr(39) || lo || chr(39) end || ', ' || b || ') = ' || y as rule from c where ok and lo = hi")
+
+
+@query("gen_st_concat", _CONCAT_SQL)
 def _(spark, d):
     out = generate.concatenations(carriers.st_part(spark, d), Config()) + generate.concatenations(carriers.st_orders(spark, d), Config())
     return spark.createDataFrame([(r.text,) for r in out], "rule string")
@@ -493,8 +530,23 @@ def _pair_counts(spark, d) -> DataFrame:
 
 for _name in MEASURES:
     query(f"measure_{_name}", _sql_measure(_name))(lambda spark, d, name=_name: rounded(measures(_pair_counts(spark, d)).select("cand", F.col(name).cast("double").alias(name)), name))
+def _sql_reliable(name: str) -> str:
+    parts, tables = [], []
+    lg = lambda x: f"lgamma(cast({x} as double) + 1)"
+    for i, (x, y) in enumerate(_PAIRS):
+        tables.append(f"c{i} as (select {x} as x, {y} as y, count(*) as n from wide group by 1, 2), x{i} as (select sum(n) as a from c{i} group by x), y{i} as (select sum(n) as b from c{i} group by y), "
+                      f"s{i} as (select cast(a as bigint) as a, ka, cast(b as bigint) as b, kb, (select cast(sum(n) as bigint) from c{i}) as n from (select a, count(*) as ka from x{i} group by 1), (select b, count(*) as kb from y{i} group by 1)), "
+                      f"k{i} as (select *, unnest(range(greatest(1, a + b - n), least(a, b) + 1)) as k from s{i}), "
+                      f"e{i} as (select sum(ka * kb * (k / n) * log2(cast(n as double) * k / (cast(a as double) * b)) * exp({lg('a')} + {lg('b')} + {lg('n - a')} + {lg('n - b')} - {lg('n')} - {lg('k')} - {lg('a - k')} - {lg('b - k')} - {lg('n - a - b + k')})) as e from k{i})")
+        h = lambda t, c: f"(select log2(sum({c})) - sum({c} * log2({c})) / sum({c}) from {t})"
+        parts.append(f"select '{x}->{y}' as cand, {h(f'x{i}', 'a')} as hx, {h(f'y{i}', 'b')} as hy, {h(f'c{i}', 'n')} as hxy, (select count(*) from y{i}) as ky, (select e from e{i}) as e")
+    score = "greatest(fi - ch, 0)" if name == "rfi" else "case when ch >= 1 then 0 else greatest((fi - ch) / (1 - ch), 0) end"
+    return (f"with {WIDE}, {', '.join(tables)}, m as ({' union all '.join(parts)}), f as (select cand, case when ky = 1 then 1 else (hx + hy - hxy) / hy end as fi, case when hy > 0 then e / hy else 1 end as ch from m) "
+            f"select cand, round({score}, {DIGITS}) as {name} from f")
+
+
 for _name in ("rfi", "rfi_norm"):
-    query(f"measure_{_name}")(lambda spark, d, name=_name: reliable_information(_pair_counts(spark, d)).select("cand", name))
+    query(f"measure_{_name}", _sql_reliable(_name))(lambda spark, d, name=_name: rounded(reliable_information(_pair_counts(spark, d)).select("cand", name), name))
 
 
 @query("measure_explanation")
@@ -809,6 +861,25 @@ def _(spark, d):
     return check_constraints(QUERIES["discover_st"](spark, d))
 
 
+@query("sql_surface", _sql_sat("", "nation", [(NATION, "n_name = 'NATION_' || n_nationkey"), (REGION_MOD, "n_regionkey = n_nationkey % 5")]) + " union all " + _sql_sat("", "customer", [(CUSTOMER, "c_name = 'Customer#' || lpad(cast(c_custkey as varchar), 9, '0')")]))
+def _(spark, d):
+    """Rules as a view and as SQL templates over views of the tables."""
+    parts = []
+    for name, rels in (("nation", (NATION, REGION_MOD)), ("customer", (CUSTOMER,))):
+        relations_view(spark, rels)
+        load(spark, d, name).createOrReplaceTempView(f"rules_{name}")
+        parts.append(spark.sql(satisfaction_template(rels, f"rules_{name}")).join(spark.table("relations").select("rule"), "rule"))
+    return reduce(DataFrame.unionByName, parts).select("rule", F.col("hits").cast("bigint").alias("hits"), "n_rows")
+
+
+@query("independence_early_exit")
+def _(spark, d):
+    """One column at a time: a rule rejected by a column is not tested on the rest."""
+    df = carriers.ar_lineitem(spark, d).select(*DUE.columns, "net_c", "tax_c", "qty", "dp")
+    got = independence.independent(df, [SHORT, DUE], Config(setting="dirty", it_columns=1))
+    return spark.createDataFrame([(r.text, got[r.cand_id][0], got[r.cand_id][1]) for r in (SHORT, DUE)], "rule string, independent boolean, col string")
+
+
 # ---- streams ---------------------------------------------------------------------------------------------------------
 
 _PROPS = Relation("ST", ("k",), "seen", ("concat", ("lit", '{"k": '), "k", ("lit", "}")))

@@ -88,6 +88,35 @@ def render(tree: Tree) -> str:
     return f"{op}({', '.join([*map(render, args), *map(repr, o)])})"
 
 
+def sql_text(tree: Tree) -> str:
+    """The tree in SQL that Spark and other engines read alike; columns must have plain names."""
+    if isinstance(tree, str):
+        return tree
+    op, args, o = tree[0], [p for p in tree[1:] if not _is_option(tree[0], p)], _options(tree)
+    if op == "lit":
+        return "'" + tree[1].replace("'", "''") + "'"
+    v = [sql_text(a) for a in args]
+    if op == "/":
+        return f"(cast({v[0]} as double) / nullif({v[1]}, 0))"
+    if op in ARITHMETIC:
+        return f"({v[0]} {op} {v[1]})"
+    if op == "concat":
+        return f"concat({', '.join(v)})"
+    if op == "token":
+        return f"split_part({v[0]}, '{o[0]}', {o[1]})"
+    if op == "slice":
+        return f"substr({v[0]}, {o[0]}, {o[1]})"
+    if op == "padded":
+        return f"lpad(cast({v[0]} as varchar(64)), {o[0]}, '0')"
+    if op == "mod":
+        return f"({v[0]} % {o[0]})"
+    if op == "affine":
+        return f"({o[0]} * {v[0]} + {o[1]})"
+    if op in ("lower", "upper", "trim", "length"):
+        return f"{op}({v[0]})"
+    raise ValueError(f"no SQL for {op}")
+
+
 def signed_sum(tree: Tree, sign: int = 1) -> dict[str, int] | None:
     """Sign of each leaf of a rule of + and - only; None for others."""
     if isinstance(tree, str):

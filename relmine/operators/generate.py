@@ -11,13 +11,16 @@ again on the whole table.
 from __future__ import annotations
 
 from collections.abc import Sequence
+from fractions import Fraction
 from itertools import permutations
+from math import gcd
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from relmine.functions.expressions import canonical, leaves, opt, render
+from relmine.functions.statistics import wilson
 from relmine.model import Config, Relation
 from relmine.operators.minimality import is_minimal
 from relmine.operators.satisfy import is_accurate, satisfaction
@@ -192,6 +195,99 @@ def affine(df: DataFrame, cfg: Config) -> DataFrame:
     return df.agg(*sums).select(F.inline(rows))
 
 
+def constants(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (), rows: int = 24) -> list[Relation]:
+    """Rules of whole numbers with one input and constants: y = a * x + b and y = x mod m, read from a few probe rows."""
+    kinds = dict(df.dtypes)
+    columns, found = [c for c in numeric_columns(df, cfg) if kinds[c] in ("tinyint", "smallint", "int", "bigint")], []
+    for group in null_patterns(df, columns) if cfg.tau >= 1 else ():
+        if len(group) < 2:
+            continue
+        probes = [r["cells"] for r in probe_rows(df.where(F.col(group[0]).isNotNull()), group, 1, rows).collect()]
+        for x, y in permutations(group, 2):
+            points = sorted({(r[x], r[y]) for r in probes})
+            if len({v for _, v in points}) < 2:
+                continue
+            (x0, y0), (x1, y1) = points[0], points[-1]
+            a = Fraction(y1 - y0, x1 - x0) if x1 != x0 else Fraction(0)
+            if a and a.denominator == 1 and all(v == a * (u - x0) + y0 for u, v in points):
+                found.append(Relation("AR", (x,), y, ("affine", x, opt(int(a)), opt(int(y0 - a * x0)))))
+            m = gcd(*(u - v for u, v in points))
+            if min(v for _, v in points) >= 0 and max(v for _, v in points) < m < max(abs(u) for u, _ in points):
+                found.append(Relation("AR", (x,), y, ("mod", x, opt(m))))
+    return checked(df, found, cfg, pruners)
+
+
+def _pieces(texts: Sequence[str], probes: list) -> list[tuple[str, tuple | str, list[str]]]:
+    """(column, expression, values on the probe rows) of the columns and of their tokens, from the left and from the right."""
+    out: list[tuple[str, tuple | str, list[str]]] = []
+    for c in texts:
+        values = [r[c] for r in probes]
+        out.append((c, c, values))
+        for d in DELIMITERS:
+            cut = [v.split(d) for v in values]
+            few = min(map(len, cut))
+            if few > 1:
+                same = few == max(map(len, cut))
+                out += [(c, ("token", c, opt(d), opt(i + 1)), [t[i] for t in cut]) for i in range(few)]
+                out += [] if same else [(c, ("token", c, opt(d), opt(-i - 1)), [t[-i - 1] for t in cut]) for i in range(few)]
+    return [p for p in out if all(p[2])]
+
+
+def programs(df: DataFrame, level: int, cfg: Config, pruners: Sequence[Relation] = (), rows: int = 24) -> list[Relation]:
+    """String rules with ``level`` inputs (1 to 3) that hold on all rows: fixed places of a text, its token from the right,
+    and columns or their tokens joined, with a constant text before, between and behind them."""
+    texts, found = text_columns(df, cfg), []
+    for group in null_patterns(df, texts) if cfg.tau >= 1 and texts else ():
+        probes = [r["cells"] for r in probe_rows(df.where(F.col(group[0]).isNotNull()), group, 1, rows).collect()]
+        if len(group) < 2 or not probes:
+            continue
+        pieces = _pieces(group, probes)
+        for y in group:
+            made = [r[y] for r in probes]
+            if len(set(made)) < 2:
+                continue
+            others = [p for p in pieces if p[0] != y and len(set(p[2])) > 1]
+            if level == 1:
+                found += _places(y, made, others)
+            found += _joins(y, made, others, level)
+    return checked(df, found, cfg, pruners)
+
+
+def _places(y: str, made: list[str], pieces: list) -> list[Relation]:
+    out = []
+    for c, expr, values in pieces:
+        if expr == c and all(m and m in v and m != v for m, v in zip(made, values)):
+            size, starts = {len(m) for m in made}, set.intersection(*({i for i in range(len(v)) if v.startswith(m, i)} for m, v in zip(made, values)))
+            if len(size) == 1 and starts:
+                out.append(Relation("ST", (c,), y, ("slice", c, opt(min(starts) + 1), opt(size.pop()))))
+        elif expr != c and expr[3][1] < 0 and values == made:
+            out.append(Relation("ST", (c,), y, expr))
+    return out
+
+
+def _joins(y: str, made: list[str], pieces: list, level: int) -> list[Relation]:
+    """Pieces found one after the other in every value of y, from its start on, with constant texts around them."""
+    out = []
+
+    def grow(parts: list, rest: list[str], sources: list[str]) -> None:
+        if parts and len(sources) == level and len(set(rest)) == 1 and (len(parts) > 1 or rest[0] and parts[0] != sources[0]):
+            tree = ("concat", *parts, *([("lit", rest[0])] if rest[0] else []))
+            out.append(Relation("ST", tuple(sources), y, tree))
+        if len([p for p in parts if not (isinstance(p, tuple) and p[0] == "lit")]) == max(2, level):
+            return
+        for c, expr, values in pieces:
+            if c not in sources and len(sources) == level or expr in parts:
+                continue
+            at = [r.find(v) for r, v in zip(rest, values)]
+            if min(at) < 0 or len({r[:i] for r, i in zip(rest, at)}) > 1:
+                continue
+            lead = rest[0][:at[0]]
+            grow([*parts, *([("lit", lead)] if lead else []), expr], [r[i + len(v):] for r, i, v in zip(rest, at, values)], sources if c in sources else [*sources, c])
+
+    grow([], made, [])
+    return out
+
+
 def extractions(df: DataFrame, cfg: Config, pruners: Sequence[Relation] = (), rows: int = 24) -> list[Relation]:
     """String rules with one input: tokens by delimiter, letter case, and a literal before a (padded) value."""
     texts = text_columns(df, cfg)
@@ -275,9 +371,20 @@ def dependencies(df: DataFrame, columns: Sequence[str], cfg: Config, pruners: Se
     return [Relation("FD", (r["x"],), r["y"]) for r in sorted(rows, key=lambda r: (r["x"], r["y"])) if r["y"] not in constant and is_accurate(r["hits"], r["n_rows"], cfg.tau)]
 
 
+def screened(df: DataFrame, rels: Sequence[Relation], cfg: Config, rows: int = 1000, z: float = 4.0) -> list[Relation]:
+    """Rules that some rows do not disprove: in the clean setting one violation does, in the dirty one the upper end of the
+    share's interval below tau."""
+    some = df.orderBy(F.xxhash64(*(F.col(f"`{c}`").cast("string") for c in df.columns))).limit(rows)
+    got = {r["cand_id"]: (r["hits"], r["n_rows"]) for r in satisfaction(some, rels, cfg).collect()}
+    open_ = lambda h, n: n == 0 or (h == n if cfg.tau >= 1 else wilson(n, h, z)[1] >= cfg.tau)
+    return [r for r in rels if open_(*got[r.cand_id])]
+
+
 def checked(df: DataFrame, found: Sequence[Relation], cfg: Config, pruners: Sequence[Relation] = ()) -> list[Relation]:
-    """Different rules that hold on enough rows of the whole table and that no pruner covers."""
+    """Different rules that hold on enough rows of the whole table and that no pruner covers; many are screened first."""
     unique = sorted({r.cand_id: r for r in found if not cfg.use_minimality or is_minimal(r, pruners)}.values(), key=lambda r: (r.output, render(r.expr)))
+    if len(unique) > cfg.batch_rules:
+        unique = screened(df, unique, cfg)
     if not unique:
         return []
     ok = {r["cand_id"] for r in satisfaction(df, unique, cfg).collect() if r["n_rows"] and is_accurate(r["hits"], r["n_rows"], cfg.tau)}

@@ -16,6 +16,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 from functools import reduce
+from statistics import NormalDist
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -191,12 +192,20 @@ def dependency_outcomes(df: DataFrame, rels: Sequence[Relation], cfg: Config, ma
     return pairs.select("cand_id", "trial", "mask", F.coalesce(ok, F.lit(False)).cast("int").alias("survived"))
 
 
+def stop_z(cfg: Config) -> float:
+    """The quantile of each look at the interval: as published that of one look, or the error spread over all of them."""
+    if cfg.looks == "single":
+        return cfg.z
+    normal = NormalDist()
+    return normal.inv_cdf(1 - (1 - normal.cdf(cfg.z)) / max(1, -(-cfg.n_max // cfg.beta)))
+
+
 def blocks(trials: DataFrame, cfg: Config) -> DataFrame:
     """(cand_id, block, n, s, low, high): trials and survivors up to and with each block, and their Wilson interval."""
     per = trials.groupBy("cand_id", F.floor(F.col("trial") / cfg.beta).alias("block")).agg(F.count("*").alias("k"), F.sum("survived").alias("t"))
     upto = Window.partitionBy("cand_id").orderBy("block").rowsBetween(Window.unboundedPreceding, 0)
     run = per.select("cand_id", "block", F.sum("k").over(upto).alias("n"), F.sum("t").over(upto).alias("s"))
-    low, high = wilson_bounds(F.col("n"), F.col("s"), cfg.z)
+    low, high = wilson_bounds(F.col("n"), F.col("s"), stop_z(cfg))
     return run.withColumn("low", low).withColumn("high", high)
 
 

@@ -58,12 +58,17 @@ def _verdict(r: Relation, hits: tuple[int, int], minimal: bool, tested: tuple |
 
 def candidates(df: DataFrame, level: int, cfg: Config, kinds: Sequence[str], pruners: Sequence[Relation], categories: Sequence[str]) -> list[Relation]:
     found: list[Relation] = []
+    if "AR" in kinds and level == 1:
+        found += generate.constants(df, cfg, pruners)
     if "AR" in kinds and level >= 2:
         found += generate.arithmetic(df, level, cfg, pruners)
     if "ST" in kinds and level == 1:
         found += generate.extractions(df, cfg, pruners)
     if "ST" in kinds and level == 2:
         found += generate.concatenations(df, cfg, pruners)
+    if "ST" in kinds and level <= 3:
+        known = {r.cand_id for r in found}
+        found += [r for r in generate.programs(df, level, cfg, pruners) if r.cand_id not in known]
     if "FD" in kinds and level == 1 and len(categories) > 1:
         found += generate.dependencies(df, categories, cfg, pruners)
     return found

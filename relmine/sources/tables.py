@@ -47,11 +47,38 @@ def write_verdicts(verdicts: DataFrame, path: str, kind: str = "parquet") -> Non
 
 
 def check_constraints(verdicts: DataFrame) -> DataFrame:
-    """(cand_id, sql): reliable rules as check constraints."""
+    """(cand_id, sql): reliable rules as check constraints; a value dependency is a comment, for it is none of one row."""
     sql = F.when(F.col("kind") == "FD", F.concat(F.lit("-- "), "rule")).otherwise(F.concat(F.lit("CHECK ("), "rule", F.lit(")")))
     return verdicts.where("reliable").select("cand_id", sql.alias("sql"))
 
 
+def condition(rel) -> str:
+    """The SQL condition of an arithmetic or string rule on a row."""
+    from relmine.functions.expressions import sql_text
+
+    return f"{sql_text(rel.expr)} = {rel.output}"
+
+
+def relations_view(spark: SparkSession, rels: Sequence, name: str = "relations") -> DataFrame:
+    """Rules as the temporary view ``name`` (cand_id, kind, inputs, output, arity, rule, condition)."""
+    rows = [(r.cand_id, r.kind, list(r.inputs), r.output, r.arity, r.text, None if r.kind == "FD" else condition(r)) for r in rels]
+    df = spark.createDataFrame(rows, "cand_id string, kind string, inputs array<string>, output string, arity int, rule string, condition string")
+    df.createOrReplaceTempView(name)
+    return df
+
+
+def satisfaction_template(rels: Sequence, table: str) -> str:
+    """SQL that counts the rows of ``table`` that satisfy each rule, in one scan; a row that is null on either side violates."""
+    sums = ", ".join(f"sum(case when {condition(r)} then 1 else 0 end) as h{i}" for i, r in enumerate(rels))
+    rows = " union all ".join("select '" + r.text.replace("'", "''") + f"' as rule, h{i} as hits, n as n_rows from counted" for i, r in enumerate(rels))
+    return f"with counted as (select count(*) as n, {sums} from {table}) {rows}"
+
+
+def violations_template(rel, table: str) -> str:
+    """SQL for the rows of ``table`` that violate a rule."""
+    return f"select * from {table} where not coalesce({condition(rel)}, false)"
+
+
 def write_pool(rels, spark: SparkSession, path: str) -> None:
     """A pool of rules as Parquet; trees as text."""
     spark.createDataFrame([(r.kind, list(r.inputs), r.output, repr(r.expr)) for r in rels], "kind string, inputs array<string>, output string, expr string").write.mode("overwrite").parquet(path)
