@@ -681,8 +681,8 @@ def _runs(spark, d, kind: str, setting: str, runs: dict[str, dict], **pool_) ->
     """(method, cand_id, arity, score, label) of the framework with each run's settings on one pool."""
     p = pools.pool(spark, d, kind, setting, most=_SMALL, **pool_)
     p = pools.Pool(p.df.persist(), p.items, p.keys)
-    parts = [pools.framework_scores(p, pools.settings(p, setting, **change), name) for name, change in runs.items()]
-    rows = [r for part in parts for r in part.collect()]
+    with pools.interpreted(spark):
+        rows = [r for name, change in runs.items() for r in pools.framework_scores(p, pools.settings(p, setting, **change), name).collect()]
     p.df.unpersist()
     return spark.createDataFrame(rows, "method string, cand_id string, arity int, score double, label boolean")
 
@@ -741,7 +741,7 @@ def _(spark, d):
 @query("quality_by_threshold")
 def _(spark, d):
     """Precision, recall and F1 of noisy arithmetic rules for thresholds of the survival score."""
-    s = _runs(spark, d, "AR", "dirty", {"framework": {"use_bound": False, "use_wilson": False, "n_max": 2000}})
+    s = _runs(spark, d, "AR", "dirty", {"framework": {"use_bound": False, "use_wilson": False}})
     parts = [metrics.prf(s, 1 - eta).select(F.lit(eta).alias("eta"), "precision", "recall", "f1") for eta in (0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9)]
     return rounded(reduce(DataFrame.unionByName, parts), "precision", "recall", "f1")
 
