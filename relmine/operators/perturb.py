@@ -128,7 +128,7 @@ def outcomes(bank: DataFrame, rel: Relation, cfg: Config, exact: bool = True, df
     return base.select(F.lit(rel.cand_id).alias("cand_id"), "trial", mask.alias("mask"), survived.alias("survived"))
 
 
-def all_outcomes(bank: DataFrame, rels: Sequence[Relation], cfg: Config, exact: Sequence[bool], batch: int = 6) -> list[DataFrame]:
+def all_outcomes(bank: DataFrame, rels: Sequence[Relation], cfg: Config, exact: Sequence[bool], batch: int = 3) -> list[DataFrame]:
     """(cand_id, trial, mask, survived) of arithmetic and string rules over a shared bank, or over one with a cand_id."""
     parts, own = [], "cand_id" in bank.columns
     for at in range(0, len(rels), batch):
