@@ -14,7 +14,8 @@ model lacks adds nothing. A document's score is then a join of its n-grams with
 the model, summed by document. Both sides travel as sorted lists of hashes,
 packed by shard of the hash; a shard holds its part of the model and streams the
 documents' lists. To bound the disk that is used at once, n-grams are counted in
-``parts`` and documents scored in ``passes`` by hash. The n-gram's hash has ``2 ** slack`` places for each n-gram of the corpus
+``parts``, each is joined with its contexts in ``SLICES`` and documents are scored
+in ``passes`` by hash. The n-gram's hash has ``2 ** slack`` places for each n-gram of the corpus
 at least, so a wrong match has a chance of 2 ** -slack.
 
 Thresholds. One trusted document in ``folds`` is not trained on; a language's
@@ -46,6 +47,10 @@ from relmine.llm.common import dropped, mark, release, saved, text_key
 #: Marks before a text and after it; what sets a repeated word apart.
 BEFORE, AFTER, AGAIN = np.uint64(1), np.uint64(2), np.uint64(0xA0761D6478BD642F)
 _ODD = np.uint64(0x9E3779B97F4A7C15)
+#: A part of the n-grams moves twice to become model entries: so many pieces of it one after the other.
+SLICES = 4
+#: Rows of a batch between Spark and Python: of texts, and of packed lists, which are far larger than a text.
+TEXTS, LISTS = 2_000, 128
 
 
 class WordHashes(dict):
@@ -156,6 +161,12 @@ def _united(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
+def _slices(*frames: DataFrame) -> Iterator[list[DataFrame]]:
+    """The rows of ``frames`` in pieces by the first word, which all of them have."""
+    for i in range(SLICES):
+        yield [f.where(F.pmod(F.xxhash64("w1"), F.lit(SLICES)) == i) for f in frames]
+
+
 def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[int, DataFrame]], DataFrame]:
     """Entries (k, rows (l, w1, ..., wk, value)) to be summed where an n-gram has two, and (l, unknown), the
     log-probability of a word that was never seen. ``counts`` are parts by the first word."""
@@ -180,15 +191,17 @@ def model_entries(counts: list[DataFrame], order: int) -> tuple[Iterator[tuple[i
                 own = table.join(discounts[k], "l")
                 weights = saved(own.groupBy("l", *context).agg(*sums).select("l", *context, "all", (F.col("off") / F.col("all")).alias("rest")), "weights")
                 yield k - 1, weights.select("l", *context, F.log("rest").alias("value"))
-                # what is moved for the second join is as narrow as can be
-                above = own.select("l", *words_of(k), (F.col("n") - _taken()).alias("n")).join(weights, ["l", *context]).select("l", *words_of(k), (F.col("n") / F.col("all") / F.col("rest")).alias("x"), *(["rest"] if k < order else []))
-                own = above.join(below, ["l", *suffix])
-                if k < order:
-                    own = saved(own.select("l", *words_of(k), (F.col("rest") * (F.col("low") + F.col("x"))).alias("p"), F.log1p(F.col("x") / F.col("low")).alias("value")), f"scores{k}")
-                    full.append(own)
-                    yield k, own.select("l", *words_of(k), "value")
-                else:
-                    yield k, own.select("l", *words_of(k), F.log1p(F.col("x") / F.col("low")).alias("value"))
+                for piece, of in _slices(own, weights):
+                    # what is moved for the second join is as narrow as can be
+                    above = piece.select("l", *words_of(k), (F.col("n") - _taken()).alias("n")).join(of, ["l", *context]).select("l", *words_of(k), (F.col("n") / F.col("all") / F.col("rest")).alias("x"), *(["rest"] if k < order else []))
+                    met = above.join(below, ["l", *suffix])
+                    if k < order:
+                        met = saved(met.select("l", *words_of(k), (F.col("rest") * (F.col("low") + F.col("x"))).alias("p"), F.log1p(F.col("x") / F.col("low")).alias("value")), f"scores{k}")
+                        full.append(met)
+                        yield k, met.select("l", *words_of(k), "value")
+                    else:
+                        yield k, met.select("l", *words_of(k), F.log1p(F.col("x") / F.col("low")).alias("value"))
+                if k == order:
                     dropped(table)
                 dropped(weights)
             if k == order:
@@ -325,14 +338,14 @@ def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack:
     grams = order * (texts.agg(F.sum(F.length("text") + 1)).first()[0] or 0) // 6 + 1  # about six characters a word
     shards = max(2 * spark.sparkContext.defaultParallelism, -(-grams // shard_grams))
     bits = min(64, max(40, grams.bit_length() + slack))
-    counts = [saved(gram_counts(training, order, i, parts), "grams") for i in range(parts)]
+    counts = [saved(gram_counts(training, order, i, parts), "grams", TEXTS) for i in range(parts)]
     entries, langs = model_entries(counts, order)
     model = _united([saved(packed_entries(frame, k, shards, bits), "model") for k, frame in entries])
     scored = []
     for i in range(passes):
         both = model.unionByName(packed_documents(texts.where(F.pmod(F.xxhash64("doc_id"), F.lit(passes)) == i), order, shards, bits))
         sums = both.repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(_joined, "key long, part double, tokens long")
-        scored.append(saved(sums.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored"))
+        scored.append(saved(sums.groupBy("key").agg(F.sum("part").alias("logp"), F.sum("tokens").alias("tokens")), "scored", LISTS))
     return _united(scored), langs
 
 

@@ -115,3 +115,15 @@ def test_a_long_text_is_cut_over_blocks(spark):
     assert parts.where("shard = 0").count() >= 3 and parts.count() > 40
     got = {r["tokens"]: r for r in quality.perplexities(texts, texts.where("doc_id = 1"), 2).collect()}
     assert set(got) == {30_001, 4, 1} and math.exp(-got[30_001]["logp"] / 30_001) < 3 and got[1]["logp"] is None
+
+
+def test_the_largest_tables_are_joined_piece_by_piece(spark):
+    texts = quality.identified(table(spark, SF, "documents"))
+    counts = [quality.saved(quality.gram_counts(texts, 2, i, 2), "grams", 50) for i in range(2)]
+    assert spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000"
+    whole = [c.count() for c in counts]
+    entries, _ = quality.model_entries(counts, 2)
+    pieces = [[r["w1"] for r in frame.select("w1").collect()] for k, frame in entries if k == 2]
+    assert sum(map(len, pieces)) == sum(whole) and max(map(len, pieces)) < min(whole) / 2
+    for i, a in enumerate(pieces):
+        assert not any(set(a) & set(b) for b in pieces[:i])
