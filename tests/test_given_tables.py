@@ -8,7 +8,7 @@ from relmine import catalog
 from relmine.sources.tables import load
 
 
-@pytest.mark.parametrize("name", ["minimality_prune", "independence_golden"])
+@pytest.mark.parametrize("name", ["minimality_prune", "independence_golden", "wilson_grid"])
 def test_rows_come_from_the_tables(spark, small, tmp_path, name):
     con = duckdb.connect()
     for t in ("lineitem", "part"):
