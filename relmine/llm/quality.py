@@ -338,7 +338,10 @@ def log_probabilities(texts: DataFrame, training: DataFrame, order: int, slack:
     grams = order * (texts.agg(F.sum(F.length("text") + 1)).first()[0] or 0) // 6 + 1  # about six characters a word
     shards = max(2 * spark.sparkContext.defaultParallelism, -(-grams // shard_grams))
     bits = min(64, max(40, grams.bit_length() + slack))
+    # picked once and written, so that the other texts do not lie in a shuffle while n-grams are counted
+    training = saved(training.select("l", "text"), "training")
     counts = [saved(gram_counts(training, order, i, parts), "grams", TEXTS) for i in range(parts)]
+    dropped(training)
     entries, langs = model_entries(counts, order)
     model = _united([saved(packed_entries(frame, k, shards, bits), "model") for k, frame in entries])
     scored = []
