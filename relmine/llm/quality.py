@@ -37,6 +37,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 import zstandard
 from pyspark.sql import DataFrame
@@ -53,24 +54,19 @@ SLICES = 4
 TEXTS, LISTS = 2_000, 128
 
 
-class WordHashes(dict):
-    """Hashes of words, memoised in a table of bounded size."""
-
-    def __init__(self, limit: int = 250_000):
-        super().__init__()
-        self.limit = limit
-
-    def __missing__(self, word: str) -> int:
-        if len(self) > self.limit:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass")) | 8  # apart from the marks
-        return h
-
-    def tokens(self, text: str | None) -> np.ndarray:
-        words = (text or "").split()
-        h = np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
-        h[1:][h[1:] == h[:-1]] ^= AGAIN
-        return h
+def word_hashes(texts: pa.Array) -> list[np.ndarray]:
+    """Hashes of each text's words. The different words of all texts are hashed once; Arrow parts at the same characters as Python."""
+    lists = pc.utf8_split_whitespace(texts.fill_null(""))
+    words, ends = lists.flatten(), np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False), dtype=np.int64)])
+    some = pc.binary_length(words).to_numpy(zero_copy_only=False) > 0  # none before or behind white space at an end
+    ends = np.concatenate([[0], np.cumsum(some)])[ends]
+    coded = words.filter(pa.array(some)).dictionary_encode()
+    own = np.array([xxhash.xxh3_64_intdigest(w) for w in coded.dictionary.cast(pa.binary()).to_pylist()], np.uint64) | np.uint64(8)  # apart from the marks
+    h = own[coded.indices.to_numpy(zero_copy_only=False)]
+    again = np.concatenate([[False], h[1:] == h[:-1]])[:len(h)]
+    again[ends[:-1][ends[:-1] < len(h)]] = False
+    h[again] ^= AGAIN
+    return [h[i:j] for i, j in zip(ends, ends[1:])]
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -107,10 +103,9 @@ class Block:
 
 def blocks(batches: Iterator[pa.RecordBatch], order: int, size: int) -> Iterator[tuple[np.ndarray, Block]]:
     """(key of each text, its block) of rows (key, l, text); a text of more than ``size`` words is a block alone."""
-    known, held, words = WordHashes(), ([], [], []), 0
+    held, words = ([], [], []), 0
     for b in batches:
-        for key, lang, text in zip(*(c.to_pylist() for c in b.columns)):
-            t = known.tokens(text)
+        for key, lang, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), word_hashes(b.column(2))):
             if words and words + len(t) > size:
                 yield np.array(held[0], np.int64), Block(held[2], held[1], order)
                 held, words = ([], [], []), 0
@@ -137,7 +132,10 @@ def gram_counts(texts: DataFrame, order: int, part: int = 0, parts: int = 1, siz
                 own = _mixed(words[0]) % np.uint64(parts) == part
                 start, words = start[own], [w[own] for w in words]
             lang = block.lang[start]
-            _, at, n = np.unique(gram_keys(lang.view(np.uint64), words), return_index=True, return_counts=True)
+            keys = gram_keys(lang.view(np.uint64), words)
+            at = np.argsort(keys)  # which of equal n-grams comes first does not matter
+            first = np.flatnonzero(np.concatenate([[True], np.diff(keys[at]) != 0])[:len(at)])
+            at, n = at[first], np.diff(np.append(first, len(at)))
             yield pa.RecordBatch.from_arrays([pa.array(lang[at]), *(pa.array(w[at].view(np.int64)) for w in words), pa.array(n.astype(np.int64))], names=["l", *names, "n"])
 
     found = texts.select(F.lit(0).cast("long").alias("key"), "l", "text").mapInArrow(run, ", ".join(f"{c} long" for c in ["l", *names, "n"]))
@@ -273,8 +271,13 @@ def packed_documents(texts: DataFrame, order: int, shards: int, bits: int, size:
                 keys.append(gram_keys(block.lang[start].view(np.uint64), words) >> np.uint64(64 - bits))
                 docs.append(block.doc[start])
             key, doc = np.concatenate(keys), np.concatenate(docs).astype(np.uint32)
-            at = np.lexsort((doc, key))
-            key, doc = key[at], doc[at]
+            width = np.uint64(len(ids).bit_length())
+            if bits + int(width) <= 64:  # one number to sort by
+                both = np.sort((key << width) | doc)
+                key, doc = both >> width, (both & ((np.uint64(1) << width) - np.uint64(1))).astype(np.uint32)
+            else:
+                at = np.lexsort((doc, key))
+                key, doc = key[at], doc[at]
             pair = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])]))
             many = np.diff(np.append(pair, len(key))).astype(np.uint32)
             key, doc = key[pair], doc[pair]
